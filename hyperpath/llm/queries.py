@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontam, html, jaccard, lines, mixing, quality, tokens, warc
+from . import chat, decontam, html, jaccard, lines, mixing, quality, suffix, tokens, warc
 from .common import shared_path
 
 
@@ -17,6 +17,10 @@ def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.find_leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
 
 
+def op2_sparse_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix.repeated_passages(_table(spark, sf_dir, "documents"))
+
+
 def op3_arc_to_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = shared_path(spark, "warc")
     warc.write_warc(_table(spark, sf_dir, "pages"), path)
@@ -60,7 +64,7 @@ def op10_repetition_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.repetition_profile(_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_decontaminate, op3_arc_to_warc, op4_reply_trees, op5_line_runs, op6_mix_sources, op7_token_counts, op8_page_differencing, op9_jaccard_join, op10_repetition_coverage)}
+QUERIES = {f.__name__: f for f in (op1_decontaminate, op2_sparse_suffixes, op3_arc_to_warc, op4_reply_trees, op5_line_runs, op6_mix_sources, op7_token_counts, op8_page_differencing, op9_jaccard_join, op10_repetition_coverage)}
 
 #: DuckDB's view of the words of a text, and of the shares of one level of the tree.
 _SQL_WORDS = r"list_filter(string_split_regex(lower({}), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
