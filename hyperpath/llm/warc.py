@@ -15,6 +15,7 @@ may hold any bytes, line breaks and archive headers too; tables without rows giv
 
 from __future__ import annotations
 
+import gzip
 import hashlib
 import re
 import uuid
@@ -208,8 +209,7 @@ def write_warc(
                     out.append(arc_to_warc(record, refers_to=target, extra=extra).to_bytes()[:-1])  # the writer adds the last line feed
             yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["value"])
 
-    records = rows.mapInArrow(convert, "value binary").select(F.col("value").cast("string"))
-    records.write.option("lineSep", "\n").option("maxRecordsPerFile", records_per_file).text(path)
+    _save(rows.mapInArrow(convert, "value binary"), path, records_per_file)
 
 
 #: Characters of a URL that stay as they are; all others, blanks, % and non-ASCII too, are escaped and restored.
@@ -224,7 +224,7 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
         for batch in batches:
             for data in batch.column(0):
                 rows, size = [], 0
-                for r in parse_warc(data.as_py()):
+                for r in parse_warc(_plain(data.as_py())):
                     h = r.headers
                     url = unquote(h.get("WARC-Target-URI", ""))
                     rows.append((
@@ -254,8 +254,17 @@ def convert_arc_files(spark: SparkSession, source: str, path: str, *, records_pe
     def convert(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for data in batch.column(0):
-                out = [arc_to_warc(r).to_bytes()[:-1] for r in parse_arc(data.as_py())]
+                out = [arc_to_warc(r).to_bytes()[:-1] for r in parse_arc(_plain(data.as_py()))]
                 yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["value"])
 
     files = spark.read.format("binaryFile").load(source).select("content")
-    files.mapInArrow(convert, "value binary").select(F.col("value").cast("string")).write.option("lineSep", "\n").option("maxRecordsPerFile", records_per_file).text(path)
+    _save(files.mapInArrow(convert, "value binary"), path, records_per_file)
+
+
+def _save(records: DataFrame, path: str, records_per_file: int) -> None:
+    writer = records.select(F.col("value").cast("string")).write.option("lineSep", "\n").option("compression", "gzip")
+    writer.option("maxRecordsPerFile", records_per_file).text(path)
+
+
+def _plain(data: bytes) -> bytes:
+    return gzip.decompress(data) if data[:2] == b"\x1f\x8b" else data
