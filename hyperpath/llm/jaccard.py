@@ -9,8 +9,9 @@ subclasses depends on the size level of the smaller set, and sets near a level's
 
 Counts and index travel as blobs of sorted, delta-coded hashes, two to twelve bytes an entry. A bucket of the index gives all its pairs if
 it is small; a large one gives pairs with its first member and with the next four of a fixed order, a number linear in
-its size. The pairs are verified on whole texts, and linked nodes form components. What a large bucket has left are pairs
-of different components: these are then all verified, so no link between components is lost.
+its size. The pairs are verified on whole texts, and linked nodes form components. In large buckets that still have several
+components, all pairs of different components are then considered, block against block by matrix products in bounded
+tasks, so no link between components is lost and no pair becomes a row.
 
 Defined results: null and empty texts, and texts without words, have an empty set, link with nothing and are their own
 component; rows of equal id are documents of their own with one id; all whole texts are used, none is cut.
@@ -23,6 +24,7 @@ from collections import OrderedDict
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -42,6 +44,9 @@ FLUSH = 1_500_000
 FREQUENT_DOCS, FREQUENT_LIMIT = 8, 1 << 18
 #: Buckets of more nodes give a linear number of pairs at first.
 SMALL_BUCKET, NEIGHBOURS = 16, 4
+#: Blocks of the exact rest: rows and shingles at most, about.
+BLOCK_ROWS, BLOCK_SHINGLES = 400, 200_000
+BROADCAST_CLASSES = 100_000
 #: Sets from 64 shingles on have subclasses: 16 on the first level; sizes and subclasses grow by 8 per level.
 LEVEL_SIZE, LEVEL_CLASSES, LEVEL_FACTOR = 64, 16, 8
 
@@ -327,6 +332,80 @@ def _release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def _degrees(links: DataFrame) -> DataFrame:
+    return links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
+
+
+def _split_members(members: DataFrame, label: DataFrame) -> DataFrame:
+    """(key, node, n, part) of the large buckets whose members are in more than one component."""
+    placed = members.join(label, "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part"))
+    split = placed.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo < hi").select("key")
+    return materialize(placed.join(split, "key", "left_semi"), "split")
+
+
+def _block_links(members: DataFrame, label: DataFrame, texts: DataFrame) -> DataFrame:
+    """Links (a, b) that join components within the large buckets, all pairs of different components considered.
+
+    Buckets that share members form groups. A group is dealt into blocks by size class (sizes in one class, or in two
+    adjoining ones, can be similar) and, within a class, by a hash into blocks of bounded rows and shingles. A task gets
+    two blocks and finds all intersections by products of their incidence matrices; of the links it finds it returns those
+    that connect components, one less than the rows it has at most. So rows stay linear in the group, times its blocks.
+    """
+    placed = _split_members(members, label)
+    if placed.isEmpty():
+        return placed.select(F.col("node").alias("a"), F.col("node").alias("b"))
+    hub = placed.groupBy("key").agg(F.min("node").alias("hub"))
+    groups = components(placed.join(hub, "key").where("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct())
+    nodes = placed.select("node", "n", "part").distinct().join(groups.select("node", F.col("component").alias("grp")), "node")
+    nodes = materialize(nodes.withColumn("size", F.floor(F.log("n") / np.log(100 / PERCENT)).cast("long")), "grouped")
+    room = nodes.groupBy("grp", "size").agg(F.greatest(F.ceil(F.sum("n") / BLOCK_SHINGLES), F.ceil(F.count("*") / BLOCK_ROWS)).alias("blocks"))
+    dealt = nodes.join(F.broadcast(room) if room.count() <= BROADCAST_CLASSES else room, ["grp", "size"])
+    dealt = materialize(dealt.withColumn("block", F.pmod(F.xxhash64("node"), "blocks")).join(texts, "node").select("grp", "size", "block", "node", "n", "part", "text"), "blocks")
+    blocks = dealt.select("grp", "size", "block").distinct()
+    x, y = (blocks.select("grp", F.col("size").alias(f"size_{i}"), F.col("block").alias(f"block_{i}")) for i in "xy")
+    tasks = x.join(y, "grp").where("(size_x = size_y AND block_x <= block_y) OR size_y = size_x + 1")
+    task = ["grp", "size_x", "block_x", "size_y", "block_y"]
+    sides = [tasks.join(dealt.select("grp", F.col("size").alias(f"size_{i}"), F.col("block").alias(f"block_{i}"), "node", "part", "text"), ["grp", f"size_{i}", f"block_{i}"]).select(*task, "node", "part", "text") for i in "xy"]
+    rows = sides[0].unionByName(sides[1].where("size_x <> size_y OR block_x <> block_y"))
+
+    def compare(frame: pd.DataFrame) -> pd.DataFrame:
+        sets = [shingle_set(t.encode("utf-8", "surrogatepass")) for t in frame["text"]]
+        node, part = frame["node"].to_numpy(np.int64), frame["part"].to_numpy(np.int64)
+        sizes = np.array([len(x) for x in sets], dtype=np.int64)
+        owner = np.repeat(np.arange(len(sets)), sizes)
+        token, column, seen = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        often = seen[column] > 1
+        order = np.argsort(column[often], kind="stable")
+        column, owner = column[often][order], owner[often][order]
+        both = np.zeros((len(sets), len(sets)), dtype=np.float32)
+        start = np.flatnonzero(np.concatenate(([True], column[1:] != column[:-1]))) if len(column) else np.empty(0, dtype=np.int64)
+        dense = np.cumsum(np.concatenate(([0], (column[1:] != column[:-1]).astype(np.int64)))) if len(column) else column
+        for low in range(0, len(start), 4096):  # a slice of the shingles at a time
+            first, last = start[low], start[low + 4096] if low + 4096 < len(start) else len(column)
+            m = np.zeros((len(sets), 4096), dtype=np.float32)
+            m[owner[first:last], dense[first:last] - low] = 1
+            both += m @ m.T
+        both = np.rint(both).astype(np.int64)
+        hit = 100 * both >= PERCENT * (sizes[:, None] + sizes[None, :] - both)
+        i, j = np.nonzero(np.triu(hit & (part[:, None] != part[None, :]), 1))
+        up: dict[int, int] = {}
+
+        def root(k: int) -> int:
+            while up.get(k, k) != k:
+                up[k] = k = up.get(up[k], up[k])
+            return k
+
+        out = []
+        for k, l in zip(i.tolist(), j.tolist(), strict=True):
+            p, q = root(int(part[k])), root(int(part[l]))
+            if p != q:
+                up[max(p, q)] = min(p, q)
+                out.append((min(node[k], node[l]), max(node[k], node[l])))
+        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
+
+    return rows.groupBy(*task).applyInPandas(compare, "a long, b long").distinct()
+
+
 def similarity_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id, n_links): component_id is the smallest id reachable by links; n_links counts
     the document's verified links to other texts (within large groups, those that were needed to connect them)."""
@@ -359,19 +438,12 @@ def similarity_components(docs: DataFrame, *, id_col: str = "doc_id", text_col:
     links = materialize(verify(pairs, texts), "links")
     label = components(links)
     if not members.isEmpty():
-        # Exact rest: pairs of a large bucket that are in different components and weren't compared.
-        placed = members.join(label, "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part"))
-        split = placed.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo < hi").select("key")
-        placed = materialize(placed.join(split, "key", "left_semi"), "split")
-        x, y = (placed.select("key", F.col("node").alias(i), F.col("n").alias(f"n{i}"), F.col("part").alias(f"p{i}")) for i in "ab")
-        rest = x.join(y, "key").where("pa <> pb and a < b").where(100 * F.least("na", "nb") >= PERCENT * F.greatest("na", "nb"))
-        rest = materialize(rest.select("a", "b").distinct().join(pairs, ["a", "b"], "left_anti"), "rest")
-        more = materialize(verify(rest, texts), "more")
+        # Exact rest: whatever different components have in common in a large bucket.
+        more = materialize(_block_links(members, label, texts), "more")
         if not more.isEmpty():
             links = links.unionByName(more)
             label = components(links)
-    ends = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
-    label = materialize(label.join(ends, "node"), "label")
+    label = materialize(label.join(_degrees(links), "node"), "label")
     labelled = rows.join(label, "node", "left").select("doc", "n", F.coalesce("component", "node").alias("part"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
     labelled = materialize(labelled, "labelled")
     least = labelled.where("part is not null").groupBy("part").agg(F.min("doc").alias("least"))
