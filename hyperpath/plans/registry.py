@@ -35,10 +35,21 @@ def r6(c: str) -> F.Column:
     return F.round(c, 6).alias(c)
 
 
+def r9(c: str) -> F.Column:
+    return F.round(c, 9).alias(c)
+
+
 def joined(c: str) -> F.Column:
     return F.concat_ws(">", F.col(c).cast("array<string>"))
 
 
+def starred(df: DataFrame, *columns: str) -> DataFrame:
+    """Subtotal rows show * for what they sum over."""
+    for c in columns:
+        df = df.withColumn(c, F.coalesce(F.col(c).cast("string"), F.lit("*")))
+    return df
+
+
 # ---------------------------------------------------------------- data-set construction
 
 _TITLES = r"SELECT page_id AS node_id, regexp_extract(html, '(?s)<title>(.*?)</title>', 1) AS title FROM pages"
@@ -171,13 +182,13 @@ def q15(spark, d):
 
 @query(
     "q16_category_rollup",
-    """SELECT category, length, count(DISTINCT path_id) AS paths FROM
+    """SELECT coalesce(category, '*') AS category, coalesce(CAST(length AS VARCHAR), '*') AS length, count(DISTINCT path_id) AS paths FROM
         (SELECT DISTINCT s.path_id, p.p_type AS category, n.length FROM steps_part s JOIN part p ON p.p_partkey = s.node_id
          JOIN (SELECT path_id, count(*) AS length FROM steps_part GROUP BY path_id) n ON n.path_id = s.path_id) x GROUP BY ROLLUP (category, length)""",
 )
 def q16(spark, d):
     types = load(spark, d, "part").select(F.col("p_partkey").alias("node_id"), F.col("p_type").alias("category"))
-    return graph.category_profile(workloads.order_steps(spark, d), types)
+    return starred(graph.category_profile(workloads.order_steps(spark, d), types), "category", "length")
 
 
 # ---------------------------------------------------------------- text and click features
@@ -383,35 +394,35 @@ def q34b(spark, d):
     return Crawl(spark, d).latent("text").select("src", "dst", r6("w"))
 
 
-@query("q35_nb_step", "SELECT start, src, dst, round(p, 6) AS p FROM w_empirical_m1")
+@query("q35_nb_step", "SELECT start, src, dst, round(p, 9) AS p FROM w_empirical_m1")
 def q35(spark, d):
     c = Crawl(spark, d)
     latent = c.latent("empirical")
-    return walk.nb_step(walk.spread(walk.one_hot(c.starts), latent), latent).select("start", "src", "dst", r6("p"))
+    return walk.nb_step(walk.spread(walk.one_hot(c.starts), latent), latent).select("start", "src", "dst", r9("p"))
 
 
 def _distribution(name: str, how: str, sql: str):
     @query(name, sql)
     def q(spark, d):
         c = Crawl(spark, d)
-        return walk.target_distribution(c.starts, c.latent("empirical"), h=H, how=how).select("start", "node_id", r6("p"))
+        return walk.target_distribution(c.starts, c.latent("empirical"), h=H, how=how).select("start", "node_id", r9("p"))
 
     return q
 
 
-_distribution("q36_target_dist_tail", "tail", "SELECT start, node_id, round(p, 6) AS p FROM w_empirical_tail")
-_distribution("q37_target_dist_pinv", "pinv", "SELECT m.start, m.src AS node_id, round(sum(m.p * w.w) / max(q.ww), 6) AS p FROM w_empirical_m2 m JOIN w_empirical w ON w.src = m.src AND w.dst = m.dst JOIN (SELECT src, sum(w * w) AS ww FROM w_empirical GROUP BY src) q ON q.src = m.src GROUP BY m.start, m.src")
-_distribution("q38_target_dist_head", "head", "SELECT start, node_id, round(p, 6) AS p FROM w_empirical_head")
+_distribution("q36_target_dist_tail", "tail", "SELECT start, node_id, round(p, 9) AS p FROM w_empirical_tail")
+_distribution("q37_target_dist_pinv", "pinv", "SELECT m.start, m.src AS node_id, round(sum(m.p * w.w) / max(q.ww), 9) AS p FROM w_empirical_m2 m JOIN w_empirical w ON w.src = m.src AND w.dst = m.dst JOIN (SELECT src, sum(w * w) AS ww FROM w_empirical GROUP BY src) q ON q.src = m.src GROUP BY m.start, m.src")
+_distribution("q38_target_dist_head", "head", "SELECT start, node_id, round(p, 9) AS p FROM w_empirical_head")
 
 
 @query(
     "q38b_plain_walk",
-    "SELECT start, src AS node_id, round(sum(p), 6) AS p FROM b2 GROUP BY start, src",
+    "SELECT start, src AS node_id, round(sum(p), 9) AS p FROM b2 GROUP BY start, src",
     {"b1": "SELECT m.start, n.src, n.dst, sum(m.p * n.w) AS p FROM w_empirical_m0 m JOIN w_empirical n ON n.src = m.dst GROUP BY m.start, n.src, n.dst", "b2": "SELECT m.start, n.src, n.dst, sum(m.p * n.w) AS p FROM b1 m JOIN w_empirical n ON n.src = m.dst GROUP BY m.start, n.src, n.dst"},
 )
 def q38b(spark, d):
     c = Crawl(spark, d)
-    return walk.target_distribution(c.starts, c.latent("empirical"), h=H, nb=False).select("start", "node_id", r6("p"))
+    return walk.target_distribution(c.starts, c.latent("empirical"), h=H, nb=False).select("start", "node_id", r9("p"))
 
 
 @query("q38c_dead_ends_and_orientation")
@@ -440,19 +451,19 @@ def q39(spark, d):
 
 @query(
     "q40_top_suffixes",
-    """SELECT start, suffix, round(p, 6) AS p, CAST(rank AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY start ORDER BY round(p, 9) DESC, suffix) AS rank FROM
+    """SELECT start, suffix, round(p, 9) AS p, CAST(rank AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY start ORDER BY round(p, 9) DESC, suffix) AS rank FROM
         (SELECT a.src AS start, a.dst || '>' || b.dst AS suffix, a.w * b.w / (1 - coalesce(k.w, 0)) AS p FROM w_empirical a JOIN w_empirical b ON b.src = a.dst AND b.dst <> a.src
          LEFT JOIN w_empirical k ON k.src = a.dst AND k.dst = a.src WHERE 1 - coalesce(k.w, 0) > 1e-12) x) y WHERE rank <= 2""",
 )
 def q40(spark, d):
     c = Crawl(spark, d)
-    return walk.top_suffixes(c.starts, c.latent("empirical"), h=H, k=2).select("start", "suffix", r6("p"), "rank")
+    return walk.top_suffixes(c.starts, c.latent("empirical"), h=H, k=2).select("start", "suffix", r9("p"), "rank")
 
 
 @query("q40b_beam_suffixes")
 def q40b(spark, d):
     c = Crawl(spark, d)
-    return walk.top_suffixes(c.starts, c.latent("empirical"), h=3, k=2, beam=8).select("start", "suffix", r6("p"), "rank")
+    return walk.top_suffixes(c.starts, c.latent("empirical"), h=3, k=2, beam=8).select("start", "suffix", r9("p"), "rank")
 
 
 @query("q40c_sampled_suffixes")
@@ -608,7 +619,7 @@ def q49b(spark, d):
 
 @query("q50_repeat_experiment")
 def q50(spark, d):
-    runs = experiments.repeat_experiment(Crawl(spark, d), sets=("original", "similarity", "degree", "combined"), seeds=(1, 2), epochs=2)
+    runs = experiments.repeat_experiment(Crawl(spark, d), sets=("original", "combined"), seeds=(1, 2), epochs=1)
     return metrics.summarize_runs(runs)
 
 
@@ -689,10 +700,10 @@ def q56(spark, d):
     return relational.degree_full_outer(part_edges(spark, d))
 
 
-@query("q57_asof_last_node", "SELECT p.event_id AS probe_id, p.agent, c.node_id AS last_node FROM (SELECT * FROM clicks WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT * FROM clicks WHERE event_type = 'click') c ON p.agent = c.agent AND p.us > c.us")
+@query("q57_asof_last_node", "SELECT p.event_id AS probe_id, p.agent, coalesce(c.node_id, -1) AS last_node FROM (SELECT * FROM clicks WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT * FROM clicks WHERE event_type = 'click') c ON p.agent = c.agent AND p.us > c.us")
 def q57(spark, d):
     rows = tables.clicks(load(spark, d, "events"))
-    return relational.asof_last(rows.where("event_type = 'click'"), rows.where("event_type = 'purchase'").select("agent", "us", F.col("event_id").alias("probe_id")))
+    return relational.asof_last(rows.where("event_type = 'click'"), rows.where("event_type = 'purchase'").select("agent", "us", F.col("event_id").alias("probe_id"))).withColumn("last_node", F.coalesce("last_node", F.lit(-1)))
 
 
 @query("q58_interval_pairs", "SELECT a.event_id AS first_id, b.event_id AS second_id FROM clicks a JOIN clicks b ON a.agent = b.agent AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.us > a.us AND b.us <= a.us + 86400000000")
@@ -730,24 +741,24 @@ def _order_paths(spark: SparkSession, d: str) -> DataFrame:
     return length.join(load(spark, d, "orders").select(F.col("o_orderkey").alias("path_id"), F.col("o_orderstatus").alias("status"), F.col("o_orderpriority").alias("priority")), "path_id")
 
 
-@query("q63_path_cube", "SELECT status, priority, length, count(*) AS paths, CAST(grouping(status) * 4 + grouping(priority) * 2 + grouping(length) AS BIGINT) AS gid FROM order_paths GROUP BY CUBE (status, priority, length)", _PATHS)
+@query("q63_path_cube", "SELECT coalesce(status, '*') AS status, coalesce(priority, '*') AS priority, coalesce(CAST(length AS VARCHAR), '*') AS length, count(*) AS paths, CAST(grouping(status) * 4 + grouping(priority) * 2 + grouping(length) AS BIGINT) AS gid FROM order_paths GROUP BY CUBE (status, priority, length)", _PATHS)
 def q63(spark, d):
-    return relational.path_cube(_order_paths(spark, d))
+    return starred(relational.path_cube(_order_paths(spark, d)), "status", "priority", "length")
 
 
 @query(
     "q64_region_rollup",
-    """SELECT region, nation, supplier, count(DISTINCT path_id) AS paths, CAST(grouping(region) * 4 + grouping(nation) * 2 + grouping(supplier) AS BIGINT) AS gid FROM
+    """SELECT coalesce(region, '*') AS region, coalesce(nation, '*') AS nation, coalesce(CAST(supplier AS VARCHAR), '*') AS supplier, count(DISTINCT path_id) AS paths, CAST(grouping(region) * 4 + grouping(nation) * 2 + grouping(supplier) AS BIGINT) AS gid FROM
         (SELECT v.path_id, r.r_name AS region, n.n_name AS nation, s.s_suppkey AS supplier FROM steps_supp v JOIN supplier s ON s.s_suppkey = v.node_id JOIN nation n ON n.n_nationkey = s.s_nationkey JOIN region r ON r.r_regionkey = n.n_regionkey) x
         GROUP BY ROLLUP (region, nation, supplier)""",
 )
 def q64(spark, d):
     places = load(spark, d, "supplier").join(load(spark, d, "nation"), F.col("s_nationkey") == F.col("n_nationkey")).join(load(spark, d, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
     places = places.select(F.col("s_suppkey").alias("node_id"), F.col("r_name").alias("region"), F.col("n_name").alias("nation"), F.col("s_suppkey").alias("supplier"))
-    return relational.region_rollup(workloads.order_steps(spark, d, "supplier").join(places, "node_id"))
+    return starred(relational.region_rollup(workloads.order_steps(spark, d, "supplier").join(places, "node_id")), "region", "nation", "supplier")
 
 
-_SETS = "SELECT p_brand, p_type, count(*) AS visits FROM {} GROUP BY GROUPING SETS ((p_brand), (p_type), (p_brand, p_type), ())"
+_SETS = "SELECT coalesce(p_brand, '*') AS brand, coalesce(p_type, '*') AS kind, count(*) AS visits FROM {} GROUP BY GROUPING SETS ((p_brand), (p_type), (p_brand, p_type), ())"
 
 
 @query("q65_grouping_sets", _SETS.format("(SELECT p.p_brand, p.p_type FROM steps_part s JOIN part p ON p.p_partkey = s.node_id) x"))
@@ -826,19 +837,19 @@ def q71(spark, d):
     return stream.replay(stream.moves_by_list(spark, stream.stream_events(spark, d))).groupBy("src", "dst").agg(F.count("*").alias("nof"))
 
 
-_CLOSED = {"spans": "SELECT agent, path_id, min(ts) AS t0, max(ts) + INTERVAL 12 HOURS AS t1, count(*) AS n FROM session_ids GROUP BY agent, path_id", "mark": "SELECT max(ts) - INTERVAL 1 HOUR AS at FROM clicks"}
+_CLOSED = {"spans": "SELECT agent, path_id, min(ts) AS t0, max(ts) + INTERVAL 12 HOURS AS t1, count(*) AS n FROM session_ids GROUP BY agent, path_id", "mark": "SELECT max(ts) - INTERVAL 1 HOUR AS cutoff FROM clicks"}
 
 
 def _text(c: str) -> F.Column:
     return F.date_format(c, "yyyy-MM-dd HH:mm:ss.SSSSSS").alias(c)
 
 
-@query("q72_stream_sessions", "SELECT agent, strftime(t0, '%Y-%m-%d %H:%M:%S.%f') AS start, strftime(t1, '%Y-%m-%d %H:%M:%S.%f') AS stop, n FROM spans, mark WHERE t1 <= at", _CLOSED)
+@query("q72_stream_sessions", "SELECT agent, strftime(t0, '%Y-%m-%d %H:%M:%S.%f') AS start, strftime(t1, '%Y-%m-%d %H:%M:%S.%f') AS stop, n FROM spans, mark WHERE t1 <= cutoff", _CLOSED)
 def q72(spark, d):
     return stream.replay(stream.sessions(stream.stream_events(spark, d))).select("agent", _text("start"), _text("stop"), "n")
 
 
-@query("q73_stream_windows", "SELECT node_id, strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S.%f') AS start, count(*) AS n FROM clicks, mark WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= at GROUP BY node_id, date_trunc('day', ts)", _CLOSED)
+@query("q73_stream_windows", "SELECT node_id, strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S.%f') AS start, count(*) AS n FROM clicks, mark WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= cutoff GROUP BY node_id, date_trunc('day', ts)", _CLOSED)
 def q73(spark, d):
     return stream.replay(stream.visit_windows(stream.stream_events(spark, d))).select("node_id", _text("start"), "n")
 
