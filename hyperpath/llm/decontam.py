@@ -40,7 +40,7 @@ def _adder(a: Column, b: Column, c: Column) -> tuple[Column, Column]:
 
 def _fingerprints(df: DataFrame, hashes: str, at: str) -> DataFrame:
     """df with fp: the SimHash of the seven words from place at. Steps are columns of their own, so that none is computed twice."""
-    df = df.select("*", *(F.col(hashes)[F.col(at) + j].alias(f"_h{j}") for j in range(WINDOW)))
+    df = df.select("*", *(F.get(F.col(hashes), F.col(at) + j).alias(f"_h{j}") for j in range(WINDOW)))
     s1, c1 = _adder(F.col("_h0"), F.col("_h1"), F.col("_h2"))
     s2, c2 = _adder(F.col("_h3"), F.col("_h4"), F.col("_h5"))
     df = df.select("*", s1.alias("_s1"), c1.alias("_c1"), s2.alias("_s2"), c2.alias("_c2")).drop(*(f"_h{j}" for j in range(WINDOW - 1)))
@@ -55,14 +55,15 @@ def _block_keys(fp: Column) -> Column:
 
 
 def _shingles(words: Column) -> Column:
-    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.size(words) - (SHINGLE_WORDS - 1)), lambda i: F.array_join(F.slice(words, i, SHINGLE_WORDS), " ")))
+    """Safe with too few words, too, as Catalyst may evaluate this before the filter on sizes."""
+    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(words) - (SHINGLE_WORDS - 1))), lambda i: F.array_join(F.slice(words, i, SHINGLE_WORDS), " ")))
 
 
 def item_index(items: DataFrame, *, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
     """(windows: item, at, size, fp, block; weights: item, shingle weights as a map, total and the weight of an unknown shingle)."""
     words = items.select(F.col(id_col).alias("item"), _words(F.col(text_col)).alias("w")).where(F.size("w") >= WINDOW).dropDuplicates(["item", "w"])
     hashed = words.select("item", F.size("w").alias("size"), F.transform("w", lambda x: F.xxhash64(x)).alias("h"))
-    placed = hashed.select("*", F.explode(F.sequence(F.lit(0), F.col("size") - WINDOW)).alias("at"))
+    placed = hashed.select("*", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.col("size") - WINDOW))).alias("at"))
     windows = _fingerprints(placed, "h", "at").drop("h")
     shingles = words.select("item", "w", _shingles(F.col("w")).alias("s"))
     df = shingles.select(F.explode("s").alias("shingle")).groupBy("shingle").agg(F.count("*").alias("df"))
@@ -83,7 +84,7 @@ def find_leaks(docs: DataFrame, items: DataFrame, *, doc_id: str = "doc_id", doc
     parts = max(1, -(-n // BROADCAST_WINDOWS))
     index = windows.select("item", F.col("at").alias("item_at"), "size", F.col("fp").alias("item_fp"), F.explode(_block_keys(F.col("fp"))).alias("key"))
     words = docs.select(F.col(doc_id).alias("doc"), _words(F.col(doc_text)).alias("w")).where(F.size("w") >= WINDOW)
-    placed = words.select("*", F.transform("w", lambda x: F.xxhash64(x)).alias("h"), F.size("w").alias("n")).select("*", F.explode(F.sequence(F.lit(0), F.col("n") - WINDOW, F.lit(STRIDE))).alias("at"))
+    placed = words.select("*", F.transform("w", lambda x: F.xxhash64(x)).alias("h"), F.size("w").alias("n")).select("*", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.col("n") - WINDOW), F.lit(STRIDE))).alias("at"))
     probes = _fingerprints(placed, "h", "at").select("doc", "w", "n", "at", "fp", F.explode(_block_keys(F.col("fp"))).alias("key"))
 
     def hits(part: int) -> DataFrame:
