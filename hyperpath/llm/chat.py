@@ -71,6 +71,7 @@ def _jump_tables(nodes: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
         nodes.select("node", F.col("parent").alias("up"), F.lit(1).cast("long").alias("hops"), F.col("score").alias("total")), "jump"
     )
     tables: list[DataFrame] = []
+    n = state.count()
     done = state.where("up is null").select("node", F.col("node").alias("root"), F.lit(0).cast("long").alias("depth"), "total")
     state = state.where("up is not null")
     while not state.isEmpty():
@@ -84,7 +85,7 @@ def _jump_tables(nodes: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
         )
         done = materialize(done.unionByName(joined.where("root is not null").select("node", "root", F.col("hops").alias("depth"), "total")), "rooted")
         state = joined.where("up is not null").drop("root")
-        if len(tables) > 62:  # longer than any path: what is left runs in cycles
+        if 1 << len(tables) > n:  # longer than any path: what is left runs in cycles
             break
     return done, tables
 
