@@ -42,6 +42,8 @@ FLUSH = 1_500_000
 #: The frequent class: shingles in so many documents at least, and so many shingles at most (the most frequent ones).
 #: The class only sets the order, so its size bounds no result.
 FREQUENT_DOCS, FREQUENT_LIMIT = 8, 1 << 18
+#: Cells of the histogram of counts, per factor of e.
+HISTOGRAM_CELLS = 16
 #: Buckets of more nodes give a linear number of pairs at first.
 SMALL_BUCKET, NEIGHBOURS = 16, 4
 #: Blocks of the exact rest: rows and shingles at most, about.
@@ -118,7 +120,20 @@ def frequent_shingles(docs: DataFrame, text_col: str, *, least: int = FREQUENT_D
             yield pa.RecordBatch.from_arrays([pa.array(token.astype(np.int64)), pa.array(n[often].astype(np.int64))], names=["token", "docs"])
 
     blobs = docs.select(text_col).mapInArrow(send, "bucket int, blob binary").repartition("bucket")
-    top = blobs.mapInArrow(count, "token long, docs long").orderBy(F.desc("docs"), "token").limit(limit).toPandas()
+    counted = materialize(blobs.mapInArrow(count, "token long, docs long"), "counts")
+    # The least count with which the class fits its limit, from a histogram of at most some hundred cells.
+    step = F.floor(F.log("docs") * HISTOGRAM_CELLS).cast("int")
+    cells = {r["cell"]: r["n"] for r in counted.groupBy(step.alias("cell")).agg(F.count("*").alias("n")).collect()}
+    total, lowest = 0, None
+    for cell in sorted(cells, reverse=True):
+        total += cells[cell]
+        if total > limit:
+            break
+        lowest = cell
+    if lowest is None:
+        return np.empty(0, dtype=np.uint64), np.empty(0, dtype=np.int64)
+    top = counted.where(step >= lowest).toPandas()  # limit rows at most
+    drop_materialized(counted)
     token, n = top["token"].to_numpy(np.int64).astype(np.uint64), top["docs"].to_numpy(np.int64)
     order = np.argsort(token)
     return token[order], n[order]
