@@ -67,11 +67,11 @@ def item_index(items: DataFrame, *, id_col: str, text_col: str) -> tuple[DataFra
     windows = _fingerprints(placed, "h", "at").drop("h")
     shingles = words.select("item", "w", _shingles(F.col("w")).alias("s"))
     df = shingles.select(F.explode("s").alias("shingle")).groupBy("shingle").agg(F.count("*").alias("df"))
-    n = words.agg(F.count("*").alias("n"))
-    weighted = shingles.select("item", "w", F.explode("s").alias("shingle")).join(df, "shingle").crossJoin(F.broadcast(n))  # one row
+    n = float(words.count())
+    weighted = shingles.select("item", "w", F.explode("s").alias("shingle")).join(df, "shingle")
     weights = weighted.groupBy("item", "w").agg(
-        F.map_from_entries(F.collect_list(F.struct("shingle", F.log(1 + F.col("n") / F.col("df"))))).alias("weights"),
-        F.log(1 + F.first("n")).alias("unknown"),
+        F.map_from_entries(F.collect_list(F.struct("shingle", F.log(1 + F.lit(n) / F.col("df"))))).alias("weights"),
+        F.first(F.log(F.lit(1 + n))).alias("unknown"),
     )
     return windows, weights.withColumn("total", F.aggregate(F.map_values("weights"), F.lit(0.0), lambda a, x: a + x))
 

@@ -86,13 +86,13 @@ def deal(children: DataFrame, parent: list[str], level: str) -> DataFrame:
 def leaf_budgets(leaves: DataFrame, plan: MixPlan) -> DataFrame:
     """leaves(levels..., tokens) with budget: the tokens that each leaf is to give."""
     caps = leaves.withColumn("cap", F.col("tokens") * plan.max_epochs)
-    total = leaves.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("_all"))
-    budget = F.floor(_wide("_all") * plan.budget_parts[0] / plan.budget_parts[1]).cast("long")
-    above = total.select(F.least(budget, F.col("_all") * plan.max_epochs).alias("budget"))
+    total = leaves.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0]
+    budget = min(total * plan.budget_parts[0] // plan.budget_parts[1], total * plan.max_epochs)
+    above = None
     for depth, level in enumerate(LEVELS):
         parent = list(LEVELS[:depth])
         nodes = caps.groupBy(*parent, level).agg(F.sum("cap").alias("cap")).withColumn("weight", _weight(level, plan))
-        nodes = nodes.join(above, parent) if parent else nodes.crossJoin(F.broadcast(above))  # one row
+        nodes = nodes.join(above, parent) if parent else nodes.withColumn("budget", F.lit(budget).cast("long"))
         above = deal(nodes, parent, level).select(*parent, level, F.col("share").alias("budget"))
     return leaves.join(above, list(LEVELS), "left").withColumn("budget", F.coalesce("budget", F.lit(0)))
 
