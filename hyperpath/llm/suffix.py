@@ -1,14 +1,16 @@
-"""Suffix-array dedup on sparse suffixes: passages of MIN_WORDS words or more that repeat across the corpus.
+"""Sparse-suffix dedup: passages of MIN_WORDS words or more that repeat across the corpus.
 
 Of every text only the suffixes at minimiser positions are kept: the place of the smallest k-gram hash in every window of
-w places. Two copies of a passage select the same places inside it, so a passage of 50 words has a kept suffix with 32
-words or more of the passage after it. Suffixes are ordered by their first 32 words (by hash: any order that puts
-equal beginnings together serves), then by document and place; neighbours in that order are compared and the match is
-extended left and right. What a later document shares with an earlier one is reported, as merged spans of words.
+w places. Two copies of a passage select the same places inside it, so each run of MIN_WORDS words has a kept suffix with
+BEGIN words or more of the run after it. No suffix array is sorted: equal beginnings meet by their hash. A repeated beginning
+alone says nothing about what stands around it (a common clause has many continuations), so every run of MIN_WORDS words
+whose own kept suffix has a repeated beginning is then compared as a whole, again by hash. Of equal runs all but the first by
+(document, place) are later copies; overlapping ones are merged, which gives the repeats at full length.
 
-Two passes over the texts: the first sends only hashes and ids, as sorted blobs; suffixes whose beginning is found once end
-there. The second reads the documents that have repeated beginnings and sends those suffixes with their context. They are
-dealt out by ranges of (beginning, document, place), so a passage that a third of all documents share is spread over tasks.
+Two passes over the texts: the first sends hashes and ids of beginnings, as sorted blobs; suffixes whose beginning is found
+once end there. The second reads the documents that have repeated beginnings and sends their runs, as blobs, too. A task sends
+only the first of equal runs it holds (the others are later copies already), so a passage that a third of all documents
+share is a few entries of a bucket, and no bucket is cut.
 
 Defined results: null and short texts have no suffixes; a null id counts as the largest; rows of equal id are one document;
 later copies inside one document are reported as well; of a repeat, the copy in the smallest id, furthest up, is not reported.
@@ -29,27 +31,29 @@ from .jaccard import _MASK40, _U, FLUSH, _by_bucket, _release, pack_sorted, unpa
 MIN_WORDS = 50
 #: k-gram of the minimisers, window of places, words of the beginnings; window + beginning - 1 <= MIN_WORDS.
 GRAM, PLACES, BEGIN = 8, 18, 32
-CONTEXT = MIN_WORDS - BEGIN
+#: Runs travel in blobs by the top bits of their hash.
+RUN_BITS = 12
 _LAST = (1 << 63) - 1
 
 
-def anchors(text: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(word hashes, minimiser places with BEGIN words after them, hash of those words)."""
+def anchors(text: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """(hash of the BEGIN words at each place, minimiser place of each run of MIN_WORDS words)."""
     raw = np.frombuffer(text, dtype=np.uint8)
     words = word_hashes(raw, *word_bounds(raw))
-    none = np.empty(0, dtype=np.int64)
     if len(words) < MIN_WORDS:
-        return words, none, words[:0]
-    grams = roll(words, GRAM)
-    view = np.lib.stride_tricks.sliding_window_view(grams, PLACES)
-    places = np.unique(view.argmin(axis=1) + np.arange(len(view)))
-    begins = roll(words, BEGIN)
-    places = places[places < len(begins)]
-    return words, places, begins[places]
+        return words[:0], np.empty(0, dtype=np.int64)
+    view = np.lib.stride_tricks.sliding_window_view(roll(words, GRAM), PLACES)[: len(words) - MIN_WORDS + 1]
+    return roll(words, BEGIN), view.argmin(axis=1) + np.arange(len(view))
+
+
+def run_hashes(begins: np.ndarray) -> np.ndarray:
+    """Hash of the MIN_WORDS words at each place: of the two beginnings that cover them."""
+    apart = MIN_WORDS - BEGIN
+    return mix64(mix64(begins[:-apart]) + begins[apart:])
 
 
 def repeated_beginnings(docs: DataFrame) -> DataFrame:
-    """docs(doc, text) -> (doc, key, first): 48-bit hashes of beginnings in doc that occur twice or more in the corpus, and the first document."""
+    """docs(doc, text) -> (doc, key): 48-bit hashes of beginnings in doc that occur twice or more in the corpus."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[int, np.ndarray]] = []
@@ -68,10 +72,11 @@ def repeated_beginnings(docs: DataFrame) -> DataFrame:
 
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).cast(pa.binary()).to_pylist(), strict=True):
-                _, places, begins = anchors(text or b"")
+                begins, places = anchors(text or b"")
                 if len(places):
-                    held.append((doc, begins >> _U(16)))
-                    size += len(places)
+                    keys = begins[np.unique(places)] >> _U(16)
+                    held.append((doc, keys))
+                    size += len(keys)
                 if size >= FLUSH:
                     yield flush()
                     held, size = [], 0
@@ -101,88 +106,136 @@ def repeated_beginnings(docs: DataFrame) -> DataFrame:
             keys, ids = keys[fresh], ids[fresh]
             if not len(keys):
                 continue
-            start = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
-            first = np.repeat(ids[start], np.diff(np.append(start, len(keys))))
             for at in range(0, len(keys), 200_000):
                 part = slice(at, at + 200_000)
-                yield pa.RecordBatch.from_arrays([pa.array(ids[part]), pa.array(keys[part].astype(np.int64)), pa.array(first[part])], names=["doc", "key", "first"])
-
-    return docs.mapInArrow(send, "bucket int, keys binary, ids binary").repartition("bucket").mapInArrow(match, "doc long, key long, first long")
+                yield pa.RecordBatch.from_arrays([pa.array(ids[part]), pa.array(keys[part].astype(np.int64))], names=["doc", "key"])
+
+    return docs.mapInArrow(send, "bucket int, keys binary, ids binary").repartition("bucket").mapInArrow(match, "doc long, key long")
+
+
+def _planes(values: np.ndarray) -> bytes:
+    """Integers as byte planes, which shuffle compression shrinks."""
+    return np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T).tobytes()
+
+
+def _whole(blobs: list[bytes], kind: str) -> np.ndarray:
+    width = np.dtype(kind).itemsize
+    return np.concatenate([np.ascontiguousarray(np.frombuffer(b, dtype=np.uint8).reshape(width, -1).T).view(kind).ravel() for b in blobs])
+
+
+def _split_runs(keys: np.ndarray, docs: np.ndarray, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(entries that are the first of equal runs, entries that are later copies); the same place of a document is no copy."""
+    order = np.argsort(keys, kind="stable")
+    k = keys[order]
+    twin = np.zeros(len(k), dtype=bool)
+    same = k[1:] == k[:-1]
+    twin[1:] |= same
+    twin[:-1] |= same
+    alone, order = order[~twin], order[twin]
+    order = order[np.lexsort((places[order], docs[order], keys[order]))]
+    k = keys[order]
+    head = np.ones(len(k), dtype=bool)
+    head[1:] = k[1:] != k[:-1]
+    first = order[head]
+    own = np.repeat(first, np.diff(np.append(np.flatnonzero(head), len(k))))
+    later = (docs[order] != docs[own]) | (places[order] != places[own])
+    return np.concatenate((alone, first)), order[later]
+
+
+def _spans(docs: np.ndarray, places: np.ndarray) -> list[np.ndarray]:
+    """Columns doc, start, stop: the runs at these places, merged where they overlap or touch."""
+    order = np.lexsort((places, docs))
+    docs, places = docs[order], places[order].astype(np.int64)
+    head = np.ones(len(docs), dtype=bool)
+    head[1:] = (docs[1:] != docs[:-1]) | (places[1:] - places[:-1] > MIN_WORDS)
+    tail = np.append(head[1:], True)[: len(head)]
+    return [docs[head], places[head], places[tail] + MIN_WORDS]
+
+
+def later_copies(docs: DataFrame, repeated: DataFrame) -> DataFrame:
+    """(doc, start, stop): the runs of docs(doc, text) that an earlier document or place has, too; spans may overlap."""
+    # As many as the text has minimisers at most.
+    own = repeated.groupBy("doc").agg(F.sort_array(F.collect_set("key")).alias("own"))
+    joined = docs.join(own, "doc").select("doc", "text", "own")
+    kinds = [pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.int64()]
+    names = ["bucket", "keys", "docs", "places", "doc", "start", "stop"]
 
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, int, np.ndarray]] = []
+        size = 0
 
-def suffix_rows(docs: DataFrame, repeated: DataFrame) -> DataFrame:
-    """(key, check, doc, place, left, right, first) of the suffixes whose beginning is repeated; left reads outwards."""
-    # As many as the text has minimisers at most; sorted by key.
-    own = repeated.groupBy("doc").agg(F.sort_array(F.collect_set(F.struct("key", "first"))).alias("own"))
-    joined = docs.join(own, "doc").select("doc", "text", F.transform("own", lambda x: x["key"]).alias("keys"), F.transform("own", lambda x: x["first"]).alias("firsts"))
+        def flush() -> Iterator[pa.RecordBatch]:
+            keys = np.concatenate([k for k, _, _ in held])
+            ids = np.repeat(np.array([d for _, d, _ in held], dtype=np.int64), [len(k) for k, _, _ in held])
+            places = np.concatenate([p for _, _, p in held])
+            first, later = _split_runs(keys, ids, places)
+            if len(later):
+                found = _spans(ids[later], places[later])
+                none = pa.nulls(len(found[0]), pa.binary())
+                bucket = (found[0] % (1 << RUN_BITS)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(bucket), none, none, none, *map(pa.array, found)], names=names)
+            first = first[np.argsort(keys[first], kind="stable")]
+            keys, ids, places = keys[first], ids[first], places[first]
+            ends = np.searchsorted(keys >> _U(64 - RUN_BITS), np.arange(1 << RUN_BITS, dtype=np.uint64), side="right")
+            starts = np.concatenate(([0], ends[:-1]))
+            parts = [(b, slice(x, y)) for b, (x, y) in enumerate(zip(starts.tolist(), ends.tolist(), strict=True)) if y > x]
+            rows = [(b, keys[p].tobytes(), _planes(ids[p]), _planes(places[p]), None, None, None) for b, p in parts]
+            for at in range(0, len(rows), 512):
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows[at : at + 512], strict=True), kinds, strict=True)], names=names)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for doc, text, keys, firsts in zip(batch.column(0).to_pylist(), batch.column(1).cast(pa.binary()).to_pylist(), batch.column(2), batch.column(3), strict=True):
-                words, places, begins = anchors(text or b"")
-                wanted = keys.values.to_numpy(zero_copy_only=False)
-                short = (begins >> _U(16)).astype(np.int64)
-                at = np.minimum(np.searchsorted(wanted, short), len(wanted) - 1)
-                hit = wanted[at] == short
-                if not hit.any():
+            for doc, text, own in zip(batch.column(0).to_pylist(), batch.column(1).cast(pa.binary()).to_pylist(), batch.column(2), strict=True):
+                begins, kept = anchors(text or b"")
+                if not len(kept):
                     continue
-                places, begins, short = places[hit], begins[hit], short[hit]
-                first = firsts.values.to_numpy(zero_copy_only=False)[at[hit]]
-                code = words.astype(np.uint32)
-                left = [code[max(0, p - CONTEXT) : p][::-1].tobytes() for p in places]
-                right = [code[p + BEGIN : p + BEGIN + CONTEXT].tobytes() for p in places]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(short), pa.array(mix64(begins).view(np.int64)), pa.array([doc] * len(places), pa.int64()), pa.array(places.astype(np.int64)), pa.array(left, pa.binary()), pa.array(right, pa.binary()), pa.array(first)],
-                    names=["key", "check", "doc", "place", "left", "right", "first"],
-                )
-
-    return joined.mapInArrow(run, "key long, check long, doc long, place long, left binary, right binary, first long")
-
-
-def _same(a: bytes, b: bytes) -> int:
-    """Words that two contexts share from their start."""
-    n = min(len(a), len(b))
-    if a[:n] == b[:n]:
-        return n // 4
-    x, y = np.frombuffer(a, np.uint32, n // 4), np.frombuffer(b, np.uint32, n // 4)
-    return int(np.argmax(x != y))
-
-
-def neighbour_matches(suffixes: DataFrame) -> DataFrame:
-    """(doc, start, stop): what suffixes share with an earlier neighbour, extended to both sides."""
-    order = ["key", "check", "doc", "place"]
-    dealt = suffixes.repartitionByRange(*order).sortWithinPartitions(*order)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def span(row: tuple, other: tuple) -> tuple | None:
-            l, r = _same(row[4], other[4]), _same(row[5], other[5])
-            return (row[2], row[3] - l, row[3] + BEGIN + r) if l + BEGIN + r >= MIN_WORDS else None
-
-        first = last = None
+                wanted = own.values.to_numpy(zero_copy_only=False)
+                short = (begins[kept] >> _U(16)).astype(np.int64)
+                places = np.flatnonzero(wanted[np.minimum(np.searchsorted(wanted, short), len(wanted) - 1)] == short)
+                if len(places):
+                    held.append((run_hashes(begins)[places], doc, places.astype(np.uint32)))
+                    size += len(places)
+                if size >= FLUSH:
+                    yield from flush()
+                    held, size = [], 0
+        if held:
+            yield from flush()
+
+    def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+
+        def flush() -> pa.RecordBatch:
+            keys = np.concatenate([np.frombuffer(k, dtype=np.uint64) for k, _, _ in held])
+            ids, places = _whole([d for _, d, _ in held], "<i8"), _whole([p for _, _, p in held], "<u4")
+            later = _split_runs(keys, ids, places)[1]
+            return pa.RecordBatch.from_arrays(list(map(pa.array, _spans(ids[later], places[later]))), names=names[4:])
+
         for batch in batches:
-            out: list[tuple] = []
-            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if first is None or row[:2] != first[:2]:
-                    first = row
-                elif row[2:4] != last[2:4]:
-                    out += {span(row, last), span(row, first)} - {None}
-                    if last is first and first[2] > first[6]:  # the range cut this group: its first row here is a later copy, too
-                        out += {span(first, row)} - {None}
-                last = row
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=["doc", "start", "stop"])
+            known = batch.filter(batch.column(1).is_null())
+            if len(known):
+                yield known.select(names[4:])
+            for bucket, *blob in zip(*(c.to_pylist() for c in batch.columns[:4]), strict=True):
+                if blob[0] is None:
+                    continue
+                if bucket != now:
+                    if held:
+                        yield flush()
+                    now, held = bucket, []
+                held.append(blob)
+        if held:
+            yield flush()
 
-    return dealt.mapInArrow(run, "doc long, start long, stop long")
+    sent = joined.mapInArrow(send, "bucket int, keys binary, docs binary, places binary, doc long, start long, stop long")
+    return sent.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(match, "doc long, start long, stop long")
 
 
 def repeated_passages(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, word_start, word_stop, n_words): merged spans of later copies, in words counted from 0."""
     source = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_LAST)).alias("doc"), F.col(text_col).alias("text"))
     repeated = materialize(repeated_beginnings(source), "beginnings")
-    suffixes = materialize(suffix_rows(source, repeated), "suffixes")
+    found = materialize(later_copies(source, repeated), "copies")
     drop_materialized(repeated)
     _release(docs.sparkSession)
-    spans = neighbour_matches(suffixes).distinct().repartition("doc").sortWithinPartitions("doc", "start", "stop")
+    spans = found.repartition("doc").sortWithinPartitions("doc", "start", "stop")
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now: list[int] | None = None

@@ -157,6 +157,24 @@ def test_suffix_matches_equal_brute_force(spark):
     assert suffix.repeated_passages(docs_of(spark, [])).count() == 0
 
 
+def test_suffix_hot_clauses_with_many_continuations(spark):
+    """Equal beginnings of 32 words and more that go on differently must not hide the two that go on alike."""
+    rng = random.Random(12)
+    fresh = iter(range(10**6))
+    words = lambda n: [f"u{next(fresh)}" for _ in range(n)]
+    docs = [words(20) for _ in range(30)]
+    for _ in range(40):
+        clause, after = words(45), words(10)
+        alike = rng.sample(range(30), 2)
+        for i, doc in enumerate(docs):
+            doc += words(3) + clause + (after if i in alike else []) + words(30)
+    rows = [(i, " ".join(d)) for i, d in enumerate(docs)]
+    got = defaultdict(set)
+    for r in suffix.repeated_passages(docs_of(spark, rows)).collect():
+        got[r["doc_id"]].update(range(r["word_start"], r["word_stop"]))
+    assert dict(got) == covered_by_brute_force(rows) and sum(map(len, got.values())) == 40 * 55
+
+
 def test_suffix_repeated_rows_and_null_ids(spark):
     text = " ".join(f"w{i}" for i in range(70))
     got = suffix.repeated_passages(docs_of(spark, [(1, text), (1, text), (None, text)])).collect()
