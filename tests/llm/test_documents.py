@@ -175,6 +175,31 @@ def test_suffix_hot_clauses_with_many_continuations(spark):
     assert dict(got) == covered_by_brute_force(rows) and sum(map(len, got.values())) == 40 * 55
 
 
+@pytest.mark.parametrize("partitions", [1, 7, 61])
+def test_suffix_result_is_the_same_for_any_number_of_partitions(spark, partitions):
+    rng = random.Random(13)
+    words = lambda n: [f"v{rng.randrange(10**9)}" for _ in range(n)]
+    docs = [words(40) for _ in range(60)]
+    for _ in range(150):
+        passage = words(50)
+        for i in rng.sample(range(60), 2):
+            docs[i] += passage + words(4)
+    rows = [(i, " ".join(d)) for i, d in enumerate(docs)]
+    names = {"spark.sql.shuffle.partitions": str(partitions), "spark.sql.adaptive.coalescePartitions.enabled": "false"}
+    before = {n: spark.conf.get(n) for n in names}
+    try:
+        for n, v in names.items():
+            spark.conf.set(n, v)
+        found = suffix.repeated_passages(docs_of(spark, rows)).collect()
+    finally:
+        for n, v in before.items():
+            spark.conf.set(n, v)
+    got = defaultdict(set)
+    for r in found:
+        got[r["doc_id"]].update(range(r["word_start"], r["word_stop"]))
+    assert dict(got) == covered_by_brute_force(rows)
+
+
 def test_suffix_repeated_rows_and_null_ids(spark):
     text = " ".join(f"w{i}" for i in range(70))
     got = suffix.repeated_passages(docs_of(spark, [(1, text), (1, text), (None, text)])).collect()
