@@ -9,9 +9,9 @@ subclasses depends on the size level of the smaller set, and sets near a level's
 
 Counts and index travel as blobs of sorted, delta-coded hashes, two to twelve bytes an entry. A bucket of the index gives all its pairs if
 it is small; a large one gives pairs with its first member and with the next four of a fixed order, a number linear in
-its size. The pairs are verified on whole texts, and linked nodes form components. In large buckets that still have several
-components, all pairs of different components are then considered, block against block by matrix products in bounded
-tasks, so no link between components is lost and no pair becomes a row.
+its size. The pairs are verified on whole texts, and linked nodes form components. All pairs within large buckets are then considered, block against block by matrix products in
+bounded tasks, which return the links that connect components and the number of links of each node; so no link is lost or
+left uncounted, and no pair becomes a row. The products of a group of many near texts grow with the square of the group.
 
 Defined results: null and empty texts, and texts without words, have an empty set, link with nothing and are their own
 component; rows of equal id are documents of their own with one id; all whole texts are used, none is cut.
@@ -347,28 +347,25 @@ def _release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def _degrees(links: DataFrame) -> DataFrame:
-    return links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
+def _degrees(links: DataFrame, groups: DataFrame, hits: DataFrame) -> DataFrame:
+    """(node, n_links): verified links, but for those within one of groups(node, grp), whose links are counted in hits(node, hits)."""
+    ga, gb = (groups.select(F.col("node").alias(x), F.col("grp").alias(f"grp_{x}")) for x in "ab")
+    apart = links.select("a", "b").distinct().join(ga, "a", "left").join(gb, "b", "left").where("grp_a IS NULL OR grp_b IS NULL OR grp_a <> grp_b")
+    both = apart.select(F.explode(F.array("a", "b")).alias("node"), F.lit(1).cast("long").alias("hits")).unionByName(hits)
+    return both.groupBy("node").agg(F.sum("hits").alias("n_links"))
 
 
-def _split_members(members: DataFrame, label: DataFrame) -> DataFrame:
-    """(key, node, n, part) of the large buckets whose members are in more than one component."""
-    placed = members.join(label, "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part"))
-    split = placed.groupBy("key").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo < hi").select("key")
-    return materialize(placed.join(split, "key", "left_semi"), "split")
-
-
-def _block_links(members: DataFrame, label: DataFrame, texts: DataFrame) -> DataFrame:
-    """Links (a, b) that join components within the large buckets, all pairs of different components considered.
+def _block_links(members: DataFrame, label: DataFrame, texts: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(node, grp) of the members of large buckets, and rows of two kinds: links (a, b) that join components (hits null), and
+    parts of the number of links of node a within its group (b null). All pairs of a group are considered, each once.
 
     Buckets that share members form groups. A group is dealt into blocks by size class (sizes in one class, or in two
     adjoining ones, can be similar) and, within a class, by a hash into blocks of bounded rows and shingles. A task gets
-    two blocks and finds all intersections by products of their incidence matrices; of the links it finds it returns those
-    that connect components, one less than the rows it has at most. So rows stay linear in the group, times its blocks.
+    two blocks and finds all intersections by products of their incidence matrices; it returns how many links each node has
+    in it, and those that connect components, one less than the rows it has at most. So rows stay linear in the group, times
+    its blocks.
     """
-    placed = _split_members(members, label)
-    if placed.isEmpty():
-        return placed.select(F.col("node").alias("a"), F.col("node").alias("b"))
+    placed = materialize(members.join(label, "node", "left").select("key", "node", "n", F.coalesce("component", "node").alias("part")), "placed")
     hub = placed.groupBy("key").agg(F.min("node").alias("hub"))
     groups = components(placed.join(hub, "key").where("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct())
     nodes = placed.select("node", "n", "part").distinct().join(groups.select("node", F.col("component").alias("grp")), "node")
@@ -380,7 +377,7 @@ def _block_links(members: DataFrame, label: DataFrame, texts: DataFrame) -> Data
     x, y = (blocks.select("grp", F.col("size").alias(f"size_{i}"), F.col("block").alias(f"block_{i}")) for i in "xy")
     tasks = x.join(y, "grp").where("(size_x = size_y AND block_x <= block_y) OR size_y = size_x + 1")
     task = ["grp", "size_x", "block_x", "size_y", "block_y"]
-    sides = [tasks.join(dealt.select("grp", F.col("size").alias(f"size_{i}"), F.col("block").alias(f"block_{i}"), "node", "part", "text"), ["grp", f"size_{i}", f"block_{i}"]).select(*task, "node", "part", "text") for i in "xy"]
+    sides = [tasks.join(dealt.select("grp", F.col("size").alias(f"size_{i}"), F.col("block").alias(f"block_{i}"), "node", "part", "text"), ["grp", f"size_{i}", f"block_{i}"]).select(*task, F.lit(i).alias("side"), "node", "part", "text") for i in "xy"]
     rows = sides[0].unionByName(sides[1].where("size_x <> size_y OR block_x <> block_y"))
 
     def compare(frame: pd.DataFrame) -> pd.DataFrame:
@@ -402,6 +399,11 @@ def _block_links(members: DataFrame, label: DataFrame, texts: DataFrame) -> Data
             both += m @ m.T
         both = np.rint(both).astype(np.int64)
         hit = 100 * both >= PERCENT * (sizes[:, None] + sizes[None, :] - both)
+        np.fill_diagonal(hit, False)
+        side = (frame["side"] == "y").to_numpy()
+        if side.any():  # two blocks: pairs of one block have a task of their own
+            hit &= side[:, None] != side[None, :]
+        hits = hit.sum(axis=1)
         i, j = np.nonzero(np.triu(hit & (part[:, None] != part[None, :]), 1))
         up: dict[int, int] = {}
 
@@ -415,15 +417,16 @@ def _block_links(members: DataFrame, label: DataFrame, texts: DataFrame) -> Data
             p, q = root(int(part[k])), root(int(part[l]))
             if p != q:
                 up[max(p, q)] = min(p, q)
-                out.append((min(node[k], node[l]), max(node[k], node[l])))
-        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
+                out.append((min(node[k], node[l]), max(node[k], node[l]), None))
+        out += [(node[k], None, hits[k]) for k in np.flatnonzero(hits).tolist()]
+        return pd.DataFrame({c: pd.array([r[k] for r in out], dtype="Int64") for k, c in enumerate(("a", "b", "hits"))})
 
-    return rows.groupBy(*task).applyInPandas(compare, "a long, b long").distinct()
+    return nodes.select("node", "grp"), rows.groupBy(*task).applyInPandas(compare, "a long, b long, hits long")
 
 
 def similarity_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id, n_links): component_id is the smallest id reachable by links; n_links counts
-    the document's verified links to other texts (within large groups, those that were needed to connect them)."""
+    """(doc_id, n_shingles, component_id, n_links): component_id is the smallest id reachable by links; n_links is
+    the number of other texts (sets of shingles) that link with the document's."""
     spark = docs.sparkSession
     frequent = frequent_shingles(docs, text_col)
     _release(spark)
@@ -452,13 +455,17 @@ def similarity_components(docs: DataFrame, *, id_col: str = "doc_id", text_col:
     pairs = materialize(pairs, "pairs")
     links = materialize(verify(pairs, texts), "links")
     label = components(links)
-    if not members.isEmpty():
-        # Exact rest: whatever different components have in common in a large bucket.
-        more = materialize(_block_links(members, label, texts), "more")
-        if not more.isEmpty():
-            links = links.unionByName(more)
-            label = components(links)
-    label = materialize(label.join(_degrees(links), "node"), "label")
+    if members.isEmpty():
+        degrees = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
+    else:
+        # Exact rest: whatever the members of large buckets have in common.
+        groups, more = _block_links(members, label, texts)
+        more = materialize(more, "more")
+        degrees = _degrees(links, groups, more.where("hits IS NOT NULL").select(F.col("a").alias("node"), "hits"))
+        joining = more.where("b IS NOT NULL").select("a", "b").distinct()
+        if not joining.isEmpty():
+            label = components(links.unionByName(joining))
+    label = materialize(label.join(degrees, "node"), "label")
     labelled = rows.join(label, "node", "left").select("doc", "n", F.coalesce("component", "node").alias("part"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
     labelled = materialize(labelled, "labelled")
     least = labelled.where("part is not null").groupBy("part").agg(F.min("doc").alias("least"))

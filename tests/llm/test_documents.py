@@ -261,6 +261,24 @@ def test_join_equals_brute_force(spark):
     assert sorted(r["doc_id"] for r in left.collect()) == sorted(d for d, _, c in brute_components(rows) if d == c)
 
 
+def brute_links(rows):
+    sets = {doc: frozenset(shingle_set(text.encode()).tolist()) for doc, text in rows}
+    texts = set(sets.values()) - {frozenset()}
+    return {doc: sum(x != y and 100 * len(x & y) >= 75 * len(x | y) for y in texts) if x else 0 for doc, x in sets.items()}
+
+
+def test_links_are_counted_in_small_and_large_buckets(spark):
+    rng = random.Random(6)
+    rows = []
+    for size, copies, changes in ((100, 20, 1), (100, 17, 2), (60, 16, 1), (200, 90, 6), (30, 5, 1), (80, 500, 1)):
+        base = [f"w{rng.randrange(10**6)}" for _ in range(size)]
+        rows += [(len(rows) + k, " ".join(near(rng, base, changes))) for k in range(copies)]
+    rows += [(5000, rows[0][1]), (5001, rows[0][1].upper()), (5002, ""), (5003, "x y")]
+    got = {r["doc_id"]: r["n_links"] for r in jaccard.similarity_components(docs_of(spark, rows)).collect()}
+    want = brute_links(rows)
+    assert got == want and want[0] >= 18
+
+
 def test_join_of_nothing(spark):
     assert jaccard.similarity_components(docs_of(spark, [])).count() == 0
 
