@@ -9,7 +9,7 @@ import tempfile
 import uuid
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: A word is a run of anything but ASCII blank, tab, \n, \v, \f, \r.
@@ -76,6 +76,15 @@ def with_row_key(df: DataFrame, name: str) -> DataFrame:
     return df.withColumn(name, F.monotonically_increasing_id())
 
 
+def ranked(df: DataFrame, order: list[str], name: str) -> DataFrame:
+    """df with its global rank from 0 in this order: ranges are sorted on their own, then counts of the ranges before are added."""
+    own = materialize(df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_at", F.monotonically_increasing_id()), "ranked")
+    part, place = F.shiftright("_at", 33), F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))
+    sizes = own.groupBy(part.alias("_part")).agg(F.max(place).alias("_last"))  # a row per range
+    before = sizes.select("_part", F.coalesce(F.sum(F.col("_last") + 1).over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    return own.withColumn("_part", part).join(F.broadcast(before), "_part").withColumn(name, F.col("_before") + place).drop("_at", "_part", "_before")
+
+
 def free_name(df: DataFrame, base: str) -> str:
     """base, or base with underscores before it, so that it clashes with no column of df (any case)."""
     taken = {c.lower() for c in df.columns}

@@ -1,14 +1,16 @@
-"""Main text of web pages: structure of each page, and differencing against the page nearest by URL.
+"""Main text of web pages: differencing of each page against the page of its host nearest by URL, then structure.
 
-Pages are dealt out in the order of host and URL path, so that the neighbour in a partition is the nearest page of
-the host. The text blocks of both are aligned by longest common subsequence; blocks that the two pages share are
-template text and are deleted. Differencing alone can't tell a paragraph that two articles share from a template, nor
-find an advert that differs on each page; so what stands in an element that declares itself the article is kept, and
-what stands in elements that declare themselves something else is dropped, and the differencing decides on the rest.
+The pages of a host are ordered by URL path; a page's partner is the neighbour in that order whose path has more leading
+segments in common with its own (the one before, if both have as many). Pages of a host with the same lines count as one, so a
+partner always differs. The text lines of both are aligned by longest common subsequence: what they share is template
+text and is deleted. Two rules follow, for what differencing can't tell. A line that both pages show inside an element that declares
+itself the article is a paragraph of both, and stays. A line that differs but stands in an element that declares itself
+something else (an advert that changes from page to page), or outside the article of a page that declares one, goes.
 
-Defined results: null or empty html gives an empty text. A page alone on its host (in its partition) has no partner and
-loses nothing to differencing. At the edge of a partition the partner is the nearest page on the same side. A null URL is
-a host of its own. Pages with equal URLs are ordered by id.
+Only hashes of lines travel to the partners; the order is a global rank, so the number of partitions changes nothing.
+
+Defined results: null or empty html gives an empty text. A page without another page on its host, or with copies of itself only, has no
+partner and loses nothing to differencing. A null URL is a host of its own. Rows of equal id are pages of their own.
 """
 
 from __future__ import annotations
@@ -18,13 +20,16 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Elements whose content is no main text, wherever they are.
-DROPPED = frozenset(
-    "script style noscript template head title nav footer aside form button select option textarea input iframe svg canvas object menu dialog".split()
-)
+from .common import materialize, ranked
+
+#: Elements whose content is no line of the page.
+HIDDEN = frozenset("script style noscript template head title select option textarea input iframe svg canvas object".split())
+#: Elements that declare themselves something else than the article.
+ASIDE = frozenset("nav footer aside form button menu dialog".split())
 #: Words in class, id or role that declare an element something else than the article.
 BOILERPLATE_WORDS = frozenset(
     "ad ads adv advert adverts advertisement advertising sponsored sponsor promo promotion banner cookie cookies consent notice notices gdpr "
@@ -56,8 +61,8 @@ _SPACE = re.compile(r"\s+")
 
 
 def _declares(tag: str, rest: str) -> int:
-    """-1: not the article, 1: the article, 0: nothing."""
-    kind = -1 if tag in DROPPED else 1 if tag in MAIN_ELEMENTS else 0
+    """-2: no line of the page, -1: not the article, 1: the article, 0: nothing."""
+    kind = -2 if tag in HIDDEN else -1 if tag in ASIDE else 1 if tag in MAIN_ELEMENTS else 0
     if kind >= 0 and rest and "=" in rest:
         for name, *values in _MARKS.findall(rest):
             value = next((v for v in values if v), "").lower()
@@ -68,42 +73,42 @@ def _declares(tag: str, rest: str) -> int:
     return kind
 
 
-def text_blocks(page: str) -> list[tuple[bool, str]]:
-    """(stands in the article, text) of each block outside dropped elements, in page order."""
-    blocks: list[tuple[bool, str]] = []
+def page_lines(page: str) -> list[tuple[int, str]]:
+    """(kind, text) of each line of text, in page order; kinds as _declares has them, of the elements around the line."""
+    lines: list[tuple[int, str]] = []
     parts: list[str] = []
     stack: list[tuple[str, int]] = []  # (tag, declares)
-    dropped = mains = 0
+    hidden = aside = mains = 0
     at, n = 0, len(page)
 
     def flush() -> None:
         if parts:
             text = _SPACE.sub(" ", entities.unescape("".join(parts))).strip()
             if text:
-                blocks.append((mains > 0, text))
+                lines.append((-1 if aside else 1 if mains else 0, text))
             parts.clear()
 
     def close(depth: int) -> None:
-        nonlocal dropped, mains
+        nonlocal hidden, aside, mains
         while len(stack) > depth:
             tag, kind = stack.pop()
-            if tag in BLOCKS or kind:
-                if not dropped:
-                    flush()
-            dropped -= kind < 0
-            mains -= kind > 0
+            if (tag in BLOCKS or kind) and not hidden:
+                flush()
+            hidden -= kind == -2
+            aside -= kind == -1
+            mains -= kind == 1
 
     while at < n:
         m = _TOKEN.search(page, at)
         stop = m.start() if m else n
-        if stop > at and not dropped:
+        if stop > at and not hidden:
             parts.append(page[at:stop])
         if not m:
             break
         at = m.end()
         tag = m["tag"]
         if tag is None:
-            if m["cdata"] is not None and not dropped:
+            if m["cdata"] is not None and not hidden:
                 parts.append(m["cdata"].replace("&", "&amp;"))
             continue
         tag = tag.lower()
@@ -113,7 +118,7 @@ def text_blocks(page: str) -> list[tuple[bool, str]]:
                     close(depth)
                     break
             continue
-        if tag == "br" and not dropped:
+        if tag == "br" and not hidden:
             parts.append(" ")
         for depth in range(len(stack) - 1, -1, -1):
             if tag in ENDS_AT.get(stack[depth][0], ()):
@@ -124,105 +129,181 @@ def text_blocks(page: str) -> list[tuple[bool, str]]:
         kind = _declares(tag, m["rest"])
         if tag == "header":  # of the page, not of the article
             kind = 0 if mains else -1
-        if (tag in BLOCKS or kind) and not dropped:
+        if (tag in BLOCKS or kind) and not hidden:
             flush()
         if tag in VOID:
             continue
         if tag in RAW:
             end = re.compile(rf"</{tag}\s*>|\Z", re.I).search(page, at)
-            if kind >= 0 and not dropped:
+            if kind >= 0 and not hidden:
                 parts.append(page[at : end.start()])
             at = end.end()
             continue
         if m["rest"].endswith("/") and tag in ("svg", "path"):
             continue
         stack.append((tag, kind))
-        dropped += kind < 0
-        mains += kind > 0
-    if not dropped:
+        hidden += kind == -2
+        aside += kind == -1
+        mains += kind == 1
+    if not hidden:
         flush()
-    return blocks
+    return lines
 
 
-def shared_lines(a: list[str], b: list[str]) -> set[int]:
-    """Places in a on one longest common subsequence of a and b: bit-parallel, one big integer per line of a."""
-    common = set(a) & set(b)
-    if not common:
-        return set()
-    ia = [i for i, x in enumerate(a) if x in common]
-    jb = [x for x in b if x in common]
-    where: dict[str, int] = {}
-    for j, x in enumerate(jb):
-        where[x] = where.get(x, 0) | 1 << j
-    full = (1 << len(jb)) - 1
-    v, rows = full, []
-    for i in ia:  # a zero bit j of v: the subsequence grows when line j of b is added
-        u = v & where[a[i]]
+#: Bits that one alignment may keep; longer pages are aligned by halves.
+ALIGN_BITS = 1 << 28
+
+
+def _steps(a: list, where: dict, full: int) -> Iterator[int]:
+    """After each line of a, the bits of b: zero where the longest common subsequence grows."""
+    v = full
+    for x in a:
+        u = v & where.get(x, 0)
         v = ((v + u) | (v - u)) & full
-        rows.append(v)
-    out, j = set(), len(jb)
-    for k in range(len(ia) - 1, -1, -1):
+        yield v
+
+
+def _places(b: list) -> dict:
+    where: dict = {}
+    for j, x in enumerate(b):
+        where[x] = where.get(x, 0) | 1 << j
+    return where
+
+
+def shared_lines(a: list, b: list) -> set[int]:
+    """Places in a on one longest common subsequence of a and b. Bit-parallel; equal ends first; in halves if it is long."""
+    low, n = 0, min(len(a), len(b))
+    while low < n and a[low] == b[low]:
+        low += 1
+    high = 0
+    while high < n - low and a[-1 - high] == b[-1 - high]:
+        high += 1
+    out = set(range(low)) | set(range(len(a) - high, len(a)))
+    common = set(a[low : len(a) - high]) & set(b[low : len(b) - high])
+    if not common:
+        return out
+    ia = [i for i in range(low, len(a) - high) if a[i] in common]
+    x, y = [a[i] for i in ia], [z for z in b[low : len(b) - high] if z in common]
+    full = (1 << len(y)) - 1
+    if len(x) * len(y) > ALIGN_BITS and len(x) > 1:
+        half = len(x) // 2
+        for first in _steps(x[:half], _places(y), full):
+            pass
+        for last in _steps(x[:half - 1 : -1], _places(y[::-1]), full):
+            pass
+        ahead = [0]
+        for j in range(len(y)):
+            ahead.append(ahead[-1] + (not first >> j & 1))
+        behind, best, cut = 0, -1, 0
+        for j in range(len(y), -1, -1):
+            if ahead[j] + behind > best:
+                best, cut = ahead[j] + behind, j
+            behind += not last >> (len(y) - j) & 1
+        return out | {ia[i] for i in shared_lines(x[:half], y[:cut])} | {ia[half + i] for i in shared_lines(x[half:], y[cut:])}
+    where = _places(y)
+    rows = list(_steps(x, where, full))
+    j = len(y)
+    for k in range(len(x) - 1, -1, -1):
         if not j:
             break
-        now = ~rows[k] & full & ((1 << j) - 1)
-        before = (~rows[k - 1] & full & ((1 << j) - 1)) if k else 0
+        mask = (1 << j) - 1
+        now = ~rows[k] & mask
+        before = (~rows[k - 1] & mask) if k else 0
         if now.bit_count() > before.bit_count():
             # line k is needed; it matches at the highest place where the count is reached
             top = now.bit_length() - 1
-            hit = where[a[ia[k]]] & ((1 << j) - 1) & ~((1 << top) - 1)
+            hit = where[x[k]] & mask & ~((1 << top) - 1)
             out.add(ia[k])
             j = (hit & -hit).bit_length() - 1 if hit else top
     return out
 
 
-def main_text(blocks: list[tuple[bool, str]], partner: list[tuple[bool, str]] | None) -> str:
-    """The blocks that stay, joined by line feeds."""
-    loose = [text for main, text in blocks if not main]
-    if any(main for main, _ in blocks):
-        kept = [text for main, text in blocks if main]  # the page declares its article: loose lines are around it
-    elif partner:
-        gone = shared_lines(loose, [text for main, text in partner if not main])
-        kept = [text for i, text in enumerate(loose) if i not in gone]
-    else:
-        kept = loose
-    return "\n".join(kept)
+# ---------------------------------------------------------------- Spark
 
 
-def extract_pages(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """id, url, text, n_chars of every page. One range shuffle of the pages; a task holds two pages at a time."""
-    url = F.coalesce(F.col(url_col), F.lit(""))
-    rows = pages.select(
-        F.col(id_col), F.col(url_col), F.col(html_col),
-        F.lower(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1)).alias("_host"),
-        F.regexp_extract(url, r"^(?:[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*)?([^?#]*)", 1).alias("_path"),
-    )
-    order = ["_host", "_path", id_col]
-    dealt = rows.repartitionByRange(*order).sortWithinPartitions(*order)
+def lined_pages(pages: DataFrame, *, id_col: str, url_col: str, html_col: str) -> DataFrame:
+    """(uid, id, url, host, path, kinds, texts, hashes, sig) of every page; texts of lines that can't stay are null."""
+    host = r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)"
+    path = r"^(?:[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*)?([^?#]*)"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last: tuple | None = None  # host, id, url, blocks, partner's blocks if already known
         for batch in batches:
-            out: list[tuple] = []
-            for key, link, page, host, _ in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                blocks = text_blocks(page or "")
-                before = last[3] if last and last[0] == host else None
-                if last:
-                    out.append((*last[1:3], main_text(last[3], last[4] or (blocks if last[0] == host else None))))
-                last = (host, key, link, blocks, before)
-            if out:
-                yield pack(out, batch.schema)
-        if last:
-            yield pack([(*last[1:3], main_text(last[3], last[4]))], schema)
-
-    def pack(rows: list[tuple], _: object) -> pa.RecordBatch:
-        keys, links, texts = zip(*rows, strict=True)
-        return pa.RecordBatch.from_arrays(
-            [pa.array(keys, id_type), pa.array(links, pa.string()), pa.array(texts, pa.string()), pa.array(map(len, texts), pa.int64())],
-            names=[id_col, url_col, "text", "n_chars"],
-        )
-
-    from pyspark.sql.pandas.types import to_arrow_type
-
-    id_type, schema = to_arrow_type(pages.schema[id_col].dataType), None
-    kinds = {c: pages.schema[c].dataType.simpleString() for c in (id_col, url_col)}
-    return dealt.mapInArrow(run, f"`{id_col}` {kinds[id_col]}, `{url_col}` {kinds[url_col]}, text string, n_chars long")
+            kinds, texts, hashes, sigs = [], [], [], []
+            for page in batch.column(2):
+                lines = page_lines(page.as_py() or "")
+                kinds.append([k for k, _ in lines])
+                texts.append([t if k >= 0 else None for k, t in lines])
+                names = [xxhash.xxh3_64_intdigest(("+" if k > 0 else "-") + t) - (1 << 63) for k, t in lines]
+                hashes.append(names)
+                sigs.append(xxhash.xxh3_128_hexdigest(repr(lines)) if lines else None)
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(1), pa.array(kinds, pa.list_(pa.int8())), pa.array(texts, pa.list_(pa.string())), pa.array(hashes, pa.list_(pa.int64())), pa.array(sigs, pa.string())],
+                names=["id", "url", "kinds", "texts", "hashes", "sig"],
+            )
+
+    kind = pages.schema[id_col].dataType.simpleString()
+    lined = pages.select(F.col(id_col), F.col(url_col).cast("string"), F.col(html_col)).mapInArrow(
+        run, f"id {kind}, url string, kinds array<tinyint>, texts array<string>, hashes array<long>, sig string"
+    )
+    link = F.coalesce(F.col("url"), F.lit(""))
+    return lined.select(
+        F.monotonically_increasing_id().alias("uid"), "*",
+        F.lower(F.regexp_extract(link, host, 1)).alias("host"), F.regexp_extract(link, path, 1).alias("path"),
+    )
+
+
+def _leading_segments(a: Column, b: Column) -> Column:
+    """Leading path segments that a and b have in common."""
+    same = F.zip_with(F.split(a, "/"), F.split(b, "/"), lambda x, y: x.eqNullSafe(y))
+    grow = lambda n, e: F.when((n >= 0) & e, n + 1).when(n >= 0, -n - 1).otherwise(n)
+    return F.aggregate(same, F.lit(0), grow, lambda n: F.when(n < 0, -n - 1).otherwise(n))
+
+
+def partners(lined: DataFrame) -> DataFrame:
+    """(host, sig, uid, partner): for each distinct page of a host, the uid of the page it is compared with."""
+    first = lined.where("sig is not null").groupBy("host", "sig").agg(F.min(F.struct("path", "id", "uid")).alias("at"))
+    order = ranked(first.select("host", "sig", "at.path", "at.id", "at.uid"), ["host", "path", "id", "uid"], "rank")
+    near = []
+    for step in (1, -1):
+        side = order.select((F.col("rank") + step).alias("rank"), F.col("host").alias("host_n"), F.col("path").alias("path_n"), F.col("uid").alias("uid_n"))
+        near.append(order.join(side, "rank").where("host = host_n").withColumn("like", _leading_segments(F.col("path"), F.col("path_n"))).withColumn("before", F.lit(step)))
+    best = near[0].unionByName(near[1]).groupBy("uid").agg(F.max(F.struct("like", "before", "uid_n")).alias("best"), F.first("host").alias("host"), F.first("sig").alias("sig"))
+    return best.select("host", "sig", "uid", F.col("best.uid_n").alias("partner"))
+
+
+def template_lines(lined: DataFrame) -> DataFrame:
+    """(host, sig, shared): which lines of a page are on the common subsequence with its partner; pages that share none are left out."""
+    pairs = materialize(partners(lined), "partners")
+    own = lined.select("uid", "hashes")
+    other = lined.select(F.col("uid").alias("partner"), F.col("hashes").alias("others"))
+
+    def align(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            masks = []
+            for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                hit = shared_lines(a, b)
+                masks.append([i in hit for i in range(len(a))] if hit else None)
+            out = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(masks, pa.list_(pa.bool_()))], names=["host", "sig", "shared"])
+            yield out.filter(out.column(2).is_valid())
+
+    return pairs.join(own, "uid").join(other, "partner").select("host", "sig", "hashes", "others").mapInArrow(align, "host string, sig string, shared array<boolean>")
+
+
+def extract_pages(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """id, url, text, n_chars of every page; n_lines of it, n_shared with its partner, n_template: those deleted by differencing.
+
+    A page with copies on its host is aligned once; its copies take the same lines.
+    """
+    lined = materialize(lined_pages(pages, id_col=id_col, url_col=url_col, html_col=html_col), "lined")
+    shared = materialize(template_lines(lined), "shared")
+    rows = lined.select("id", "url", "host", "sig", "kinds", "texts").join(shared, ["host", "sig"], "left")
+    declared = F.array_contains("kinds", F.lit(1).cast("tinyint"))
+    hit = lambda i: F.coalesce(F.get("shared", i), F.lit(False))
+    stays = lambda k, i: (k == 1) | ((k == 0) & ~declared & ~hit(i))
+    kept = F.filter(F.transform("texts", lambda t, i: F.when(stays(F.get("kinds", i), i), t)), lambda t: t.isNotNull())
+    rows = rows.select(
+        F.col("id").alias(id_col), F.col("url").alias(url_col), F.array_join(kept, "\n").alias("text"),
+        F.size("kinds").cast("long").alias("n_lines"), F.coalesce(F.size(F.filter("shared", lambda x: x)), F.lit(0)).cast("long").alias("n_shared"),
+        F.size(F.filter("kinds", lambda k, i: (k < 1) & hit(i))).cast("long").alias("n_template"),
+    )
+    return rows.select(id_col, url_col, "text", F.char_length("text").cast("long").alias("n_chars"), "n_lines", "n_shared", "n_template")

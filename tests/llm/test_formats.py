@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import re
 
 import pytest
 from hypothesis import given, settings
@@ -146,19 +147,78 @@ PAGE = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style><script>v
 <div class="comments"><p>First!</p></div><p>Last</article></main><footer>&copy; F</footer></body></html>"""
 
 
+def text_of(lines):
+    declared = any(k == 1 for k, _ in lines)
+    return "\n".join(t for k, t in lines if k == 1 or k == 0 and not declared)
+
+
 def test_structure():
-    assert html.main_text(html.text_blocks(PAGE), None) == "Head & shoulders\nBold text\nNext line <x> é\nLast"
-    assert html.main_text(html.text_blocks(""), None) == "" and html.text_blocks("a < b") == [(False, "a < b")]
-    assert html.text_blocks("<div>a<div>b") == [(False, "a"), (False, "b")] and html.text_blocks("x<script>y") == [(False, "x")]
+    assert text_of(html.page_lines(PAGE)) == "Head & shoulders\nBold text\nNext line <x> é\nLast"
+    assert [t for k, t in html.page_lines(PAGE) if k == -1] == ["Site", "Menu", "Buy", "Accept", "Side", "Go", "First!", "© F"]
+    assert html.page_lines("") == [] and html.page_lines("a < b") == [(0, "a < b")]
+    assert html.page_lines("<div>a<div>b") == [(0, "a"), (0, "b")] and html.page_lines("x<script>y") == [(0, "x")]
 
 
-def test_pages_without_structure_lose_what_their_neighbour_has(spark):
-    page = lambda x: f"<div>Top</div><div>{x}</div><div>Bottom</div>"
-    rows = [(i, f"http://h/a/{i}", page(f"text {i}")) for i in range(6)] + [(10, None, None), (11, "http://other/x", page("alone")), (12, "http://art/1", "<article><p>same</p></article>"), (13, "http://art/2", "<article><p>same</p></article>")]
-    frame = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "1 AS text").coalesce(1)
-    spark.conf.set("spark.sql.shuffle.partitions", "1")
-    got = {r["page_id"]: r["text"] for r in html.extract_pages(frame).collect()}
+def test_long_alignments_go_by_halves(monkeypatch):
+    rng = random.Random(5)
+    pairs = [([rng.randrange(5) for _ in range(rng.randrange(30))], [rng.randrange(5) for _ in range(rng.randrange(30))]) for _ in range(300)]
+    monkeypatch.setattr(html, "ALIGN_BITS", 10)
+    for a, b in pairs:
+        got, rest = html.shared_lines(a, b), iter(b)
+        assert len(got) == lcs_length(a, b) and all(a[i] in rest for i in sorted(got))
+
+
+def brute_pages(rows):
+    """Texts by the definition: partner by whole pages, alignment by the table of lengths."""
+    parsed = {}
+    for i, (_, url, page) in enumerate(rows):
+        link = re.sub(r"[?#].*", "", url or "", flags=re.S)
+        host = re.match(r"[a-z]+://([^/]*)", link)
+        parsed[i] = (host[1] if host else "", link[host.end() :] if host else link, html.page_lines(page or ""))
+    out = {}
+    for i, (host, _, lines) in parsed.items():
+        firsts = {}
+        for j, (h, path, other) in parsed.items():
+            if h == host and other:
+                at = (path, rows[j][0], j)
+                firsts[repr(other)] = min(firsts.get(repr(other), at), at)
+        order = sorted(firsts.values())
+        gone = set()
+        if lines:
+            k = order.index(firsts[repr(lines)])
+            near = [order[j] for j in (k - 1, k + 1) if 0 <= j < len(order)]
+            like = lambda x: next((n for n, (a, b) in enumerate(zip(order[k][0].split("/"), x[0].split("/"))) if a != b), min(order[k][0].count("/"), x[0].count("/")) + 1)  # noqa: B023, B905, E731
+            if near:
+                other = parsed[max(near, key=lambda x: (like(x), x < order[k]))[2]][2]  # noqa: B023
+                gone = html.shared_lines([(k == 1, t) for k, t in lines], [(k == 1, t) for k, t in other])
+        declared = any(k == 1 for k, _ in lines)
+        out[i] = "\n".join(t for n, (k, t) in enumerate(lines) if k == 1 or k == 0 and not declared and n not in gone)
+    return sorted((rows[i][0], t) for i, t in out.items())
+
+
+def test_pages_lose_what_their_partner_has(spark):
+    rng = random.Random(8)
+    words = ["menu", "home", "story", "news", "sport", "end"]
+    rows = []
+    for i in range(90):
+        body = "".join(f"<p>{rng.choice(words)} {rng.randrange(3)}</p>" for _ in range(rng.randrange(6)))
+        if i % 3 == 0:
+            body = f"<div>Top</div>{'<article>' if i % 2 else ''}<p>own {i}</p>{body}{'</article>' if i % 2 else ''}<p>Bottom</p>"
+        rows.append((i, f"http://h{rng.randrange(3)}/{rng.choice('abc')}/{rng.choice(['', 'x/', 'y/'])}{rng.randrange(9)}?q={i}", body))
+    rows += [(100 + i, *rows[0][1:]) for i in range(5)] + [(200, None, None), (201, None, "<p>one"), (202, "http://alone/1", "<p>Top<p>x"), (203, "http://copies/1", "<p>Top"), (204, "http://copies/2", "<p>Top")]
+    frame = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "1 AS text", "2 AS host", "3 AS uid")
+    want = brute_pages(rows)
+    for n in (1, 3, 11):
+        spark.conf.set("spark.sql.shuffle.partitions", str(n))
+        got = html.extract_pages(frame.repartition(n)).collect()
+        assert sorted((r["page_id"], r["text"]) for r in got) == want
     spark.conf.set("spark.sql.shuffle.partitions", "4")
-    assert {i: got[i] for i in range(6)} == {i: f"text {i}" for i in range(6)}
-    assert got[10] == "" and got[11] == "Top\nalone\nBottom" and got[12] == got[13] == "same"
+    assert sum(r["n_template"] for r in got) > 50 and all(r["n_chars"] == len(r["text"]) for r in got)
     assert html.extract_pages(frame.where("false")).count() == 0
+
+
+def test_very_long_pages(spark):
+    page = "".join(f"<p>line {i % 700}</p>" for i in range(20_000))
+    rows = [(1, "http://h/1", page + "<p>one"), (2, "http://h/2", page + "<p>two"), (2, "http://h/2", page + "<p>two")]
+    got = html.extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert sorted((r["page_id"], r["text"]) for r in got) == [(1, "one"), (2, "two"), (2, "two")]
