@@ -135,36 +135,39 @@ MIX_SQL = (
 ORACLE_SQL: dict[str, str] = {
     "op1_decontaminate": f"""
         WITH it AS (
-            SELECT item_id, {_SQL_WORDS.format("text")} AS w FROM benchmark WHERE text IS NOT NULL
+            SELECT DISTINCT item_id, {_SQL_WORDS.format("text")} AS w FROM benchmark WHERE text IS NOT NULL
         ), items AS (
-            SELECT item_id, w, len(w) AS size FROM it WHERE len(w) >= 7
+            SELECT row_number() OVER () AS it, item_id, w, len(w) AS size, least(5, len(w)) AS k FROM it WHERE len(w) > 0
         ), ish AS (
-            SELECT item_id, size, unnest(range(1, size - 3)) AS o, w FROM items
+            SELECT it, size, k, unnest(range(1, size - k + 2)) AS o, w FROM items
         ), ishingles AS (
-            SELECT item_id, size, o, array_to_string(w[o:o + 4], ' ') AS s FROM ish
+            SELECT it, size, k, o, array_to_string(w[o:o + k - 1], ' ') AS s FROM ish
         ), df AS (
-            SELECT s, count(DISTINCT item_id) AS df FROM ishingles GROUP BY s
+            SELECT s, count(DISTINCT it) AS df FROM ishingles GROUP BY s
         ), n AS (
             SELECT count(*) AS n FROM items
         ), weights AS (
-            SELECT DISTINCT i.item_id, i.size, i.s, ln(1 + n.n / df.df) AS weight FROM ishingles i JOIN df ON i.s = df.s CROSS JOIN n
+            SELECT DISTINCT i.it, i.s, ln(1 + n.n / df.df) AS weight FROM ishingles i JOIN df ON i.s = df.s CROSS JOIN n
         ), totals AS (
-            SELECT item_id, sum(weight) AS total FROM weights GROUP BY item_id
+            SELECT it, sum(weight) AS total FROM weights GROUP BY it
         ), dw AS (
-            SELECT doc_id, {_SQL_WORDS.format("text")} AS w FROM documents WHERE text IS NOT NULL
+            SELECT row_number() OVER () AS d, doc_id, {_SQL_WORDS.format("text")} AS w FROM documents WHERE text IS NOT NULL
+        ), dk AS (
+            SELECT d, k, w FROM dw, (SELECT DISTINCT k FROM items) x WHERE len(w) >= k
         ), dpos AS (
-            SELECT doc_id, unnest(range(1, len(w) - 3)) AS p, w FROM dw WHERE len(w) >= 7
+            SELECT d, k, unnest(range(1, len(w) - k + 2)) AS p, w FROM dk
         ), dsh AS (
-            SELECT doc_id, len(w) AS n, p, array_to_string(w[p:p + 4], ' ') AS s FROM dpos
+            SELECT d, k, len(w) AS n, p, array_to_string(w[p:p + k - 1], ' ') AS s FROM dpos
         ), starts AS (
-            SELECT DISTINCT d.doc_id, i.item_id, i.size, greatest(0, least(d.p - i.o, d.n - i.size)) AS start FROM dsh d JOIN ishingles i ON d.s = i.s
+            SELECT DISTINCT d.d, i.it, i.size, i.k, greatest(0, least(d.p - i.o, d.n - i.size)) AS start FROM dsh d JOIN ishingles i ON d.s = i.s AND d.k = i.k
         ), inside AS (
-            SELECT DISTINCT st.doc_id, st.item_id, st.size, st.start, d.s FROM starts st JOIN dsh d ON d.doc_id = st.doc_id AND d.p > st.start AND d.p + 4 <= st.start + st.size
+            SELECT DISTINCT st.d, st.it, st.start, d.s FROM starts st JOIN dsh d ON d.d = st.d AND d.k = st.k AND d.p > st.start AND d.p + d.k - 1 <= st.start + st.size
         ), scored AS (
-            SELECT x.doc_id, x.item_id, x.start, sum(w.weight) AS shared, sum(CASE WHEN w.weight IS NULL THEN ln(1 + n.n) ELSE 0 END) AS extra
-            FROM inside x LEFT JOIN weights w ON w.item_id = x.item_id AND w.s = x.s CROSS JOIN n GROUP BY x.doc_id, x.item_id, x.start
+            SELECT x.d, x.it, x.start, sum(w.weight) AS shared, sum(CASE WHEN w.weight IS NULL THEN ln(1 + n.n) ELSE 0 END) AS extra
+            FROM inside x LEFT JOIN weights w ON w.it = x.it AND w.s = x.s CROSS JOIN n GROUP BY x.d, x.it, x.start
         ), sims AS (
-            SELECT doc_id, s.item_id, start, round(shared / (total + extra), 6) AS similarity FROM scored s JOIN totals t ON s.item_id = t.item_id
+            SELECT dw.doc_id, items.item_id, start, round(shared / (total + extra), 6) AS similarity
+            FROM scored s JOIN totals t ON s.it = t.it JOIN items ON items.it = s.it JOIN dw ON dw.d = s.d
         ), ranked AS (
             SELECT *, row_number() OVER (PARTITION BY doc_id, item_id ORDER BY similarity DESC, start) AS r FROM sims WHERE similarity >= 0.75
         )

@@ -317,7 +317,7 @@ def test_components_of_a_long_chain_and_a_star(spark):
 def test_leaks(spark):
     rng = random.Random(8)
     text = lambda n: " ".join(f"q{rng.randrange(500)}" for _ in range(n))
-    items = [(i, text(n)) for i, n in enumerate((15, 20, 37, 57))] + [(8, None), (9, ""), (10, "too few words"), (11, text(7))]
+    items = [(i, text(n)) for i, n in enumerate((15, 20, 37, 57))] + [(8, None), (9, ""), (10, "no such words"), (11, text(7))]
     one = items[2][1].split()
     one[2] = "changed"
     rows = [(1, f"{text(30)} {items[0][1]} {text(40)}"), (2, text(300)), (3, f"x {' '.join(one)}"), (4, items[3][1].upper()), (5, None), (6, ""), (7, "a b"), (8, items[2][1][: len(items[2][1]) // 2]), (9, f"{text(3)} {items[1][1]}"), (9, f"{text(3)} {items[1][1]}")]
@@ -331,6 +331,64 @@ def test_leaks(spark):
     assert decontam.find_leaks(docs_of(spark, []), bench).count() == 0 and decontam.find_leaks(docs, bench.where("false")).count() == 0
 
 
+def leaks_by_sql(rows, items):
+    import duckdb
+    import pandas as pd
+
+    from hyperpath.llm.queries import ORACLE_SQL
+
+    con = duckdb.connect()
+    con.register("documents", pd.DataFrame(rows, columns=["doc_id", "text"]))
+    con.register("benchmark", pd.DataFrame(items, columns=["item_id", "text"]))
+    return sorted(con.execute(ORACLE_SQL["op1_decontaminate"]).fetchall())
+
+
+def found_leaks(spark, rows, items):
+    got = decontam.find_leaks(docs_of(spark, rows), spark.createDataFrame(items, "item_id long, text string"))
+    return sorted((r["doc_id"], r["item_id"], r["word_start"], r["similarity"]) for r in got.collect())
+
+
+def test_leaks_with_a_common_opening_equal_sql(spark):
+    """Forty items of ten words with one opening, each planted with one word changed at four alignments."""
+    rng = random.Random(12)
+    items = [(i, " ".join(["which", "is", "the", "best", "of", "all", *(f"v{i}x{j}" for j in range(4))])) for i in range(40)]
+    rows = []
+    for i, text in items:
+        for lead in range(4):
+            w = text.split()
+            w[0] = "changed"
+            rows.append((len(rows), " ".join([*(f"f{rng.randrange(999)}" for _ in range(20 + lead)), *w, *(f"f{rng.randrange(999)}" for _ in range(9))])))
+    got = found_leaks(spark, rows, items)
+    assert got == leaks_by_sql(rows, items) and len(got) == 160
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_leaks_of_all_sizes_equal_sql(spark, seed):
+    rng = random.Random(seed)
+    word = lambda: f"q{min(int(rng.expovariate(0.01)), 900)}"
+    items = [(n, " ".join(word() for _ in range(n))) for n in (*range(1, 40), 55, 70, 90)]
+    items += [(100 + i, items[30 + i][1].rsplit(" ", 5)[0] + " other end of this one") for i in range(4)]
+    rows = []
+    for _ in range(400):
+        w = rng.choice(items)[1].split()
+        for _ in range(rng.choice((0, 0, 1, 1, 2, 3))):
+            at, kind = rng.randrange(len(w)), rng.randrange(3)
+            w[at : at + (kind < 2)] = [] if kind == 0 else [word()]
+            w = w or ["x"]
+        if rng.random() < 0.2:
+            w = w[rng.randrange(len(w)) :]
+        rows.append((len(rows), " ".join([*(word() for _ in range(rng.choice((0, 3, 17)))), *w, *(word() for _ in range(rng.choice((0, 5))))])))
+    got, want = found_leaks(spark, rows, items), leaks_by_sql(rows, items)
+    assert got == want and len({d for d, *_ in want}) > 150
+
+
+def test_leaks_in_long_texts(spark):
+    item = " ".join(f"i{j}" for j in range(200))
+    long = " ".join(f"w{j}" for j in range(60_000))
+    rows = [(1, f"{long} {item} {long}"), (2, long), (3, item.replace("i100 ", "")), (4, item)]
+    assert [(d, s) for d, _, s, _ in found_leaks(spark, rows, [(7, item), (8, "i5 i6 i7 i8 i9 i10")])] == [(1, 60_000), (1, 60_005), (3, 0), (3, 5), (4, 0), (4, 5)]
+
+
 # ---- mixing
 
 
