@@ -19,8 +19,10 @@ import html as entities
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import xxhash
+import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -220,36 +222,37 @@ def shared_lines(a: list, b: list) -> set[int]:
 
 # ---------------------------------------------------------------- Spark
 
+#: Pages with template lines, and bytes of their marks, that are broadcast; more are joined.
+BROADCAST_PAGES, BROADCAST_BYTES = 500_000, 32 << 20
 
-def lined_pages(pages: DataFrame, *, id_col: str, url_col: str, html_col: str) -> DataFrame:
-    """(uid, id, url, host, path, kinds, texts, hashes, sig) of every page; texts of lines that can't stay are null."""
-    host = r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)"
-    path = r"^(?:[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*)?([^?#]*)"
+
+def _line_hashes(lines: list[tuple[int, str]]) -> np.ndarray:
+    """Lines are equal if their texts are, and either both or none stand in an article."""
+    return np.array([xxhash.xxh3_64_intdigest(("+" if k > 0 else "-") + t) for k, t in lines], dtype=np.uint64).view(np.int64)
+
+
+def _signature(hashes: np.ndarray) -> str | None:
+    return xxhash.xxh3_128_hexdigest(hashes.tobytes()) if len(hashes) else None
+
+
+def _place(url: str) -> list[Column]:
+    link = F.coalesce(F.col(url).cast("string"), F.lit(""))
+    host = F.lower(F.regexp_extract(link, r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1))
+    return [host.alias("host"), F.regexp_extract(link, r"^(?:[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*)?([^?#]*)", 1).alias("path")]
+
+
+def line_names(pages: DataFrame, *, id_col: str, url_col: str, html_col: str) -> DataFrame:
+    """(uid, id, host, path, sig, hashes): the hashes of the lines of every page that has some."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            kinds, texts, hashes, sigs = [], [], [], []
-            for page in batch.column(2):
-                lines = page_lines(page.as_py() or "")
-                kinds.append([k for k, _ in lines])
-                texts.append([t if k >= 0 else None for k, t in lines])
-                names = [xxhash.xxh3_64_intdigest(("+" if k > 0 else "-") + t) - (1 << 63) for k, t in lines]
-                hashes.append(names)
-                sigs.append(xxhash.xxh3_128_hexdigest(repr(lines)) if lines else None)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(kinds, pa.list_(pa.int8())), pa.array(texts, pa.list_(pa.string())), pa.array(hashes, pa.list_(pa.int64())), pa.array(sigs, pa.string())],
-                names=["id", "url", "kinds", "texts", "hashes", "sig"],
-            )
+            hashes = [_line_hashes(page_lines(x.as_py() or "")) for x in batch.column(3)]
+            arrays = [*batch.columns[:3], pa.array(map(_signature, hashes), pa.string()), pa.array(hashes, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(arrays, names=["id", "host", "path", "sig", "hashes"])
 
     kind = pages.schema[id_col].dataType.simpleString()
-    lined = pages.select(F.col(id_col), F.col(url_col).cast("string"), F.col(html_col)).mapInArrow(
-        run, f"id {kind}, url string, kinds array<tinyint>, texts array<string>, hashes array<long>, sig string"
-    )
-    link = F.coalesce(F.col("url"), F.lit(""))
-    return lined.select(
-        F.monotonically_increasing_id().alias("uid"), "*",
-        F.lower(F.regexp_extract(link, host, 1)).alias("host"), F.regexp_extract(link, path, 1).alias("path"),
-    )
+    rows = pages.select(F.col(id_col), *_place(url_col), F.col(html_col)).mapInArrow(run, f"id {kind}, host string, path string, sig string, hashes array<long>")
+    return rows.where("sig is not null").select(F.monotonically_increasing_id().alias("uid"), "*")
 
 
 def _leading_segments(a: Column, b: Column) -> Column:
@@ -259,9 +262,9 @@ def _leading_segments(a: Column, b: Column) -> Column:
     return F.aggregate(same, F.lit(0), grow, lambda n: F.when(n < 0, -n - 1).otherwise(n))
 
 
-def partners(lined: DataFrame) -> DataFrame:
+def partners(named: DataFrame) -> DataFrame:
     """(host, sig, uid, partner): for each distinct page of a host, the uid of the page it is compared with."""
-    first = lined.where("sig is not null").groupBy("host", "sig").agg(F.min(F.struct("path", "id", "uid")).alias("at"))
+    first = named.groupBy("host", "sig").agg(F.min(F.struct("path", "id", "uid")).alias("at"))
     order = ranked(first.select("host", "sig", "at.path", "at.id", "at.uid"), ["host", "path", "id", "uid"], "rank")
     near = []
     for step in (1, -1):
@@ -271,39 +274,68 @@ def partners(lined: DataFrame) -> DataFrame:
     return best.select("host", "sig", "uid", F.col("best.uid_n").alias("partner"))
 
 
-def template_lines(lined: DataFrame) -> DataFrame:
-    """(host, sig, shared): which lines of a page are on the common subsequence with its partner; pages that share none are left out."""
-    pairs = materialize(partners(lined), "partners")
-    own = lined.select("uid", "hashes")
-    other = lined.select(F.col("uid").alias("partner"), F.col("hashes").alias("others"))
+def template_lines(named: DataFrame) -> DataFrame:
+    """(host, sig, shared): a bit per line, set if it is on the common subsequence with the page's partner; pages that share none are left out."""
+    pairs = materialize(partners(named), "partners")
+    own = named.select("uid", "hashes")
+    other = named.select(F.col("uid").alias("partner"), F.col("hashes").alias("others"))
 
     def align(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            masks = []
+            marks = []
             for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
                 hit = shared_lines(a, b)
-                masks.append([i in hit for i in range(len(a))] if hit else None)
-            out = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(masks, pa.list_(pa.bool_()))], names=["host", "sig", "shared"])
+                bits = np.zeros(len(a), dtype=bool)
+                bits[list(hit)] = True
+                marks.append(np.packbits(bits).tobytes() if hit else None)
+            out = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(marks, pa.binary())], names=["host", "sig", "shared"])
             yield out.filter(out.column(2).is_valid())
 
-    return pairs.join(own, "uid").join(other, "partner").select("host", "sig", "hashes", "others").mapInArrow(align, "host string, sig string, shared array<boolean>")
+    return pairs.join(own, "uid").join(other, "partner").select("host", "sig", "hashes", "others").mapInArrow(align, "host string, sig string, shared binary")
 
 
 def extract_pages(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """id, url, text, n_chars of every page; n_lines of it, n_shared with its partner, n_template: those deleted by differencing.
 
-    A page with copies on its host is aligned once; its copies take the same lines.
+    A page with copies on its host is aligned once; its copies take the same lines. Pages are read twice, once for the hashes;
+    the marks of template lines are broadcast if they are counted to be few, else compressed lines are shuffled to them.
     """
-    lined = materialize(lined_pages(pages, id_col=id_col, url_col=url_col, html_col=html_col), "lined")
-    shared = materialize(template_lines(lined), "shared")
-    rows = lined.select("id", "url", "host", "sig", "kinds", "texts").join(shared, ["host", "sig"], "left")
-    declared = F.array_contains("kinds", F.lit(1).cast("tinyint"))
-    hit = lambda i: F.coalesce(F.get("shared", i), F.lit(False))
-    stays = lambda k, i: (k == 1) | ((k == 0) & ~declared & ~hit(i))
-    kept = F.filter(F.transform("texts", lambda t, i: F.when(stays(F.get("kinds", i), i), t)), lambda t: t.isNotNull())
-    rows = rows.select(
-        F.col("id").alias(id_col), F.col("url").alias(url_col), F.array_join(kept, "\n").alias("text"),
-        F.size("kinds").cast("long").alias("n_lines"), F.coalesce(F.size(F.filter("shared", lambda x: x)), F.lit(0)).cast("long").alias("n_shared"),
-        F.size(F.filter("kinds", lambda k, i: (k < 1) & hit(i))).cast("long").alias("n_template"),
-    )
-    return rows.select(id_col, url_col, "text", F.char_length("text").cast("long").alias("n_chars"), "n_lines", "n_shared", "n_template")
+    named = materialize(line_names(pages, id_col=id_col, url_col=url_col, html_col=html_col), "named")
+    shared = materialize(template_lines(named), "shared")
+    rows, size = shared.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("shared")), F.lit(0))).first()
+    kind, link = (pages.schema[c].dataType.simpleString() for c in (id_col, url_col))
+
+    def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pack = zstandard.ZstdCompressor(level=3).compress
+        for batch in batches:
+            sigs, kinds, texts = [], [], []
+            for page in batch.column(3):
+                lines = page_lines(page.as_py() or "")
+                sigs.append(_signature(_line_hashes(lines)))
+                kinds.append(bytes(k + 1 for k, _ in lines))
+                # No line holds a line feed, as white space is one blank.
+                texts.append(pack("\n".join(t if k >= 0 else "" for k, t in lines).encode("utf-8", "surrogatepass")))
+            arrays = [*batch.columns[:3], pa.array(sigs, pa.string()), pa.array(kinds, pa.binary()), pa.array(texts, pa.binary())]
+            yield pa.RecordBatch.from_arrays(arrays, names=["id", "url", "host", "sig", "kinds", "texts"])
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        unpack = zstandard.ZstdDecompressor().decompress
+        for batch in batches:
+            out = []
+            for kinds, texts, mark in zip(*(c.to_pylist() for c in batch.columns[2:]), strict=True):
+                lines = unpack(texts).decode("utf-8", "surrogatepass").split("\n") if kinds else []
+                hit = np.unpackbits(np.frombuffer(mark, dtype=np.uint8), count=len(lines)).tolist() if mark else [0] * len(lines)
+                declared = 2 in kinds
+                kept = [t for t, k, h in zip(lines, kinds, hit, strict=True) if k == 2 or (k == 1 and not declared and not h)]
+                text = "\n".join(kept)
+                out.append((text, len(text), len(lines), sum(hit), sum(h and k < 2 for h, k in zip(hit, kinds, strict=True))))
+            columns = zip(*out, strict=True) if out else [()] * 5
+            arrays = [pa.array(c, t) for c, t in zip(columns, (pa.string(), *[pa.int64()] * 4), strict=True)]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], *arrays], names=[id_col, url_col, "text", "n_chars", "n_lines", "n_shared", "n_template"])
+
+    parsed = pages.select(F.col(id_col), F.col(url_col), _place(url_col)[0], F.col(html_col)).mapInArrow(
+        parse, f"id {kind}, url {link}, host string, sig string, kinds binary, texts binary"
+    )
+    few = rows <= BROADCAST_PAGES and size <= BROADCAST_BYTES
+    joined = parsed.join(F.broadcast(shared) if few else shared, ["host", "sig"], "left").select("id", "url", "kinds", "texts", "shared")
+    return joined.mapInArrow(keep, f"`{id_col}` {kind}, `{url_col}` {link}, text string, n_chars long, n_lines long, n_shared long, n_template long")

@@ -106,20 +106,57 @@ def test_token_counts_equal_the_library(spark, small):
     for text in texts:
         want = len(library.encode(text))
         assert model.count(text) == want == model.count(text, block=7), text[:40]
-    docs = spark.read.parquet(f"{small}/documents.parquet").limit(60).union(spark.createDataFrame([(-1, None, "x", "y", 0)], "doc_id long, text string, lang string, source string, n_chars long"))
+    docs = spark.read.parquet(f"{small}/documents.parquet").union(spark.createDataFrame([(-1, None, "x", "y", 0)], "doc_id long, text string, lang string, source string, n_chars long"))
     for r in count_tokens(docs, path).join(docs, "doc_id").collect():
         assert r["n_tokens"] == len(library.encode(r["text"] or "")) and r["n_bytes"] == len((r["text"] or "").encode()) and r["over_limit"] == (r["n_tokens"] > 4096)
 
 
+def test_transitions_equal_merges():
+    public = pytest.importorskip("public_tokenizers")
+    model = PieceTransducer.load(public.path("piece_bpe_32k.model"))
+    rng = random.Random(3)
+    letters = ["the and ", "\u2581", "aeiou", "日本語テ", "()=_-", "0123456789", "éñßü", "\n\t🙂\x00"]
+    for n in range(1500):
+        pool = "".join(rng.sample(letters, 3))
+        text = "".join(rng.choice(pool) for _ in range(rng.randrange(1, 40))).replace(" ", "\u2581")
+        state, total = model.run(model.root, text)
+        merged = model.merge(text)
+        assert total == sum(1 if p in model.rank else len(p.encode()) for p in merged), (n, text)
+        assert state.window in model.begins and len(state.tokens) == len(state.counts) == len(state.window) + 1
+
+
+def test_small_tables_are_compiled_anew(monkeypatch):
+    from hyperpath.llm import tokens
+
+    monkeypatch.setattr(tokens, "TABLE_LIMIT", 20)
+    pieces = [("\u2581", -9.0, 1), *((c, -9.0, 1) for c in "abc"), ("ab", -1.0, 1), ("bc", -0.5, 1), ("abc", -2.0, 1), ("\u2581a", -3.0, 1)]
+    model = PieceTransducer(pieces)
+    rng = random.Random(4)
+    for _ in range(400):
+        text = "".join(rng.choice("abcd ") for _ in range(rng.randrange(1, 30)))
+        want = sum(1 if p in model.rank else len(p.encode()) for p in model.merge("\u2581" + text.replace(" ", "\u2581")))
+        assert model.count(text) == want == model.count(text, block=3)
+    assert len(model.states) <= 21 and len(model.pairs) <= 21
+
+
 def test_maps_compose_associatively():
     public = pytest.importorskip("public_tokenizers")
     model = PieceTransducer.load(public.path("piece_bpe_32k.model"))
     rng = random.Random(5)
     for _ in range(300):
-        a, b, c = (model.block_map("".join(rng.choice(" \nab") for _ in range(rng.randrange(0, 6)))) for _ in range(3))
+        a, b, c = (model.block_map("".join(rng.choice(" \nabthe") for _ in range(rng.randrange(0, 6)))) for _ in range(3))
         x, y = model.compose(model.compose(a, b), c), model.compose(a, model.compose(b, c))
-        total = lambda m: (m[1] or 0) + (model.emitted[m[0]] if m[0] else 0) + (model.emitted[m[2]] if m[2] else 0)
-        assert total(x) == total(y)
+        assert model.run(model.root, x.head)[1] + x.emitted == model.run(model.root, y.head)[1] + y.emitted and x.leaving is y.leaving
+
+
+def test_token_table_edge_cases(spark):
+    public = pytest.importorskip("public_tokenizers")
+    path = public.path("piece_bpe_32k.model")
+    rows = spark.createDataFrame([(1, "a b", 7), (1, "a b", 8), (None, "x", 9)], "doc_id long, text string, n_tokens long")
+    got = count_tokens(rows, path)
+    assert got.columns == ["doc_id", "n_bytes", "n_tokens", "over_limit"]
+    assert sorted((str(r["doc_id"]), r["n_bytes"], r["n_tokens"]) for r in got.collect()) == [("1", 3, 2), ("1", 3, 2), ("None", 1, 1)]
+    assert count_tokens(rows.where("false"), path).count() == 0
 
 
 # ---- pages
@@ -171,6 +208,7 @@ def test_long_alignments_go_by_halves(monkeypatch):
 def brute_pages(rows):
     """Texts by the definition: partner by whole pages, alignment by the table of lengths."""
     parsed = {}
+    names = lambda lines: repr([(k == 1, t) for k, t in lines])
     for i, (_, url, page) in enumerate(rows):
         link = re.sub(r"[?#].*", "", url or "", flags=re.S)
         host = re.match(r"[a-z]+://([^/]*)", link)
@@ -181,11 +219,11 @@ def brute_pages(rows):
         for j, (h, path, other) in parsed.items():
             if h == host and other:
                 at = (path, rows[j][0], j)
-                firsts[repr(other)] = min(firsts.get(repr(other), at), at)
+                firsts[names(other)] = min(firsts.get(names(other), at), at)
         order = sorted(firsts.values())
         gone = set()
         if lines:
-            k = order.index(firsts[repr(lines)])
+            k = order.index(firsts[names(lines)])
             near = [order[j] for j in (k - 1, k + 1) if 0 <= j < len(order)]
             like = lambda x: next((n for n, (a, b) in enumerate(zip(order[k][0].split("/"), x[0].split("/"))) if a != b), min(order[k][0].count("/"), x[0].count("/")) + 1)  # noqa: B023, B905, E731
             if near:
@@ -196,7 +234,10 @@ def brute_pages(rows):
     return sorted((rows[i][0], t) for i, t in out.items())
 
 
-def test_pages_lose_what_their_partner_has(spark):
+@pytest.mark.parametrize("few", [True, False])
+def test_pages_lose_what_their_partner_has(spark, few, monkeypatch):
+    if not few:
+        monkeypatch.setattr(html, "BROADCAST_PAGES", 0)
     rng = random.Random(8)
     words = ["menu", "home", "story", "news", "sport", "end"]
     rows = []
