@@ -49,12 +49,18 @@ def resolve_links(links: DataFrame, pages: DataFrame, *, how: str = "bucket") ->
     return external_links(rows).groupBy("src", "dst").agg(F.min("pos").cast("int").alias("pos"))
 
 
-def knn_links(embeddings: DataFrame, *, k: int = 50, blocks: int = 4) -> DataFrame:
-    """links(src, dst, pos): the k nearest vectors by cosine, nearest first, ties by id; exact.
+#: Vectors in a block of knn_links: a task holds two blocks and a matrix of their products.
+BLOCK_VECTORS = 2048
 
-    Vectors are grouped in blocks; each pair of blocks is one matrix product, and of its rows only k per source go on.
+
+def knn_links(embeddings: DataFrame, *, k: int = 50, blocks: int | None = None) -> DataFrame:
+    """links(src, dst, pos, sim): the k nearest vectors by cosine, nearest first, ties by id; exact.
+
+    Vectors are dealt into blocks of bounded size, at least four; each pair of blocks is one matrix product, and of its rows only k per
+    source go on. The number of products grows with the square of the vectors, their size doesn't.
     """
-    rows = embeddings.select(F.col("vec_id").cast("long").alias("id"), "embedding", F.pmod("vec_id", F.lit(blocks)).cast("int").alias("block"))
+    blocks = blocks or max(4, -(-embeddings.count() // BLOCK_VECTORS))
+    rows = embeddings.select(F.col("vec_id").cast("long").alias("id"), "embedding", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int").alias("block"))
     packed = rows.groupBy("block").agg(F.sort_array(F.collect_list(F.struct("id", "embedding"))).alias("rows"))
     left = packed.select(F.col("block").alias("b"), F.col("rows").alias("own"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
     pairs = left.join(packed, "block").select("own", "rows").repartition(blocks * blocks)
@@ -71,18 +77,23 @@ def knn_links(embeddings: DataFrame, *, k: int = 50, blocks: int = 4) -> DataFra
                 (a, x), (b, y) = of(own), of(other)
                 sims = x @ y.T
                 sims[a[:, None] == b[None, :]] = -np.inf
-                top = np.argsort(-sims, axis=1, kind="stable")[:, :k]
+                if sims.shape[1] > k:  # all that reach the k-th value, ties too, before the order by id is known
+                    bound = np.partition(sims, -k, axis=1)[:, -k, None]
+                    width = int((sims >= bound - 1e-11).sum(axis=1).max())
+                    top = np.argpartition(-sims, width - 1, axis=1)[:, :width]
+                else:
+                    top = np.tile(np.arange(sims.shape[1]), (len(a), 1))
                 src, dst, sim = np.repeat(a, top.shape[1]), b[top].ravel(), np.take_along_axis(sims, top, 1).ravel()
                 ok = np.isfinite(sim)
                 yield pa.RecordBatch.from_arrays([pa.array(src[ok]), pa.array(dst[ok]), pa.array(sim[ok])], names=["src", "dst", "sim"])
 
     found = pairs.mapInArrow(nearest, "src long, dst long, sim double")
     rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc(F.round("sim", 12)), "dst"))
-    return found.withColumn("pos", (rank - 1).cast("int")).where(F.col("pos") < k).select("src", "dst", "pos")
+    return found.withColumn("pos", (rank - 1).cast("int")).where(F.col("pos") < k).select("src", "dst", "pos", F.round("sim", 12).alias("sim"))
 
 
 def adjacency(links: DataFrame, *, k: int | None = None, titles: DataFrame | None = None, count: str = "after_valid") -> DataFrame:
-    """adj(src, dsts): targets in order of place; with k, of the first k only, counted after or before invalid titles go."""
+    """adj(src, dsts): targets in order of id; with k, of the first k only, counted after or before invalid titles go."""
     place = Window.partitionBy("src").orderBy("pos", "dst")
     if k is not None and count == "before_valid":
         links = links.withColumn("_r", F.row_number().over(place)).where(F.col("_r") <= k)

@@ -36,6 +36,12 @@ def precision_at(dist: DataFrame, windows: DataFrame, *, ks: tuple[int, ...] = (
     return found.unpivot("support", [f"precision_top{k}" for k in ks], "metric", "value").select("metric", "value", "support")
 
 
+def hit_share(rows: DataFrame, *keys: str) -> DataFrame:
+    """rows(keys..., hit, weight) of decisions -> keys, metric, value, support; no decision gives null."""
+    found = rows.groupBy(*keys).agg((F.sum(F.col("hit") * F.col("weight")) / F.nullif(F.sum("weight"), F.lit(0))).alias("value"), F.coalesce(F.sum("weight"), F.lit(0)).cast("long").alias("support"))
+    return found.select(*keys, F.lit("choice_accuracy").alias("metric"), "value", "support")
+
+
 def choice_accuracy(windows: DataFrame, latent: DataFrame, degrees: DataFrame, *, min_degree: int = 3, degree: str = "total", average: str = "micro", anchor: str = "node") -> DataFrame:
     """Share of decisions at nodes of min_degree or more where the heaviest exit that may be taken is the true one.
 
@@ -55,17 +61,17 @@ def choice_accuracy(windows: DataFrame, latent: DataFrame, degrees: DataFrame, *
     rows = moves.join(best, "src", "left").select("path_id", hit.alias("hit"))
     if average == "macro":
         rows = rows.groupBy("path_id").agg(F.avg("hit").alias("hit"))
-    return rows.agg(F.lit("choice_accuracy").alias("metric"), F.avg("hit").alias("value"), F.count("*").alias("support")).select("metric", "value", "support")
+    return hit_share(rows.select("hit", F.lit(1).alias("weight")))
 
 
 def extra_metrics(dist: DataFrame, windows: DataFrame) -> DataFrame:
-    """Mean negative log likelihood (of reachable targets), mean reciprocal rank, coverage, mean lost mass."""
+    """Mean negative log likelihood (unreachable targets count with the least mass), mean reciprocal rank, coverage, mean lost mass."""
     place = ranked(dist).select(F.col("start").alias("cur"), F.col("node_id").alias("target"), "rank", "p")
     rows = windows.select("window_id", "cur", "target").join(place, ["cur", "target"], "left")
     lost = dist.groupBy(F.col("start").alias("cur")).agg(F.sum("p").alias("_kept"))
     rows = rows.join(lost, "cur", "left")
     found = rows.agg(
-        F.count("*").alias("support"), F.avg(F.when(F.col("p") > EPSILON, -F.log("p"))).alias("nll"), F.avg(F.coalesce(1.0 / F.col("rank"), F.lit(0.0))).alias("mrr"),
+        F.count("*").alias("support"), F.avg(-F.log(F.greatest(F.coalesce("p", F.lit(0.0)), F.lit(EPSILON)))).alias("nll"), F.avg(F.coalesce(1.0 / F.col("rank"), F.lit(0.0))).alias("mrr"),
         F.avg(F.col("rank").isNotNull().cast("double")).alias("coverage"), F.avg(1.0 - F.coalesce("_kept", F.lit(0.0))).alias("lost_mass"),
     )
     return found.unpivot("support", ["nll", "mrr", "coverage", "lost_mass"], "metric", "value").select("metric", "value", "support")

@@ -1,14 +1,17 @@
 """The extrapolation model: edge scores from a perceptron over pseudo-coordinates, node features and edge features.
 
-Each training window is one row that carries its ego graph (the nodes and edges that a walk of h steps, and the layers of the
-coordinates, can reach), gathered once. An epoch is one pass: every partition computes the loss and gradient of its
-rows in numpy, partial gradients are summed, and the driver, which holds only the parameters, takes a step. Equal
-windows are one row with a count.
+All windows with one current node share a ball: the edges that h transitions from it can use, and around their ends the nodes and edges
+that the layers of the coordinates can see, in both directions. Balls are numbered and packed once, as arrays, one row each.
+An epoch is one pass: every partition computes losses and gradients of its balls, all windows of a ball and several models at a
+time, partial gradients are summed, and the driver, which holds only the parameters, takes a step. Equal windows are one with a count.
+
+A ball grows with the degrees to the power of h + layers; where hubs make it too large, coords="none" needs the walk's edges only.
 """
 
 from __future__ import annotations
 
 import json
+import pickle
 from collections.abc import Iterator
 from dataclasses import asdict, dataclass, field
 
@@ -17,15 +20,22 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import metrics
 from .store import stored
 
 EPSILON = 1e-12
 #: Prefix positions that the coordinates see.
 MEMORY = 4
+#: Up to so many nodes a ball averages by matrix products, beyond by sums over sorted edges.
+DENSE_NODES = 1024
+#: Numbers in one array of edges by windows by hidden units; more windows go in parts.
+BATCH_NUMBERS = 3_000_000
 
 
 @dataclass
 class ModelConfig:
+    """columns: which edge features the model sees (None: all edge_width). readout: pinv, tail or head, as walk.readout has them."""
+
     edge_width: int = 2
     node_width: int = 2
     layers: int = 2
@@ -34,11 +44,13 @@ class ModelConfig:
     h: int = 2
     coords: str = "gnn"  # or "none": weights don't depend on the prefix
     objective: str = "target"  # or "path"
+    readout: str = "pinv"
     optimizer: str = "adam"  # or "lbfgs"
     epochs: int = 50
     lr: float = 0.01
     l2: float = 1e-4
     seed: int = 42
+    columns: list[int] | None = None
 
 
 @dataclass
@@ -55,7 +67,7 @@ def shapes(config: ModelConfig) -> dict[str, tuple[int, ...]]:
         for layer in range(config.layers):
             out |= {f"own{layer}": (wide, config.width), f"in{layer}": (wide, config.width), f"out{layer}": (wide, config.width), f"bias{layer}": (config.width,)}
             wide = config.width
-    coords = config.width if config.coords == "gnn" else 0
+    coords = wide if config.coords == "gnn" else 0
     inputs = 2 * coords + 2 * config.node_width + config.edge_width
     return out | {"w1": (inputs, config.hidden), "b1": (config.hidden,), "w2": (config.hidden,), "b2": (1,)}
 
@@ -78,202 +90,376 @@ def initial(config: ModelConfig) -> np.ndarray:
     return np.concatenate(parts)
 
 
-class Ego:
-    """One window's graph in local numbers, with the index pairs of all its transitions."""
-
-    def __init__(self, nodes: np.ndarray, features: np.ndarray, src: np.ndarray, dst: np.ndarray, edge_features: np.ndarray, prefix: list[int], suffix: list[int]) -> None:
-        place = {n: i for i, n in enumerate(nodes.tolist())}
-        self.nodes, self.features, self.edge_features = nodes, features, edge_features
-        self.src = np.array([place[n] for n in src.tolist()], dtype=np.int64)
-        self.dst = np.array([place[n] for n in dst.tolist()], dtype=np.int64)
-        self.start = place.get(prefix[-1])
-        self.suffix = [place.get(n) for n in suffix]
-        n = len(nodes)
-        self.seen = np.zeros((n, MEMORY))
-        for j, node in enumerate(prefix[::-1][:MEMORY]):
-            if node in place:
-                self.seen[place[node], j] = 1
+# ---------------------------------------------------------------- balls
+
+
+def _runs(sorted_values: np.ndarray) -> np.ndarray:
+    """Where runs of equal values start."""
+    return np.flatnonzero(np.concatenate(([True], sorted_values[1:] != sorted_values[:-1]))) if len(sorted_values) else np.empty(0, dtype=np.int64)
+
+
+class Sums:
+    """Sums of rows by a key: rows are ordered once, each call is one reduceat."""
+
+    def __init__(self, key: np.ndarray, size: int) -> None:
+        self.order = np.argsort(key, kind="stable")
+        ranked = key[self.order]
+        self.starts, self.size = _runs(ranked), size
+        self.at = ranked[self.starts]
+
+    def __call__(self, rows: np.ndarray) -> np.ndarray:
+        out = np.zeros((self.size, *rows.shape[1:]))
+        if len(self.order):
+            out[self.at] = np.add.reduceat(rows[self.order], self.starts, axis=0)
+        return out
+
+
+class Ball:
+    """Local numbers of a ball's nodes, of all its edges (near) and of the walk's edges, which are in the order of their tails."""
+
+    def __init__(
+        self, nodes: np.ndarray, features: np.ndarray, near: np.ndarray, edges: np.ndarray, edge_features: np.ndarray, start: int, h: int,
+        marks: list[list[tuple[int, int, float]]], suffixes: list[list[int]], counts: list[int],
+    ) -> None:
+        """near, edges: rows (src, dst) of node ids; marks: (node id, slot, weight) of each window."""
+        order = np.argsort(nodes)
+        self.nodes, self.features = nodes[order], features[order]
+        place = {n: i for i, n in enumerate(self.nodes.tolist())}
+        self.near = np.array([[place[a], place[b]] for a, b in near.tolist()], dtype=np.int32).reshape(-1, 2)
+        local = np.array([[place[a], place[b]] for a, b in edges.tolist()], dtype=np.int32).reshape(-1, 2)
+        order = np.lexsort((local[:, 1], local[:, 0]))
+        self.src, self.dst, self.edge_features = local[order, 0], local[order, 1], edge_features[order]
+        self.start, self.h = place.get(start, -1), h
         key = {(a, b): e for e, (a, b) in enumerate(zip(self.src.tolist(), self.dst.tolist(), strict=True))}
-        self.key = key
-        self.back = np.array([key.get((b, a), -1) for a, b in zip(self.src.tolist(), self.dst.tolist(), strict=True)], dtype=np.int64)
-        leaving: dict[int, list[int]] = {}
-        for e, a in enumerate(self.src.tolist()):
-            leaving.setdefault(a, []).append(e)
-        pairs = [(e, f) for e, (a, b) in enumerate(zip(self.src.tolist(), self.dst.tolist(), strict=True)) for f in leaving.get(b, ()) if self.dst[f] != a]
-        self.one, self.two = (np.array(x, dtype=np.int64) for x in (zip(*pairs, strict=True) if pairs else ((), ())))
-        self.mean_in = np.zeros((n, n))
-        self.mean_out = np.zeros((n, n))
-        self.mean_in[self.dst, self.src] = 1
-        self.mean_out[self.src, self.dst] = 1
-        for m in (self.mean_in, self.mean_out):
-            m /= np.maximum(m.sum(axis=1, keepdims=True), 1)
-
-
-def forward(ego: Ego, p: dict[str, np.ndarray], config: ModelConfig) -> dict:
-    """Latent weights of the ego graph's edges, with what the backward pass needs."""
-    tape: dict = {"layers": []}
-    c = None
+        self.back = np.array([key.get((b, a), -1) for a, b in zip(self.src.tolist(), self.dst.tolist(), strict=True)], dtype=np.int32)
+        low, high = np.searchsorted(self.src, self.dst, "left"), np.searchsorted(self.src, self.dst, "right")
+        self.first = np.flatnonzero(self.src == self.start)
+        self.steps = []
+        live = self.first
+        for _ in range(h):  # transitions that a walk from the start can make
+            one = np.repeat(live, high[live] - low[live])
+            two = np.concatenate([np.arange(low[e], high[e]) for e in live.tolist()] or [np.empty(0, dtype=np.int64)]).astype(np.int64)
+            free = self.dst[two] != self.src[one]
+            self.steps.append((one[free], two[free]))
+            live = np.unique(two[free])
+        flat = [(w, place[n], s, x) for w, m in enumerate(marks) for n, s, x in m if n in place]
+        self.marks = tuple(np.array(c) for c in zip(*flat, strict=True)) if flat else (np.empty(0, dtype=np.int64),) * 4
+        self.suffixes = np.array([[place.get(n, -1) for n in s] for s in suffixes], dtype=np.int32).reshape(len(suffixes), -1)
+        self.path = np.full(self.suffixes.shape, -1, dtype=np.int32)
+        for w, row in enumerate(self.suffixes.tolist()):
+            for i, (a, b) in enumerate(zip([self.start, *row], row, strict=False)):
+                self.path[w, i] = key.get((a, b), -1)
+        self.counts = np.array(counts, dtype=np.float64)
+
+    def prepare(self) -> "Ball":
+        """Sorted orders, made where the ball is used: smaller to store than to keep."""
+        n, m = len(self.nodes), len(self.src)
+        self.tails, self.segment = _runs(self.src), np.cumsum(np.concatenate(([0], self.src[1:] != self.src[:-1]))) if m else np.empty(0, dtype=np.int64)
+        self.by_src, self.by_dst = Sums(self.src, n), Sums(self.dst, n)
+        self.into = [(one, two, Sums(one, m), Sums(two, m)) for one, two in self.steps]
+        self.in_degree = np.maximum(np.bincount(self.near[:, 1], minlength=n), 1)[:, None]
+        self.out_degree = np.maximum(np.bincount(self.near[:, 0], minlength=n), 1)[:, None]
+        if n <= DENSE_NODES:
+            link = np.zeros((n, n))
+            link[self.near[:, 0], self.near[:, 1]] = 1
+            self.mean_in, self.mean_out = link.T / self.in_degree, link / self.out_degree
+        else:
+            self.mean_in = self.mean_out = None
+            self.near_src, self.near_dst = Sums(self.near[:, 0], n), Sums(self.near[:, 1], n)
+        return self
+
+    def average(self, x: np.ndarray, into: bool, turned: bool = False) -> np.ndarray:
+        """Means of x (nodes, ...) over in-neighbours (into) or out-neighbours of each node; turned: the transposed map."""
+        flat = x.reshape(len(x), -1)
+        if self.mean_in is not None:
+            m = self.mean_in if into else self.mean_out
+            out = (m.T if turned else m) @ flat
+        else:
+            degree = self.in_degree if into else self.out_degree
+            take, add = (0, self.near_dst) if into != turned else (1, self.near_src)
+            out = add((flat / degree if turned else flat)[self.near[:, take]])
+            out = out if turned else out / degree
+        return out.reshape(x.shape)
+
+    def parts(self, hidden: int) -> Iterator[np.ndarray]:
+        """Windows in parts of bounded size."""
+        step = max(1, BATCH_NUMBERS // max(1, max(len(self.src), len(self.nodes)) * hidden))
+        for at in range(0, len(self.counts), step):
+            yield np.arange(at, min(at + step, len(self.counts)))
+
+
+def _features(ball: Ball, config: ModelConfig) -> np.ndarray:
+    nodes = np.log1p(np.maximum(ball.features, 0))
+    edges = ball.edge_features if config.columns is None else ball.edge_features[:, config.columns]
+    return np.concatenate([nodes[ball.src], nodes[ball.dst], edges], axis=1)
+
+
+def forward(ball: Ball, p: dict[str, np.ndarray], config: ModelConfig, windows: np.ndarray) -> dict:
+    """Latent weights w (edges, windows; one column if they don't depend on the window), with what the backward pass needs."""
+    x = _features(ball, config)
+    tape: dict = {"layers": [], "x": x}
+    score = x @ p["w1"][-x.shape[1] :] + p["b1"]
     if config.coords == "gnn":
-        c = ego.seen
+        place = np.full(len(ball.counts), -1)
+        place[windows] = np.arange(len(windows))
+        window, node, slot, weight = ball.marks
+        own = place[window.astype(np.int64)] >= 0 if len(window) else np.empty(0, dtype=bool)
+        c = np.zeros((len(ball.nodes), len(windows), MEMORY))
+        np.add.at(c, (node[own].astype(np.int64), place[window[own].astype(np.int64)], slot[own].astype(np.int64)), weight[own])
         for layer in range(config.layers):
-            a, b = ego.mean_in @ c, ego.mean_out @ c
+            a, b = ball.average(c, True), ball.average(c, False)
             new = np.tanh(c @ p[f"own{layer}"] + a @ p[f"in{layer}"] + b @ p[f"out{layer}"] + p[f"bias{layer}"])
             tape["layers"].append((c, a, b, new))
             c = new
-    parts = [] if c is None else [c[ego.src], c[ego.dst]]
-    x = np.concatenate([*parts, ego.features[ego.src], ego.features[ego.dst], ego.edge_features], axis=1)
-    hidden = np.maximum(x @ p["w1"] + p["b1"], 0)
+        k = c.shape[2]
+        hidden = np.maximum((c @ p["w1"][:k])[ball.src] + (c @ p["w1"][k : 2 * k])[ball.dst] + score[:, None, :], 0)
+        tape["c"] = c
+    else:
+        hidden = np.maximum(score, 0)[:, None, :]
     z = hidden @ p["w2"] + p["b2"][0]
-    top = np.full(len(ego.nodes), -np.inf)
-    np.maximum.at(top, ego.src, z)
-    e = np.exp(z - top[ego.src])
-    total = np.zeros(len(ego.nodes))
-    np.add.at(total, ego.src, e)
-    return tape | {"x": x, "hidden": hidden, "w": e / total[ego.src]}
+    if not len(z):
+        return tape | {"hidden": hidden, "w": z}
+    e = np.exp(z - np.maximum.reduceat(z, ball.tails, axis=0)[ball.segment])
+    return tape | {"hidden": hidden, "w": e / np.add.reduceat(e, ball.tails, axis=0)[ball.segment]}
+
+
+def backward(ball: Ball, p: dict[str, np.ndarray], config: ModelConfig, tape: dict, dw: np.ndarray) -> dict[str, np.ndarray]:
+    """Gradients of the parameters from those of the weights."""
+    w, hidden, x = tape["w"], tape["hidden"], tape["x"]
+    grads = {}
+    dz = w * (dw - np.add.reduceat(w * dw, ball.tails, axis=0)[ball.segment])
+    grads["b2"] = np.array([dz.sum()])
+    grads["w2"] = np.tensordot(hidden, dz, ([0, 1], [0, 1]))
+    dh = dz[:, :, None] * p["w2"] * (hidden > 0)
+    each = dh.sum(axis=1)
+    grads["w1"], grads["b1"] = np.zeros_like(p["w1"]), each.sum(axis=0)
+    grads["w1"][-x.shape[1] :] = x.T @ each
+    if config.coords == "gnn":
+        c = tape["c"]
+        k = c.shape[2]
+        du, dv = ball.by_src(dh), ball.by_dst(dh)
+        grads["w1"][:k], grads["w1"][k : 2 * k] = np.tensordot(c, du, ([0, 1], [0, 1])), np.tensordot(c, dv, ([0, 1], [0, 1]))
+        dc = du @ p["w1"][:k].T + dv @ p["w1"][k : 2 * k].T
+        for layer in range(config.layers - 1, -1, -1):
+            c, a, b, new = tape["layers"][layer]
+            da = dc * (1 - new**2)
+            for name, value in (("own", c), ("in", a), ("out", b)):
+                grads[f"{name}{layer}"] = np.tensordot(value, da, ([0, 1], [0, 1]))
+            grads[f"bias{layer}"] = da.sum(axis=(0, 1))
+            dc = da @ p[f"own{layer}"].T + ball.average(da @ p[f"in{layer}"].T, True, True) + ball.average(da @ p[f"out{layer}"].T, False, True)
+    return grads
 
 
-def _rooms(ego: Ego, w: np.ndarray) -> np.ndarray:
-    return 1 - np.where(ego.back >= 0, w[ego.back], 0)
+# ---------------------------------------------------------------- walks
 
 
-def walk_mass(ego: Ego, w: np.ndarray, h: int) -> list[np.ndarray]:
-    """Edge mass after 0..h-1 transitions from the start; mass at dead ends is dropped."""
-    mass = [np.where(ego.src == ego.start, w, 0.0)]
-    room = _rooms(ego, w)
-    live = room[ego.one] > EPSILON
-    for _ in range(h - 1):
-        new = np.zeros(len(w))
-        np.add.at(new, ego.two[live], mass[-1][ego.one[live]] * w[ego.two[live]] / room[ego.one[live]])
-        mass.append(new)
+def _rooms(ball: Ball, w: np.ndarray) -> np.ndarray:
+    return 1 - np.where((ball.back >= 0)[:, None], w[ball.back], 0)
+
+
+def transitions_of(config: ModelConfig) -> int:
+    """head reads the ends of the edges after h - 1 transitions, tail and pinv their origins after h."""
+    return config.h - 1 if config.readout == "head" else config.h
+
+
+def walk_mass(ball: Ball, w: np.ndarray, transitions: int, windows: int) -> list[np.ndarray]:
+    """Edge mass after 0.. transitions from the start; mass at dead ends is dropped."""
+    mass = [np.zeros((len(w), windows))]
+    mass[0][ball.first] = w[ball.first]
+    room = _rooms(ball, w)
+    for one, two, _, into in ball.into[:transitions]:
+        go = np.where(room[one] > EPSILON, w[two] / np.maximum(room[one], EPSILON), 0)
+        mass.append(into(mass[-1][one] * go))
     return mass
 
 
-def loss_and_gradient(ego: Ego, vector: np.ndarray, config: ModelConfig) -> tuple[float, np.ndarray]:
-    """Negative log likelihood of the window's target (or suffix), and its gradient."""
+def _pairs(key: np.ndarray, targets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(edge, window) with the key of the edge equal to the target of the window."""
+    order = np.argsort(key, kind="stable")
+    low, high = np.searchsorted(key[order], targets, "left"), np.searchsorted(key[order], targets, "right")
+    edges = np.concatenate([order[a:b] for a, b in zip(low.tolist(), high.tolist(), strict=True)] or [np.empty(0, dtype=np.int64)]).astype(np.int64)
+    return edges, np.repeat(np.arange(len(targets)), high - low)
+
+
+def _target_loss(ball: Ball, w: np.ndarray, config: ModelConfig, windows: np.ndarray, dw: np.ndarray, droom: np.ndarray) -> float:
+    n, counts, steps = len(windows), ball.counts[windows], transitions_of(config)
+    mass = walk_mass(ball, w, steps, n)
+    edge, window = _pairs(ball.dst if config.readout == "head" else ball.src, ball.suffixes[windows, -1])
+    m, full = mass[-1][edge, window], np.broadcast_to(w, mass[-1].shape)
+    dm = np.zeros_like(mass[-1])
+    if config.readout == "pinv":
+        own = full[edge, window]
+        squares, parts = np.bincount(window, own * own, n), np.bincount(window, m * own, n)
+        q = parts / np.maximum(squares, EPSILON)
+        dq = -counts / (q + EPSILON)
+        dm[edge, window] = dq[window] * own / squares[window]
+        dw[edge, window] += dq[window] * (m - 2 * own * q[window]) / squares[window]
+    else:
+        q = np.bincount(window, m, n)
+        dq = -counts / (q + EPSILON)
+        dm[edge, window] = dq[window]
+    room = _rooms(ball, w)
+    for (one, two, from_one, into), before in zip(ball.into[:steps][::-1], mass[-2::-1], strict=True):
+        flow = dm[two] * (room[one] > EPSILON)
+        free = np.maximum(room[one], EPSILON)
+        dw += into(flow * before[one] / free)
+        droom -= from_one(flow * before[one] * w[two] / free**2)
+        dm = from_one(flow * w[two] / free)
+    dw[ball.first] += dm[ball.first]
+    return float((counts * -np.log(q + EPSILON)).sum())
+
+
+def _path_loss(ball: Ball, w: np.ndarray, windows: np.ndarray, dw: np.ndarray, droom: np.ndarray) -> float:
+    n, loss = len(windows), 0.0
+    counts, room = ball.counts[windows], np.broadcast_to(_rooms(ball, w), (len(w), n))
+    full, going = np.broadcast_to(w, (len(w), n)), np.ones(n, dtype=bool)
+    for i in range(ball.path.shape[1]):
+        e = ball.path[windows, i]
+        loss += float(counts[going & (e < 0)].sum()) * -np.log(EPSILON)
+        going = going & (e >= 0)
+        at = np.flatnonzero(going)
+        p = np.maximum(full[e[at], at], EPSILON)
+        loss -= float((counts[at] * np.log(p)).sum())
+        dw[e[at], at] -= counts[at] / p
+        if i:
+            last = ball.path[windows[at], i - 1]
+            r = np.maximum(room[last, at], EPSILON)
+            loss += float((counts[at] * np.log(r)).sum())
+            droom[last, at] += counts[at] / r
+    return loss
+
+
+def loss_and_gradient(ball: Ball, vector: np.ndarray, config: ModelConfig) -> tuple[float, np.ndarray]:
+    """Negative log likelihood of all windows' targets (or suffixes), and its gradient."""
     p = unpack(vector, config)
-    grads = {k: np.zeros(s) for k, s in shapes(config).items()}
-    if ego.start is None or not len(ego.src):
-        return -np.log(EPSILON), np.concatenate([g.ravel() for g in grads.values()])
-    tape = forward(ego, p, config)
-    w = tape["w"]
-    room = _rooms(ego, w)
-    dw, droom = np.zeros(len(w)), np.zeros(len(w))
-    if config.objective == "path":
-        loss, now, last = 0.0, ego.start, None
-        for node in ego.suffix:
-            e = ego.key.get((now, node)) if node is not None else None
-            if e is None:
-                loss -= np.log(EPSILON)
-                break
-            loss -= np.log(max(w[e], EPSILON))
-            dw[e] -= 1 / max(w[e], EPSILON)
-            if last is not None:
-                loss += np.log(max(room[last], EPSILON))
-                droom[last] += 1 / max(room[last], EPSILON)
-            now, last = node, e
+    total = {k: np.zeros(s) for k, s in shapes(config).items()}
+    if not len(ball.first):
+        return -np.log(EPSILON) * float(ball.counts.sum()), np.concatenate([g.ravel() for g in total.values()])
+    loss = 0.0
+    for windows in ball.parts(config.hidden):
+        tape = forward(ball, p, config, windows)
+        w = tape["w"]
+        dw, droom = np.zeros((len(w), len(windows))), np.zeros((len(w), len(windows)))
+        loss += _path_loss(ball, w, windows, dw, droom) if config.objective == "path" else _target_loss(ball, w, config, windows, dw, droom)
+        has = ball.back >= 0
+        dw[ball.back[has]] -= droom[has]  # an edge is the way back of one other at most
+        for name, g in backward(ball, p, config, tape, dw if w.shape[1] > 1 or len(windows) == 1 else dw.sum(axis=1, keepdims=True)).items():
+            total[name] += g
+    return loss, np.concatenate([total[k].ravel() for k in shapes(config)])
+
+
+# ---------------------------------------------------------------- balls from tables
+
+
+def ego_graphs(
+    windows: DataFrame, edges: DataFrame, nodes: DataFrame, *, h: int, layers: int = 2, readout: str = "pinv", whole: bool = False,
+    observations: DataFrame | None = None, memory: int = MEMORY,
+) -> DataFrame:
+    """(cur, n_windows, ball): a row per current node of windows(prefix, suffix, cur, target), ball packed.
+
+    edges(src, dst, f), nodes(node_id, f: in- and out-degree). observations(node_id, seen, weight): what the coordinates see of an agent at a node
+    (default: the node itself). For training, of the edges after h transitions only those at targets are taken; whole takes all, which
+    predictions need. Only the last nodes of a prefix matter.
+    """
+    cut = F.slice("prefix", F.greatest(F.lit(1), F.size("prefix") - memory + 1), F.lit(memory))
+    grouped = stored(windows.select(cut.alias("prefix"), "suffix", "cur").groupBy("cur", "prefix", "suffix").agg(F.count("*").cast("int").alias("count")), "windows")
+    links = edges.select(F.col("src").alias("at"), F.col("dst").alias("to"))
+
+    def spread(reached: DataFrame, by: DataFrame, tag: str) -> DataFrame:
+        return stored(reached.unionByName(reached.join(by, "at").select("cur", F.col("to").alias("at"))).distinct(), tag)
+
+    tails = grouped.select("cur", F.col("cur").alias("at")).distinct()
+    for i in range(h - 1 if readout == "head" or not whole else h):
+        tails = spread(tails, links, f"tails{i}")
+    if readout != "head" and not whole:
+        tails = tails.unionByName(grouped.select("cur", F.element_at("suffix", -1).alias("at"))).distinct()
+    walked = stored(tails.join(edges.withColumnRenamed("src", "at"), "at").select("cur", F.col("at").alias("src"), "dst", "f"), "walked")
+    ball = walked.select("cur", F.explode(F.array("src", "dst")).alias("at")).unionByName(tails).distinct()
+    both = links.unionByName(links.select(F.col("to").alias("at"), F.col("at").alias("to"))).distinct()
+    for i in range(layers):
+        ball = spread(ball, both, f"ball{i}")
+    inside = ball.join(links, "at").join(ball.select("cur", F.col("at").alias("to")), ["cur", "to"])
+    per_near = inside.groupBy("cur").agg(F.collect_list(F.struct("at", "to")).alias("near"))
+    per_edge = walked.groupBy("cur").agg(F.collect_list(F.struct("src", "dst", "f")).alias("edges"))
+    per_node = ball.join(nodes.withColumnRenamed("node_id", "at"), "at").groupBy("cur").agg(F.collect_list(F.struct("at", "f")).alias("nodes"))
+    if observations is None:
+        marked = grouped.withColumn("marks", F.transform(F.reverse("prefix"), lambda n, i: F.struct(n.alias("seen"), i.cast("int").alias("slot"), F.lit(1.0).alias("weight"))))
     else:
-        mass = walk_mass(ego, w, config.h)
-        target = ego.suffix[-1]
-        at = ego.dst == target if target is not None else np.zeros(len(w), dtype=bool)
-        q = mass[-1][at].sum()
-        loss = -np.log(q + EPSILON)
-        dm = np.where(at, -1 / (q + EPSILON), 0.0)
-        live = room[ego.one] > EPSILON
-        one, two = ego.one[live], ego.two[live]
-        for before in mass[-2::-1]:
-            flow = dm[two]
-            np.add.at(dw, two, flow * before[one] / room[one])
-            np.add.at(droom, one, -flow * before[one] * w[two] / room[one] ** 2)
-            dm = np.zeros(len(w))
-            np.add.at(dm, one, flow * w[two] / room[one])
-        dw += np.where(ego.src == ego.start, dm, 0.0)
-    has = ego.back >= 0
-    np.add.at(dw, ego.back[has], -droom[has])
-    inner = np.zeros(len(ego.nodes))
-    np.add.at(inner, ego.src, w * dw)
-    dz = w * (dw - inner[ego.src])
-    grads["b2"][0] = dz.sum()
-    grads["w2"] = tape["hidden"].T @ dz
-    dh = np.outer(dz, p["w2"]) * (tape["hidden"] > 0)
-    grads["w1"], grads["b1"] = tape["x"].T @ dh, dh.sum(axis=0)
-    if config.coords == "gnn":
-        dx = dh @ p["w1"].T
-        k = config.width
-        dc = np.zeros((len(ego.nodes), k))
-        np.add.at(dc, ego.src, dx[:, :k])
-        np.add.at(dc, ego.dst, dx[:, k : 2 * k])
-        for layer in range(config.layers - 1, -1, -1):
-            c, a, b, new = tape["layers"][layer]
-            da = dc * (1 - new**2)
-            grads[f"own{layer}"], grads[f"in{layer}"], grads[f"out{layer}"], grads[f"bias{layer}"] = c.T @ da, a.T @ da, b.T @ da, da.sum(axis=0)
-            dc = da @ p[f"own{layer}"].T + ego.mean_in.T @ (da @ p[f"in{layer}"].T) + ego.mean_out.T @ (da @ p[f"out{layer}"].T)
-    return float(loss), np.concatenate([grads[k].ravel() for k in shapes(config)])
+        slots = grouped.select("prefix").distinct().select("prefix", F.posexplode(F.reverse("prefix")).alias("slot", "node_id"))
+        seen = slots.join(observations, "node_id").groupBy("prefix").agg(F.collect_list(F.struct("seen", "slot", "weight")).alias("marks"))
+        marked = grouped.join(seen, "prefix", "left")
+    per_window = marked.groupBy("cur").agg(F.sort_array(F.collect_list(F.struct("prefix", "suffix", "count", "marks"))).alias("windows"))
+    rows = per_window.join(per_node, "cur", "left").join(per_edge, "cur", "left").join(per_near, "cur", "left")
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for row in batch.to_pylist():
+                found = row["windows"]
+                pairs = lambda rows, a, b: np.array([[x[a], x[b]] for x in rows or ()], dtype=np.int64).reshape(-1, 2)
+                ball = Ball(
+                    np.array([x["at"] for x in row["nodes"] or ()], dtype=np.int64), np.array([x["f"] for x in row["nodes"] or ()], dtype=float).reshape(len(row["nodes"] or ()), -1),
+                    pairs(row["near"], "at", "to"), pairs(row["edges"], "src", "dst"), np.array([x["f"] for x in row["edges"] or ()], dtype=float).reshape(len(row["edges"] or ()), -1),
+                    row["cur"], h, [[(m["seen"], m["slot"], m["weight"]) for m in x["marks"] or ()] for x in found], [x["suffix"] for x in found], [x["count"] for x in found],
+                )
+                ball.prefixes, ball.raw_suffixes = [x["prefix"] for x in found], [x["suffix"] for x in found]
+                out.append((row["cur"], len(found), pickle.dumps(ball, protocol=5)))
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [()] * 3, (pa.int64(), pa.int32(), pa.binary()), strict=True)], names=["cur", "n_windows", "ball"])
 
+    return rows.select("cur", "windows", "nodes", "edges", "near").mapInArrow(pack, "cur long, n_windows int, ball binary")
 
-# ---------------------------------------------------------------- windows with their ego graphs
 
+def _balls(batch: pa.RecordBatch) -> Iterator[Ball]:
+    for blob in batch.column("ball"):
+        yield pickle.loads(blob.as_buffer()).prepare()
 
-def ego_graphs(windows: DataFrame, edges: DataFrame, nodes: DataFrame, *, hops: int = 2) -> DataFrame:
-    """(prefix, suffix, count, nodes array<struct<id, f>>, edges array<struct<src, dst, f>>), one row per distinct window.
 
-    edges(src, dst, f), nodes(node_id, f). Balls are built once per current node, not per window; a ball is bounded by
-    the degree to the power of hops. Only the last MEMORY nodes of a prefix matter.
-    """
-    cut = F.slice("prefix", F.greatest(F.lit(1), F.size("prefix") - MEMORY + 1), F.lit(MEMORY))
-    grouped = windows.select(cut.alias("prefix"), "suffix", "cur").groupBy("prefix", "suffix", "cur").agg(F.count("*").alias("count"))
-    reached = grouped.select(F.col("cur").alias("start"), F.col("cur").alias("at")).distinct()
-    links = edges.select(F.col("src").alias("at"), "dst")
-    for _ in range(hops):
-        reached = reached.unionByName(reached.join(links, "at").select("start", F.col("dst").alias("at"))).distinct()
-    balls = stored(reached, "balls")
-    inside = balls.join(edges.withColumnRenamed("src", "at"), "at").select("start", F.struct(F.col("at").alias("src"), "dst", "f").alias("e"))
-    per_edge = inside.groupBy("start").agg(F.collect_list("e").alias("edges"))
-    ends = inside.select("start", F.explode(F.array("e.src", "e.dst")).alias("node_id")).union(balls.select("start", "at")).distinct()
-    per_node = ends.join(nodes, "node_id").groupBy("start").agg(F.sort_array(F.collect_list(F.struct(F.col("node_id").alias("id"), "f"))).alias("nodes"))
-    return grouped.join(per_node, grouped["cur"] == per_node["start"]).drop("start").join(per_edge, F.col("cur") == per_edge["start"], "left").select("prefix", "suffix", "count", "nodes", "edges")
-
-
-def _egos(batch: pa.RecordBatch, config: ModelConfig) -> Iterator[tuple[int, Ego]]:
-    for row in batch.to_pylist():
-        edges = row["edges"] or []
-        yield row["count"], Ego(
-            np.array([n["id"] for n in row["nodes"]], dtype=np.int64), np.array([n["f"] for n in row["nodes"]], dtype=float).reshape(-1, config.node_width),
-            np.array([e["src"] for e in edges], dtype=np.int64), np.array([e["dst"] for e in edges], dtype=np.int64),
-            np.array([e["f"] for e in edges], dtype=float).reshape(-1, config.edge_width), row["prefix"], row["suffix"],
-        )
-
-
-def _evaluate(rows: DataFrame, vector: np.ndarray, config: ModelConfig) -> tuple[float, np.ndarray]:
-    """Mean loss and gradient over all windows; one row of parameters' size per partition reaches the driver."""
+# ---------------------------------------------------------------- training
+
+
+def evaluate(rows: DataFrame, vectors: list[np.ndarray], configs: list[ModelConfig]) -> list[tuple[float, np.ndarray]]:
+    """Mean loss and gradient over all windows, of each model; one row of parameters' size per partition and model reaches the driver."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        loss, n, grad = 0.0, 0, np.zeros(len(vector))
+        losses, n, grads = [0.0] * len(vectors), 0.0, [np.zeros(len(v)) for v in vectors]
         for batch in batches:
-            for count, ego in _egos(batch, config):
-                one, g = loss_and_gradient(ego, vector, config)
-                loss, n, grad = loss + count * one, n + count, grad + count * g
-        yield pa.RecordBatch.from_arrays([pa.array([loss]), pa.array([n], pa.int64()), pa.array([grad.tolist()], pa.list_(pa.float64()))], names=["loss", "n", "grad"])
+            for ball in _balls(batch):
+                n += float(ball.counts.sum())
+                for i, (vector, config) in enumerate(zip(vectors, configs, strict=True)):
+                    one, g = loss_and_gradient(ball, vector, config)
+                    losses[i] += one
+                    grads[i] += g
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(range(len(vectors)), pa.int32()), pa.array(losses), pa.array([n] * len(vectors)), pa.array([g.tolist() for g in grads], pa.list_(pa.float64()))], names=["model", "loss", "n", "grad"]
+        )
+
+    parts = rows.mapInArrow(run, "model int, loss double, n double, grad array<double>").collect()
+    out = []
+    for i, (vector, config) in enumerate(zip(vectors, configs, strict=True)):
+        own = [p for p in parts if p["model"] == i]
+        n = max(1.0, sum(p["n"] for p in own))
+        grad = np.sum([p["grad"] for p in own], axis=0) / n + config.l2 * vector
+        out.append((sum(p["loss"] for p in own) / n + 0.5 * config.l2 * float(vector @ vector), grad))
+    return out
 
-    parts = rows.mapInArrow(run, "loss double, n long, grad array<double>").collect()
-    n = max(1, sum(p["n"] for p in parts))
-    grad = np.sum([p["grad"] for p in parts], axis=0) / n + config.l2 * vector
-    return sum(p["loss"] for p in parts) / n + 0.5 * config.l2 * float(vector @ vector), grad
 
+def fit_many(rows: DataFrame, configs: list[ModelConfig]) -> list[Model]:
+    """Train models together on ego_graphs() rows, which should be stored: one pass per epoch for all. Same optimizer and epochs."""
+    if configs[0].optimizer == "lbfgs":
+        return [Model(c, *_lbfgs(lambda v, c=c: evaluate(rows, [v], [c])[0], initial(c), c)) for c in configs]
+    x = [initial(c) for c in configs]
+    m, v = [np.zeros_like(a) for a in x], [np.zeros_like(a) for a in x]
+    history: list[list[tuple[int, float]]] = [[] for _ in x]
+    for epoch in range(1, configs[0].epochs + 1):
+        for i, (loss, g) in enumerate(evaluate(rows, x, configs)):
+            history[i].append((epoch, loss))
+            m[i], v[i] = 0.9 * m[i] + 0.1 * g, 0.999 * v[i] + 0.001 * g * g
+            x[i] = x[i] - configs[i].lr * (m[i] / (1 - 0.9**epoch)) / (np.sqrt(v[i] / (1 - 0.999**epoch)) + 1e-8)
+    return [Model(c, a, h) for c, a, h in zip(configs, x, history, strict=True)]
 
-def fit(rows: DataFrame, config: ModelConfig) -> Model:
-    """Train on ego_graphs() rows, which should be stored."""
-    vector = initial(config)
-    return Model(config, *(_lbfgs if config.optimizer == "lbfgs" else _adam)(lambda v: _evaluate(rows, v, config), vector, config))
 
-
-def _adam(f, x: np.ndarray, config: ModelConfig) -> tuple[np.ndarray, list[tuple[int, float]]]:
-    m, v, history = np.zeros_like(x), np.zeros_like(x), []
-    for epoch in range(1, config.epochs + 1):
-        loss, g = f(x)
-        history.append((epoch, loss))
-        m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
-        x = x - config.lr * (m / (1 - 0.9**epoch)) / (np.sqrt(v / (1 - 0.999**epoch)) + 1e-8)
-    return x, history
+def fit(rows: DataFrame, config: ModelConfig) -> Model:
+    return fit_many(rows, [config])[0]
 
 
 def _lbfgs(f, x: np.ndarray, config: ModelConfig, memory: int = 8) -> tuple[np.ndarray, list[tuple[int, float]]]:
@@ -310,61 +496,123 @@ def _lbfgs(f, x: np.ndarray, config: ModelConfig, memory: int = 8) -> tuple[np.n
 # ---------------------------------------------------------------- prediction
 
 
-def predict(rows: DataFrame, model: Model, *, k: int = 5) -> DataFrame:
-    """(prefix, suffix, count, p_target, rank, p_path, decisions, hits, top): for each ego_graphs() row, what the measures need.
+def node_mass(ball: Ball, w: np.ndarray, config: ModelConfig, windows: int) -> np.ndarray:
+    """(nodes, windows): where the walk is after h steps, by the model's readout."""
+    mass = walk_mass(ball, w, transitions_of(config), windows)[-1]
+    if config.readout == "pinv":
+        return ball.by_src(mass * w) / np.maximum(ball.by_src(np.broadcast_to(w * w, mass.shape)), EPSILON)
+    return (ball.by_dst if config.readout == "head" else ball.by_src)(mass)
+
 
-    decisions and hits count junctions of the suffix with three edges or more in the graph of features, judged by its node
-    features (in and out degree first). top: the k likeliest nodes after h steps, joined by commas.
+def best_suffixes(ball: Ball, w: np.ndarray, h: int, k: int) -> list[tuple[float, list[int]]]:
+    """The k likeliest walks of h moves from the start, for the weights w of one window; exact."""
+    room = _rooms(ball, w[:, None])[:, 0]
+    found = [(float(w[e]), [int(e)]) for e in ball.first]
+    leaving: dict[int, list[int]] = {}
+    for e, a in enumerate(ball.src.tolist()):
+        leaving.setdefault(a, []).append(e)
+    for _ in range(h - 1):
+        found = [(p * float(w[f]) / float(room[e[-1]]), [*e, f]) for p, e in found if room[e[-1]] > EPSILON for f in leaving.get(int(ball.dst[e[-1]]), ()) if ball.dst[f] != ball.src[e[-1]]]
+    names = [(p, [int(ball.nodes[ball.dst[e]]) for e in es]) for p, es in found]
+    return sorted(names, key=lambda x: (-round(x[0], 9), x[1]))[:k]
+
+
+_PREDICTED = (
+    "model int, cur long, prefix array<long>, suffix array<long>, count long, p_target double, rank long, p_path double, "
+    "top array<struct<node:long,p:double>>, choices array<struct<degree:long,hit:boolean>>, rivals array<struct<p:double,suffix:array<long>>>"
+)
+
+
+def predict_many(rows: DataFrame, models: list[Model], *, k: int = 5, suffixes: int = 0) -> DataFrame:
+    """For every window of ego_graphs(whole=True) rows and every model: model, cur, prefix, suffix, count, p_target, rank, p_path, top, choices, rivals.
+
+    top: the k likeliest nodes after h steps. choices: at each node of the suffix its degree and whether the heaviest exit that
+    doesn't lead back is the true one; the moves after a miss are judged, too. rivals: the likeliest suffixes, if asked for.
     """
-    config, vector = model.config, model.params
+    known = [(m.params, m.config) for m in models]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def judge(ball: Ball, i: int, vector: np.ndarray, config: ModelConfig) -> Iterator[tuple]:
         p = unpack(vector, config)
-        for batch in batches:
-            out = []
-            for (count, ego), row in zip(_egos(batch, config), batch.to_pylist(), strict=True):
-                pt, rank, pp, decisions, hits, top = 0.0, None, 0.0, 0, 0, ""
-                if ego.start is not None and len(ego.src):
-                    w = forward(ego, p, config)["w"]
-                    at = np.zeros(len(ego.nodes))
-                    np.add.at(at, ego.dst, walk_mass(ego, w, len(ego.suffix))[-1])
-                    order = np.lexsort((ego.nodes, -np.round(at, 9)))
-                    order = order[at[order] > 0]
-                    top = ",".join(str(ego.nodes[i]) for i in order[:k])
-                    if ego.suffix[-1] is not None:
-                        pt = float(at[ego.suffix[-1]])
-                        where = np.flatnonzero(order == ego.suffix[-1])
+        for windows in ball.parts(config.hidden):
+            dead = not len(ball.first)
+            w = None if dead else forward(ball, p, config, windows)["w"]
+            at = None if dead else node_mass(ball, w, config, len(windows))
+            for j, window in enumerate(windows.tolist()):
+                suffix, pt, rank, pp, top, choices, rivals = ball.suffixes[window], 0.0, None, 0.0, [], [], []
+                own = None if dead else w[:, j if w.shape[1] > 1 else 0]
+                if not dead:
+                    order = np.lexsort((ball.nodes, -np.round(at[:, j], 9)))
+                    order = order[at[order, j] > 0]
+                    top = [{"node": int(ball.nodes[x]), "p": float(at[x, j])} for x in order[:k]]
+                    if suffix[-1] >= 0:
+                        pt = float(at[suffix[-1], j])
+                        where = np.flatnonzero(order == suffix[-1])
                         rank = int(where[0]) + 1 if len(where) else None
-                    pp, now, last, room = 1.0, ego.start, None, _rooms(ego, w)
-                    for node in ego.suffix:
-                        exits = [e for e in np.flatnonzero(ego.src == now) if last is None or ego.dst[e] != ego.src[last]]
-                        if row["nodes"][now]["f"][0] + row["nodes"][now]["f"][1] >= 3:
-                            decisions += 1
-                            best = min(exits, key=lambda e: (-round(w[e], 12), ego.nodes[ego.dst[e]]), default=None)
-                            hits += best is not None and ego.dst[best] == node
-                        e = ego.key.get((now, node)) if node is not None else None
-                        if e is None or e not in exits:
-                            pp = 0.0
-                            break
-                        pp *= w[e] / (room[last] if last is not None and room[last] > EPSILON else 1.0)
-                        now, last = node, e
-                out.append((row["prefix"], row["suffix"], count, pt, rank, float(pp), decisions, hits, top))
-            kinds = (pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64(), pa.float64(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.string())
-            names = ["prefix", "suffix", "count", "p_target", "rank", "p_path", "decisions", "hits", "top"]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [()] * 9, kinds, strict=True)], names=names)
-
-    return rows.mapInArrow(run, "prefix array<long>, suffix array<long>, count long, p_target double, rank long, p_path double, decisions long, hits long, top string")
-
-
-def measure(predictions: DataFrame) -> DataFrame:
-    """The four measures over predict() rows: metric, value, support."""
+                    room = _rooms(ball, own[:, None])[:, 0]
+                    pp = 1.0
+                    for step, e in enumerate(ball.path[window].tolist()):
+                        last = ball.path[window, step - 1] if step else -1
+                        bad = e < 0 or (step and last < 0) or (step and ball.dst[e] == ball.src[last]) or (step and room[last] <= EPSILON)
+                        pp *= 0.0 if bad else float(own[e]) / (float(room[last]) if step else 1.0)
+                    rivals = [{"p": x, "suffix": s} for x, s in best_suffixes(ball, own, len(suffix), suffixes)] if suffixes else []
+                walk = [ball.start, *suffix.tolist()]
+                for step in range(len(suffix)):
+                    here, there, before = walk[step], walk[step + 1], walk[step - 1] if step else -1
+                    exits = [] if dead or here < 0 else [e for e in range(np.searchsorted(ball.src, here), np.searchsorted(ball.src, here, "right")) if ball.dst[e] != before]
+                    best = min(exits, key=lambda e: (-round(float(own[e]), 12), ball.nodes[ball.dst[e]]), default=None)
+                    choices.append({"degree": int(ball.features[here].sum()) if here >= 0 else 0, "hit": best is not None and int(ball.dst[best]) == there})
+                yield i, int(ball.nodes[ball.start]) if ball.start >= 0 else None, ball.prefixes[window], ball.raw_suffixes[window], int(ball.counts[window]), pt, rank, pp, top, choices, rivals
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for ball in _balls(batch):
+                out = [r for i, (vector, config) in enumerate(known) for r in judge(ball, i, vector, config)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True) if out else [()] * len(schema), schema, strict=True)], schema=schema)
+
+    schema = pa.schema([
+        ("model", pa.int32()), ("cur", pa.int64()), ("prefix", pa.list_(pa.int64())), ("suffix", pa.list_(pa.int64())), ("count", pa.int64()), ("p_target", pa.float64()),
+        ("rank", pa.int64()), ("p_path", pa.float64()), ("top", pa.list_(pa.struct([("node", pa.int64()), ("p", pa.float64())]))),
+        ("choices", pa.list_(pa.struct([("degree", pa.int64()), ("hit", pa.bool_())]))), ("rivals", pa.list_(pa.struct([("p", pa.float64()), ("suffix", pa.list_(pa.int64()))]))),
+    ])
+    return rows.mapInArrow(run, _PREDICTED)
+
+
+def predict(rows: DataFrame, model: Model, *, k: int = 5, suffixes: int = 0) -> DataFrame:
+    return predict_many(rows, [model], k=k, suffixes=suffixes)
+
+
+def top_nodes(predictions: DataFrame) -> DataFrame:
+    """(model, cur, prefix, suffix, place, node_id, p): the predicted nodes as rows."""
+    rows = predictions.select("model", "cur", "prefix", "suffix", F.posexplode("top").alias("place", "t"))
+    return rows.select("model", "cur", "prefix", "suffix", (F.col("place") + 1).alias("place"), F.col("t.node").alias("node_id"), F.col("t.p").alias("p"))
+
+
+def measure(predictions: DataFrame, *, min_degree: int = 3) -> DataFrame:
+    """The four measures over predict_many() rows: model, metric, value, support."""
     n = F.sum("count")
-    found = predictions.agg(
+    found = predictions.groupBy("model").agg(
         n.alias("support"), (F.sum(F.col("count") * F.col("p_target")) / n).alias("target_probability"),
-        (F.sum(F.col("count") * F.col("hits")) / F.nullif(F.sum(F.col("count") * F.col("decisions")), F.lit(0))).alias("choice_accuracy"),
         *((F.sum(F.when(F.col("rank") <= k, F.col("count")).otherwise(0)) / n).alias(f"precision_top{k}") for k in (1, 5)),
     )
-    return found.unpivot("support", ["target_probability", "choice_accuracy", "precision_top1", "precision_top5"], "metric", "value").select("metric", "value", "support")
+    found = found.unpivot(["model", "support"], ["target_probability", "precision_top1", "precision_top5"], "metric", "value").select("model", "metric", "value", "support")
+    chosen = predictions.select("model", "count", F.explode("choices").alias("c")).where(F.col("c.degree") >= min_degree)
+    return found.unionByName(metrics.hit_share(chosen.select("model", F.col("c.hit").cast("double").alias("hit"), F.col("count").alias("weight")), "model"))
+
+
+def weights_table(rows: DataFrame, model: Model) -> DataFrame:
+    """latent(src, dst, w) of a trained model whose weights don't depend on the prefix (coords="none"), as walk.* take it."""
+    if model.config.coords != "none":
+        raise ValueError("weights depend on the prefix: there is no one table of them")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        p = unpack(model.params, model.config)
+        for batch in batches:
+            for ball in _balls(batch):
+                own = ball.first
+                w = forward(ball, p, model.config, np.arange(1))["w"][own, 0] if len(own) else np.empty(0)
+                yield pa.RecordBatch.from_arrays([pa.array(ball.nodes[ball.src[own]]), pa.array(ball.nodes[ball.dst[own]]), pa.array(w)], names=["src", "dst", "w"])
+
+    return rows.mapInArrow(run, "src long, dst long, w double")
 
 
 def save_model(spark: SparkSession, model: Model, path: str) -> None:

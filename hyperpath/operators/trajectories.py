@@ -60,15 +60,22 @@ def windows(paths: DataFrame, *, horizons: tuple[int, ...] = (1, 2, 3), min_pref
     return rows.withColumn("cur", F.element_at("prefix", -1)).withColumn("target", F.element_at("suffix", -1))
 
 
-def observe(steps: DataFrame, *, kind: str = "onehot", k_nearest: int = 5, neighbours: DataFrame | None = None) -> DataFrame:
-    """(path_id, step, node_id, weight) with unit sum per step: the node itself, or the k nearest nodes.
+def nearest_nodes(nodes: DataFrame, neighbours: DataFrame, *, k_nearest: int = 5) -> DataFrame:
+    """(node_id, seen, weight): what is seen of an agent at a node: the node and its nearest ones, with unit sum.
 
-    neighbours(src, dst, pos) ranks the nodes near src; weights fall with the rank.
+    neighbours(src, dst, pos, sim) ranks the nodes near src; weights fall with the distance 1 - sim, from 1 at the node itself to 0 at
+    distance 1 and beyond.
     """
+    near = neighbours.where(F.col("pos") < k_nearest - 1).select(F.col("src").alias("node_id"), F.col("dst").alias("seen"), F.greatest(F.lit(0.0), F.least(F.lit(1.0), F.col("sim"))).alias("raw"))
+    own = nodes.select("node_id").distinct()
+    raw = own.select("node_id", F.col("node_id").alias("seen"), F.lit(1.0).alias("raw")).unionByName(near.join(own, "node_id", "left_semi"))
+    total = raw.groupBy("node_id").agg(F.sum("raw").alias("_all"))
+    return raw.join(total, "node_id").select("node_id", "seen", (F.col("raw") / F.col("_all")).alias("weight"))
+
+
+def observe(steps: DataFrame, *, kind: str = "onehot", k_nearest: int = 5, neighbours: DataFrame | None = None) -> DataFrame:
+    """(path_id, step, node_id, weight) with unit sum per step: the node itself, or the k nearest nodes by distance (see nearest_nodes)."""
     if kind == "onehot":
         return steps.select("path_id", "step", "node_id", F.lit(1.0).alias("weight"))
-    near = neighbours.where(F.col("pos") < k_nearest - 1).select(F.col("src").alias("node_id"), "dst", (1.0 / (F.col("pos") + 2)).alias("raw"))
-    own = steps.select("path_id", "step", "node_id")
-    raw = own.select("*", F.col("node_id").alias("dst"), F.lit(1.0).alias("raw")).unionByName(own.join(near, "node_id"))
-    total = F.sum("raw").over(Window.partitionBy("path_id", "step"))
-    return raw.select("path_id", "step", F.col("dst").alias("node_id"), (F.col("raw") / total).alias("weight"))
+    near = nearest_nodes(steps.select("node_id"), neighbours, k_nearest=k_nearest)
+    return steps.select("path_id", "step", "node_id").join(near, "node_id").select("path_id", "step", F.col("seen").alias("node_id"), "weight")

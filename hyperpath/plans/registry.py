@@ -93,7 +93,7 @@ def q04(spark, d):
 
 @query("q05_knn_links", "SELECT src, dst, pos FROM knn")
 def q05(spark, d):
-    return crawl.knn_links(load(spark, d, "embeddings"), k=50)
+    return crawl.knn_links(load(spark, d, "embeddings"), k=50).drop("sim")
 
 
 def _walks(which: str, policy: str):
@@ -365,7 +365,7 @@ def q31(spark, d):
 @query(
     "q31b_nearest_observations",
     """SELECT path_id, step, node_id, round(raw / sum(raw) OVER (PARTITION BY path_id, step), 6) AS weight FROM
-        (SELECT path_id, step, node_id, 1.0::DOUBLE AS raw FROM steps_dense UNION ALL SELECT s.path_id, s.step, k.dst, 1.0::DOUBLE / (k.pos + 2) FROM steps_dense s JOIN knn k ON k.src = s.node_id AND k.pos < 4) x""",
+        (SELECT path_id, step, node_id, 1.0::DOUBLE AS raw FROM steps_dense UNION ALL SELECT s.path_id, s.step, k.dst, greatest(0, least(1, k.sim)) FROM steps_dense s JOIN knn k ON k.src = s.node_id AND k.pos < 4) x""",
 )
 def q31b(spark, d):
     c = Crawl(spark, d)
@@ -609,23 +609,68 @@ def q48b(spark, d):
 
 @query("q49_fit_predict")
 def q49(spark, d):
-    return experiments.run_set(Crawl(spark, d), "combined", epochs=4)
+    c = Crawl(spark, d)
+    return train.top_nodes(experiments.predictions(c, [m for m in experiments.trained(c) if m[:2] == ("combined", 1)])).drop("model")
+
+
+_STATIC = {"coords": "none", "layers": 0, "optimizer": "lbfgs", "objective": "path", "epochs": 15}
 
 
 @query("q49b_fit_path_lbfgs")
 def q49b(spark, d):
-    return experiments.run_set(Crawl(spark, d), "original", epochs=3, objective="path", optimizer="lbfgs", coords="none")
+    return experiments.run_experiment(Crawl(spark, d), sets=("original",), seeds=(1,), **_STATIC)
+
+
+@query("q49c_trained_weights")
+def q49c(spark, d):
+    c = Crawl(spark, d)
+    ((_, _, model),) = experiments.trained(c, sets=("original",), seeds=(1,), **_STATIC)
+    return train.weights_table(experiments.all_node_balls(c), model)
+
+
+@query("q49d_readouts")
+def q49d(spark, d):
+    c = Crawl(spark, d)
+    runs = [experiments.run_experiment(c, sets=("original", "combined"), seeds=(1,), readout=r).withColumn("readout", F.lit(r)) for r in ("pinv", "tail", "head")]
+    return reduce(DataFrame.unionByName, runs)
+
+
+def _summary(name: str):
+    @query(f"q50_{name}")
+    def q(spark, d):
+        return metrics.summarize_runs(experiments.run_experiment(Crawl(spark, d, name)), keys=("graph", "features", "metric"))
+
+    return q
 
 
-@query("q50_repeat_experiment")
+for _graph in experiments.GRAPHS:
+    _summary(_graph)
+
+
+@query("q50_table")
 def q50(spark, d):
-    runs = experiments.repeat_experiment(Crawl(spark, d), sets=("original", "combined"), seeds=(1, 2), epochs=1)
-    return metrics.summarize_runs(runs)
+    return experiments.report(experiments.all_runs(spark, d))
 
 
 @query("q50b_example_report")
 def q50b(spark, d):
-    return experiments.example_report(Crawl(spark, d))
+    return experiments.example_report(Crawl(spark, d, "sparse"))
+
+
+@query("q50b_example_fixed")
+def q50b_fixed(spark, d):
+    return experiments.fixed_example_report(Crawl(spark, d, "sparse"))
+
+
+@query("q50e_trained_lift")
+def q50e(spark, d):
+    mean = stored(experiments.all_runs(spark, d).groupBy("graph", "features", "metric").agg(F.avg("value").alias("value")), "means")
+    return reduce(DataFrame.unionByName, [metrics.lift(mean.where(F.col("graph") == g)).withColumn("graph", F.lit(g)) for g in experiments.GRAPHS])
+
+
+@query("q50f_trained_density_trend")
+def q50f(spark, d):
+    return metrics.density_trend(experiments.compare_graphs(experiments.all_runs(spark, d), experiments.graph_stats(spark, d)).where("features = 'combined'"))
 
 
 @query("q50c_outcomes", """SELECT outcome, CAST(count(*) AS BIGINT) AS paths, round(avg(length), 6) AS mean_length FROM (SELECT path_id, min(outcome) AS outcome, count(*) AS length FROM session_steps GROUP BY path_id) x WHERE length BETWEEN 4 AND 7 GROUP BY outcome""")

@@ -62,7 +62,7 @@ part(
 part("edges_sess", edges_of("session_steps"))
 part("vectors", "SELECT CAST(vec_id AS BIGINT) AS id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings")
 part("similar_vectors", "SELECT a.id AS src, b.id AS dst, round(list_cosine_similarity(a.v, b.v), 12) AS sim FROM vectors a JOIN vectors b ON a.id <> b.id")
-part("knn", "SELECT src, dst, CAST(pos - 1 AS INTEGER) AS pos FROM (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY sim DESC, dst) AS pos FROM similar_vectors) x WHERE pos <= 50")
+part("knn", "SELECT src, dst, CAST(pos - 1 AS INTEGER) AS pos, sim FROM (SELECT src, dst, sim, row_number() OVER (PARTITION BY src ORDER BY sim DESC, dst) AS pos FROM similar_vectors) x WHERE pos <= 50")
 
 
 def _walks(name: str, links: str) -> None:

@@ -5,9 +5,10 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from hyperpath.functions.columns import is_valid_title
-from hyperpath.operators import community, crawl, dual, features, graph, train, trajectories, walk, weights
+from hyperpath.operators import community, crawl, dual, features, graph, metrics, train, trajectories, walk, weights
 from hyperpath.schemas import FeatureGraph
 
 FIVE = [(1, 2, 3), (2, 1, 1), (1, 3, 1), (2, 3, 3), (3, 4, 2), (3, 5, 2), (4, 1, 4)]
@@ -211,7 +212,7 @@ def test_windows_and_observations(spark):
     paths = spark.createDataFrame([(1, [5, 6, 7, 8])], "path_id long, nodes array<long>")
     rows = trajectories.windows(paths, horizons=(2,)).orderBy("t").collect()
     assert [(r["prefix"], r["suffix"], r["cur"], r["target"]) for r in rows] == [([5], [6, 7], 5, 7), ([5, 6], [7, 8], 6, 8)]
-    near = spark.createDataFrame([(5, 9, 0), (5, 4, 1), (6, 2, 0)], "src long, dst long, pos int")
+    near = spark.createDataFrame([(5, 9, 0, 0.9), (5, 4, 1, 0.5), (6, 2, 0, 0.1)], "src long, dst long, pos int, sim double")
     seen = trajectories.observe(trajectories.explode_paths(paths), kind="nearest", k_nearest=3, neighbours=near)
     assert all(math.isclose(r[0], 1) for r in seen.groupBy("path_id", "step").sum("weight").select("sum(weight)").collect())
     ids = trajectories.assign_ids(spark.createDataFrame([("b",), ("a",), ("b",), (None,)], "title string"), dense=True)
@@ -238,19 +239,29 @@ def test_two_cliques_are_two_communities(spark):
     assert math.isclose(best, 2 * (6 / 13 - (13 / 26) ** 2))
 
 
-def ego(objective="target", coords="gnn", h=2):
+def ball(objective="target", coords="gnn", h=2, readout="pinv"):
+    """A hand-made ball over the whole of a graph of seven nodes, with four windows."""
     rng = np.random.default_rng(1)
     e = sorted({(int(a), int(b)) for a, b in rng.integers(0, 7, (26, 2)) if a != b})
-    config = train.ModelConfig(edge_width=3, layers=2, width=3, hidden=4, h=h, objective=objective, coords=coords)
-    nxt = [b for a, b in e if a == e[0][0]]
-    after = [b for a, b in e if a == nxt[0] and b != e[0][0]]
-    one = train.Ego(np.arange(7), rng.normal(size=(7, 2)), np.array([a for a, _ in e]), np.array([b for _, b in e]), rng.normal(size=(len(e), 3)), [6, e[0][0]], [nxt[0], after[0]][:h])
-    return one, config
+    config = train.ModelConfig(edge_width=3, layers=2, width=3, hidden=4, h=h, objective=objective, coords=coords, readout=readout)
+    start = e[0][0]
+    suffixes = []
+    for a, b in e:
+        if a == start:
+            suffixes += [[b, d][:h] for c, d in e if c == b and d != start]
+    suffixes = suffixes[:4]
+    marks = [[(start, 0, 0.75), ((start + i) % 7, 0, 0.25), ((start + i + 2) % 7, 1, 1.0)] for i in range(len(suffixes))]
+    pairs = np.array(e, dtype=np.int64)
+    one = train.Ball(np.arange(7), rng.integers(0, 5, size=(7, 2)).astype(float), pairs, pairs, rng.normal(size=(len(e), 3)), start, h + 1, marks, suffixes, [1, 2, 1, 3][: len(suffixes)])
+    return one.prepare(), config
 
 
-@pytest.mark.parametrize("objective,coords", [("target", "gnn"), ("target", "none"), ("path", "gnn")])
-def test_gradient_equals_finite_differences(objective, coords):
-    one, config = ego(objective, coords)
+CASES = [("target", "gnn", 2, "pinv"), ("target", "gnn", 2, "tail"), ("target", "gnn", 2, "head"), ("target", "none", 3, "pinv"), ("target", "gnn", 1, "pinv"), ("path", "gnn", 2, "pinv"), ("path", "none", 2, "pinv")]
+
+
+@pytest.mark.parametrize("objective,coords,h,readout", CASES)
+def test_gradient_equals_finite_differences(objective, coords, h, readout):
+    one, config = ball(objective, coords, h, readout)
     x = train.initial(config) * 0.7
     loss, grad = train.loss_and_gradient(one, x, config)
     assert np.isfinite(loss)
@@ -258,23 +269,138 @@ def test_gradient_equals_finite_differences(objective, coords):
         step = np.zeros_like(x)
         step[i] = 1e-6
         numeric = (train.loss_and_gradient(one, x + step, config)[0] - train.loss_and_gradient(one, x - step, config)[0]) / 2e-6
-        assert abs(numeric - grad[i]) < 1e-5 * max(1, abs(numeric)), i
+        assert abs(numeric - grad[i]) < 1e-4 * max(1, abs(numeric)), i
+
+
+@pytest.mark.parametrize("dense", [True, False])
+@pytest.mark.parametrize("readout", ["pinv", "tail", "head"])
+def test_loss_equals_whole_matrices(readout, dense, monkeypatch):
+    """Coordinates by node, the transition matrix of edges to edges, its power and a numerical pseudoinverse."""
+    if not dense:
+        monkeypatch.setattr(train, "DENSE_NODES", 0)
+    one, config = ball(readout=readout)
+    x = train.initial(config)
+    p = train.unpack(x, config)
+    n, m = 7, len(one.src)
+    edges = list(zip(one.src.tolist(), one.dst.tolist(), strict=True))
+    total = 0.0
+    for window in range(len(one.counts)):
+        c = np.zeros((n, train.MEMORY))
+        for w, node, slot, weight in zip(*one.marks, strict=True):
+            if w == window:
+                c[int(node), int(slot)] += weight
+        for layer in range(2):
+            new = np.zeros((n, 3))
+            for v in range(n):
+                into, out = [c[a] for a, b in edges if b == v], [c[b] for a, b in edges if a == v]
+                parts = c[v] @ p[f"own{layer}"] + p[f"bias{layer}"]
+                parts = parts + (np.mean(into, axis=0) @ p[f"in{layer}"] if into else 0) + (np.mean(out, axis=0) @ p[f"out{layer}"] if out else 0)
+                new[v] = np.tanh(parts)
+            c = new
+        f = np.log1p(one.features)
+        z = np.array([np.maximum(np.concatenate([c[a], c[b], f[a], f[b], one.edge_features[e]]) @ p["w1"] + p["b1"], 0) @ p["w2"] + p["b2"][0] for e, (a, b) in enumerate(edges)])
+        w = np.array([np.exp(z[e]) / sum(np.exp(z[k]) for k, (c2, _) in enumerate(edges) if c2 == a) for e, (a, _) in enumerate(edges)])
+        spread, step = np.zeros((m, n)), np.zeros((m, m))
+        weight = dict(zip(edges, w, strict=True))
+        for e, (a, b) in enumerate(edges):
+            spread[e, a] = w[e]
+            for k, (c2, d) in enumerate(edges):
+                if c2 == b and d != a:
+                    step[k, e] = w[k] / (1 - weight.get((b, a), 0))
+        at = np.zeros(n)
+        at[one.start] = 1
+        if readout == "head":
+            mass = np.linalg.matrix_power(step, config.h - 1) @ spread @ at
+            got = np.array([mass[[b == v for _, b in edges]].sum() for v in range(n)])
+        else:
+            mass = np.linalg.matrix_power(step, config.h) @ spread @ at
+            got = np.linalg.pinv(spread) @ mass if readout == "pinv" else np.array([mass[[a == v for a, _ in edges]].sum() for v in range(n)])
+        total -= one.counts[window] * np.log(got[one.suffixes[window, -1]] + train.EPSILON)
+        shown = train.node_mass(one, train.forward(one, p, config, np.arange(len(one.counts)))["w"], config, len(one.counts))[:, window]
+        assert np.allclose(shown, got)
+    assert np.isclose(train.loss_and_gradient(one, x, config)[0], total)
 
 
-def test_training_lowers_the_loss_and_models_survive_saving(spark, tmp_path):
-    steps = spark.createDataFrame([(p, i, n) for p in range(12) for i, n in enumerate([0, 1, 2, 3] if p % 4 else [0, 2, 3, 1])], "path_id long, step int, node_id long")
-    paths = trajectories.gather_paths(steps)
+@pytest.fixture(scope="module")
+def walked(spark):
+    """Paths over a graph with ways back, its edge features and nodes."""
+    rng = np.random.default_rng(7)
+    paths = [[int(n) for n in rng.integers(0, 9, 6)] for _ in range(40)]
+    paths = [[n for i, n in enumerate(p) if not i or n != p[i - 1]] for p in paths] + [[3, 1, 2, 1, 4], [1, 2, 1, 4, 1], [2, 50]]
+    frame = spark.createDataFrame([(i, p) for i, p in enumerate(paths)], "path_id long, nodes array<long>").cache()
+    steps = trajectories.explode_paths(frame)
     edges = graph.build_edges(steps)
-    nof = features.click_counts(steps, edges)
-    zero = edges.selectExpr("src", "dst", "0.0D text_sim")
-    f = features.assemble_edge_features(edges, zero, nof, None, standardize=True)
-    rows = train.ego_graphs(trajectories.windows(paths, horizons=(2,)), f, features.node_features(edges)).cache()
+    f = features.assemble_edge_features(edges, edges.selectExpr("src", "dst", "0.0D text_sim"), features.click_counts(steps, edges), None, standardize=True)
+    return frame, steps, edges, f.cache()
+
+
+def test_one_epoch_and_balls_equal_the_whole_graph(spark, walked):
+    """Loss and gradient of an epoch over balls are those of balls that hold the whole graph; training balls are enough."""
+    frame, _, edges, f = walked
+    windows = trajectories.windows(frame, horizons=(2,))
+    nodes = features.node_features(edges)
+    for readout in ("pinv", "head"):
+        config = train.ModelConfig(readout=readout, seed=5)
+        x = train.initial(config)
+        rows = train.ego_graphs(windows, f, nodes, h=2, readout=readout)
+        (loss, grad), *_ = train.evaluate(rows, [x], [config])
+        e, n = f.collect(), nodes.collect()
+        pairs = np.array([[r["src"], r["dst"]] for r in e])
+        by: dict = {}
+        for r in windows.collect():
+            by.setdefault(r["cur"], []).append(r)
+        total, g = 0.0, np.zeros(len(x))
+        for cur, ws in by.items():
+            marks = [[(v, i, 1.0) for i, v in enumerate(w["prefix"][::-1][: train.MEMORY])] for w in ws]
+            one = train.Ball(np.array([r["node_id"] for r in n]), np.array([r["f"] for r in n]), pairs, pairs, np.array([r["f"] for r in e]), cur, 2, marks, [w["suffix"] for w in ws], [1] * len(ws)).prepare()
+            a, b = train.loss_and_gradient(one, x, config)
+            total, g = total + a, g + b
+        count = windows.count()
+        assert np.isclose(loss, total / count + 0.5 * config.l2 * x @ x) and np.allclose(grad, g / count + config.l2 * x)
+
+
+def test_predictions_agree_with_the_walk_and_the_measures(spark, walked):
+    """A model whose weights don't depend on the prefix, as a table, gives the same four measures through walk and metrics."""
+    frame, steps, edges, f = walked
+    nodes = features.node_features(edges)
+    exits = edges.groupBy("src").agg(F.min("dst").alias("target")).selectExpr("src AS cur", "target", "array(src) AS prefix", "array(target) AS suffix")
+    for h, readout in ((2, "pinv"), (3, "tail"), (3, "head")):
+        config = train.ModelConfig(coords="none", layers=0, h=h, readout=readout, seed=3)
+        model = train.Model(config, train.initial(config) * 2)
+        latent = train.weights_table(train.ego_graphs(exits, f, nodes, h=1, layers=0, readout="head", whole=True), model).cache()
+        windows = trajectories.windows(frame, horizons=(h,))
+        found = train.predict(train.ego_graphs(windows, f, nodes, h=h, layers=0, readout=readout, whole=True), model).cache()
+        got = {r["metric"]: (r["value"], r["support"]) for r in train.measure(found).collect()}
+        dist = walk.target_distribution(latent.selectExpr("src AS node_id").distinct(), latent, h=h, how=readout)
+        want = {r["metric"]: (r["value"], r["support"]) for r in metrics.all_metrics(dist, windows, latent, graph.node_degrees(edges)).collect()}
+        assert {k: (round(a, 9), b) for k, (a, b) in got.items()} == {k: (round(a, 9), b) for k, (a, b) in want.items()}
+        path = {r["window_id"]: r["p"] for r in walk.suffix_probability(windows, latent).collect()}
+        shown = {(tuple(r["prefix"]), tuple(r["suffix"])): r["p_path"] for r in found.collect()}
+        for r in windows.collect():
+            assert math.isclose(shown[(tuple(r["prefix"][-train.MEMORY :]), tuple(r["suffix"]))], path[r["window_id"]], abs_tol=1e-9)
+        top = train.top_nodes(found)
+        assert top.where("place > 5 or p <= 0").count() == 0 and top.count() > 0
+    rival = train.predict(train.ego_graphs(trajectories.windows(frame, horizons=(2,)), f, nodes, h=2, layers=0, whole=True), train.Model(train.ModelConfig(coords="none", layers=0), train.initial(train.ModelConfig(coords="none", layers=0))), suffixes=1000)
+    for r in rival.select("rivals").collect():
+        assert not r["rivals"] or sum(x["p"] for x in r["rivals"]) < 1 + 1e-9
+
+
+def test_training_lowers_the_loss_and_models_survive_saving(spark, walked, tmp_path):
+    frame, _, edges, f = walked
+    rows = train.ego_graphs(trajectories.windows(frame, horizons=(2,)), f, features.node_features(edges), h=2).cache()
     for optimizer in ("adam", "lbfgs"):
         model = train.fit(rows, train.ModelConfig(optimizer=optimizer, epochs=8, lr=0.05))
         assert model.history[-1][1] < model.history[0][1]
-    again = train.fit(rows, train.ModelConfig(optimizer="lbfgs", epochs=8, lr=0.05))
+    again = train.fit_many(rows, [train.ModelConfig(optimizer="lbfgs", epochs=8, lr=0.05)])[0]
     assert np.allclose(again.params, model.params)
+    one, two = train.fit_many(rows, [train.ModelConfig(epochs=3, seed=s) for s in (1, 2)])
+    assert np.allclose(two.params, train.fit(rows, train.ModelConfig(epochs=3, seed=2)).params) and not np.allclose(one.params, two.params)
     train.save_model(spark, model, str(tmp_path / "m"))
     assert np.allclose(train.load_model(spark, str(tmp_path / "m")).params, model.params)
-    found = {r["metric"]: r["value"] for r in train.measure(train.predict(rows, model)).collect()}
-    assert 0 <= found["precision_top1"] <= found["precision_top5"] <= 1 and 0 <= found["target_probability"] <= 1
+
+
+def test_observations_fall_with_distance(spark):
+    nodes = spark.createDataFrame([(1,), (2,)], "node_id long")
+    near = spark.createDataFrame([(1, 5, 0, 0.5), (1, 6, 1, -0.2), (1, 7, 2, 0.1)], "src long, dst long, pos int, sim double")
+    got = {(r["node_id"], r["seen"]): r["weight"] for r in trajectories.nearest_nodes(nodes, near, k_nearest=3).collect()}
+    assert got == {(1, 1): 1 / 1.5, (1, 5): 0.5 / 1.5, (1, 6): 0.0, (2, 2): 1.0}
