@@ -1,8 +1,9 @@
 """Repetition coverage: how much of a text lies inside n-grams and lines that it repeats.
 
 For each n-gram length one rolling hash over the word hashes finds the n-grams that occur twice or more, and the
-characters of the words under them are summed; equal lines are counted beside them. One pass in numpy per text,
-map-only: no shuffle, memory bounded by one Arrow batch.
+characters of the words under their copies are summed; equal lines are counted beside them. Copies are those after the first, so
+a share says what the text could do without; a text whose copies are fewer words than copy_words, such as one short line
+said twice, is left alone whatever its length. One pass in numpy per text, map-only: no shuffle, memory bounded by one Arrow batch.
 
 Defined results: a null or empty text has no words, so zero in every count, and fails (fewer than min_words words).
 Repeated rows give repeated results. Columns of the input other than the id are not read.
@@ -21,12 +22,13 @@ from .common import roll, word_bounds, word_hashes
 
 #: Characters that count as symbols.
 SYMBOLS = b"#*$%&|<>"
-#: The largest share of characters inside repeated n-grams that a kept text may have, by n. Copies count with the first, so
-#: a text that says everything twice has 1.0; 0.15 to 0.10, as often published, would reject short clean texts
-#: whose only fault is one line that they say twice (0.6 percent of all documents here).
-NGRAM_LIMITS = {5: 0.25, 6: 0.24, 7: 0.23, 8: 0.22, 9: 0.21, 10: 0.20}
-#: The same for characters inside repeated lines (copies after the first).
-LINE_LIMIT = 0.25
+#: The largest share of characters inside copies of n-grams, after the first, that a kept text may have, by n: half of the usual
+#: 0.15 to 0.10, which count the first as well.
+NGRAM_LIMITS = {5: 0.075, 6: 0.07, 7: 0.065, 8: 0.06, 9: 0.055, 10: 0.05}
+#: The same for characters inside repeated lines (copies after the first): half of the usual 0.20.
+LINE_LIMIT = 0.10
+#: Copies of fewer words in all don't count.
+COPY_WORDS = 10
 
 _SYMBOL = np.zeros(256, dtype=bool)
 _SYMBOL[list(SYMBOLS)] = True
@@ -41,10 +43,19 @@ class RepetitionRules:
     base_repeat_percent: int = 20
     ngram_limits: dict[int, float] = field(default_factory=lambda: dict(NGRAM_LIMITS))
     line_limit: float = LINE_LIMIT
+    copy_words: int = COPY_WORDS
 
 
-def _covered(words: np.ndarray, n: int) -> np.ndarray | None:
-    """Mask of the words inside n-grams found twice or more; None if there are none."""
+def _under(places: np.ndarray, n: int, size: int) -> np.ndarray:
+    """Mask of the words under the n-grams at these places."""
+    edge = np.zeros(size + 1, dtype=np.int64)
+    np.add.at(edge, places, 1)
+    np.add.at(edge, places + n, -1)
+    return np.cumsum(edge[:-1]) > 0
+
+
+def _covered(words: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray] | None:
+    """Masks of the words inside n-grams found twice or more, and inside their copies after the first; None if there are none."""
     grams = roll(words, n)
     if len(grams) < 2:
         return None
@@ -53,11 +64,10 @@ def _covered(words: np.ndarray, n: int) -> np.ndarray | None:
     if not len(twice):
         return None
     at = np.searchsorted(twice, grams)
-    hit = twice[np.minimum(at, len(twice) - 1)] == grams
-    edge = np.zeros(len(words) + 1, dtype=np.int64)
-    edge[:-1][: len(grams)] += hit
-    edge[n:] -= hit
-    return np.cumsum(edge[:-1]) > 0
+    places = np.flatnonzero(twice[np.minimum(at, len(twice) - 1)] == grams)
+    order = np.argsort(grams[places], kind="stable")
+    same = grams[places[order]]
+    return _under(places, n, len(words)), _under(places[order[1:][same[1:] == same[:-1]]], n, len(words))
 
 
 def measure(text: bytes, rules: RepetitionRules) -> tuple:
@@ -73,7 +83,7 @@ def measure(text: bytes, rules: RepetitionRules) -> tuple:
     total = int(chars.sum())
     words = word_hashes(raw, starts, ends)
     seen: set[bytes] = set()
-    dup_lines = dup_chars = 0
+    dup_lines = dup_chars = dup_words = 0
     if b"\n" in text:
         at = 0
         for line in text.split(b"\n"):
@@ -82,23 +92,25 @@ def measure(text: bytes, rules: RepetitionRules) -> tuple:
                 if hi > lo:
                     dup_lines += 1
                     dup_chars += int(chars[lo:hi].sum())
+                    dup_words += int(hi - lo)
             else:
                 seen.add(line)
             at += len(line) + 1
-    repeat_words, worst, verdict = 0, 0.0, dup_chars <= rules.line_limit * total
+    repeat_words, worst, verdict = 0, 0.0, dup_words < rules.copy_words or dup_chars <= rules.line_limit * total
     lengths = sorted({rules.base_ngram, *rules.ngram_limits})
     for k in lengths:
-        mask = _covered(words, k)
-        if mask is None:
+        found = _covered(words, k)
+        if found is None:
             break  # a repeated (k+1)-gram would hold repeated k-grams
+        every, copies = found
         if k == rules.base_ngram:
-            repeat_words = int(mask.sum())
+            repeat_words = int(every.sum())
         if k in rules.ngram_limits:
-            share = float(chars[mask].sum()) / total
+            share = float(chars[copies].sum()) / total
             worst = max(worst, share)
-            verdict &= share <= rules.ngram_limits[k]
+            verdict &= copies.sum() < rules.copy_words or share <= rules.ngram_limits[k]
     failed = n < rules.min_words or 100 * repeat_words > rules.base_repeat_percent * n
-    return n, total, int(_SYMBOL[raw].sum()), dup_lines, repeat_words, worst, dup_chars / total, failed, not failed and verdict
+    return n, total, int(_SYMBOL[raw].sum()), dup_lines, repeat_words, worst, dup_chars / total, failed, not failed and bool(verdict)
 
 
 _FIELDS = (

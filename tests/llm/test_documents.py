@@ -55,6 +55,50 @@ def test_repetition_counts_equal_brute_force(text):
     assert not (got[7] and got[8])
 
 
+def brute_verdict(text):
+    """(largest n-gram share, line share, kept) by sets of words, with the production limits."""
+    words = words_of(text)
+    total, rules = sum(map(len, words)), quality.RepetitionRules()
+    if brute_profile(text)[5]:
+        kept = False
+    else:
+        kept = True
+    worst = 0.0
+    for n, limit in rules.ngram_limits.items():
+        seen, copies = set(), set()
+        for i in range(len(words) - n + 1):
+            key = tuple(words[i : i + n])
+            if key in seen:
+                copies.update(range(i, i + n))
+            seen.add(key)
+        share = sum(len(words[i]) for i in copies) / total if total else 0.0
+        worst = max(worst, share)
+        kept &= len(copies) < rules.copy_words or share <= limit
+    seen, chars, count = set(), 0, 0
+    for line in (text or "").split("\n"):
+        if line in seen:
+            chars, count = chars + sum(map(len, words_of(line))), count + len(words_of(line))
+        seen.add(line)
+    kept &= count < rules.copy_words or chars <= rules.line_limit * total
+    return worst, chars / total if total else 0.0, kept
+
+
+@settings(max_examples=150, deadline=None)
+@given(st.lists(st.lists(st.sampled_from("abcdefghijklm"), min_size=1, max_size=12), max_size=25))
+def test_repetition_verdicts_equal_brute_force(parts):
+    text = "\n".join(" ".join(p) for p in parts)
+    worst, lines_share, kept = brute_verdict(text)
+    got = quality.measure(text.encode(), quality.RepetitionRules())
+    assert abs(got[5] - worst) < 1e-12 and abs(got[6] - lines_share) < 1e-12 and got[8] == kept
+
+
+def test_repetition_verdicts_on_planted_copies():
+    fresh = lambda n, tag: " ".join(f"{tag}{i}" for i in range(n))
+    cases = [(fresh(200, "a"), True), (fresh(92, "a") + "\n" + fresh(8, "a"), True), (fresh(150, "a") + " " + fresh(14, "a"), False), (fresh(400, "a") + " " + fresh(14, "a"), True)]
+    for text, kept in cases:
+        assert quality.measure(text.encode(), quality.RepetitionRules())[8] == kept == brute_verdict(text)[2]
+
+
 def test_repetition_edge_cases(spark):
     long = " ".join(f"w{i}" for i in range(60_000))
     rows = [(1, None), (2, ""), (3, long), (3, long), (None, "a b c d e f g h i j"), (5, " ".join(["a b c d e"] * 9))]
