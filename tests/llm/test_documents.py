@@ -6,6 +6,7 @@ from collections import defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -115,53 +116,70 @@ def test_repetition_edge_cases(spark):
 # ---- line runs
 
 
-def brute_lines(rows, min_words, min_lines):
-    """Lines left of each row, by the definition: windows that an earlier document or place has."""
-    first = {}
-    order = sorted(range(len(rows)), key=lambda i: (rows[i][0] is None, rows[i][0] or 0))
-    keys_of = {}
-    for i in order:
-        text = rows[i][1]
-        if not text:
-            continue
-        ls = text.split("\n")
-        keys = [(("one", x), k, 1) for k, x in enumerate(ls) if len(words_of(x)) >= min_words]
-        keys += [(("run", *ls[k : k + min_lines]), k, min_lines) for k in range(len(ls) - min_lines + 1) if any(words_of(x) for x in ls[k : k + min_lines])]
-        keys_of[i] = keys
-        for key, _, _ in keys:
-            first.setdefault(key, rows[i][0])
+def brute_lines(rows, min_words):
+    """Texts left, by the definition: lines in any run of min_words words or more that an earlier document has, or the same text further up."""
+    where = {}
+    parsed = []
+    for doc, text in rows:
+        ls = (text or "").split("\n")
+        at = [i for i, x in enumerate(ls) if words_of(x)]
+        runs = []
+        for i in range(len(at)):
+            total = 0
+            for j in range(i, len(at)):
+                total += len(words_of(ls[at[j]]))
+                if total >= min_words:
+                    runs.append((i, j + 1, tuple(ls[k] for k in at[i : j + 1])))
+        key = (1 << 62) if doc is None else doc
+        for i, _, run in runs:
+            where.setdefault(run, []).append((key, text, i))
+        parsed.append((key, text, ls, at, runs))
     out = []
-    for i, (doc, text) in enumerate(rows):
-        if not text:
-            out.append(text)
-            continue
-        ls, seen = text.split("\n"), set()
-        gone = [False] * len(ls)
-        for key, k, n in keys_of[i]:
-            if first[key] != doc or key in seen:
-                gone[k : k + n] = [True] * n
-            seen.add(key)
-        out.append("\n".join(x for x, g in zip(ls, gone, strict=True) if not g))
+    for key, text, ls, at, runs in parsed:
+        gone = [False] * len(at)
+        for i, j, run in runs:
+            if any(d < key or (d == key and t == text and k < i) for d, t, k in where[run]):
+                gone[i:j] = [True] * (j - i)
+        deleted = {at[k] for k, g in enumerate(gone) if g}
+        for k in range(1, len(at)):
+            if gone[k] and gone[k - 1]:
+                deleted.update(range(at[k - 1], at[k]))
+        out.append(text if not text else "\n".join(x for i, x in enumerate(ls) if i not in deleted))
     return out
 
 
-@pytest.mark.parametrize("min_lines", [2, 3, 4])
-def test_line_runs_equal_brute_force(spark, min_lines):
-    rng = random.Random(min_lines)
-    pool = ["a b c", "d e", "f", "", "  ", "g h i j", "k l m n o", "é ü"]
-    rows = [(i, "\n".join(rng.choice(pool) for _ in range(rng.randrange(1, 12)))) for i in range(60)] + [(100, None), (101, ""), (None, "g h i j\nx"), (None, "g h i j\ny")]
-    got = lines.dedup_lines(docs_of(spark, rows), min_words=4, min_lines=min_lines, keep_empty=True)
-    want = brute_lines(rows, 4, min_lines)
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.integers(1, 12), max_size=30), st.integers(1, 12))
+def test_shortest_runs(words, least):
+    ahead, behind = lines.shortest_runs(words, least)
+    for i in range(len(words)):
+        assert ahead[i] == next((j - i for j in range(i + 1, len(words) + 1) if sum(words[i:j]) >= least), 0)
+        assert behind[i] == next((i - j + 1 for j in range(i, -1, -1) if sum(words[j : i + 1]) >= least), 0)
+
+
+@pytest.mark.parametrize("min_words", [1, 4, 7, 10])
+def test_line_runs_equal_brute_force(spark, min_words):
+    rng = random.Random(min_words)
+    pool = ["a b c", "d e", "f", "", "  ", "g h i j", "k l m n o", "é ü", "p"]
+    passage = ["p", "f", "d e", "p", "x", "f", "é ü", "y z", "f", "p", "f", "q", "a b c"]
+    rows = [(i, "\n".join(rng.choice(pool) for _ in range(rng.randrange(1, 12)))) for i in range(60)]
+    rows += [(70 + i, "\n".join([f"own {i}", *passage[i % 3 : 13 - i % 2], "", f"more {i}"])) for i in range(6)]
+    rows += [(100, None), (101, ""), (None, "g h i j\nx"), (None, "g h i j\ny"), (80, "\n".join(passage * 2)), (5, rows[5][1]), (5, rows[5][1])]
+    got = lines.dedup_lines(docs_of(spark, rows), min_words=min_words, keep_empty=True)
+    want = brute_lines(rows, min_words)
     assert sorted((str(r["doc_id"]), str(r["text"])) for r in got.collect()) == sorted((str(d), str(w)) for (d, _), w in zip(rows, want, strict=True))
 
 
 def test_line_dedup_edge_cases(spark):
     same = "one two three four five six seven eight nine ten"
-    frame = spark.createDataFrame([(1, same, "x"), (2, same, "y"), (1, same, "z"), (3, f"{same}\nmore", "w")], "doc_id long, text string, _names string").withColumnRenamed("_names", "_NAMES")
+    frame = spark.createDataFrame([(1, same, "x"), (2, same, "y"), (1, same, "z"), (3, f"{same}\nmore", "w")], "doc_id long, text string, _names string").withColumnRenamed("_names", "_DOC").withColumn("_Row", F.lit(1)).withColumn("_docr", F.lit(2)).withColumn("_rowr", F.lit(2))
     got = lines.dedup_lines(frame)
     assert got.columns == frame.columns
-    assert sorted((r["doc_id"], r["text"], r["_NAMES"]) for r in got.collect()) == [(1, same, "x"), (1, same, "z"), (3, "more", "w")]
+    assert sorted((r["doc_id"], r["text"], r["_DOC"]) for r in got.collect()) == [(1, same, "x"), (1, same, "z"), (3, "more", "w")]
     assert lines.dedup_lines(docs_of(spark, [])).count() == 0
+    long = "\n".join(f"line {i} of a long text" for i in range(30_000))
+    report = {r["doc_id"]: r for r in lines.dedup_lines(docs_of(spark, [(1, long), (2, f"{long}\nend")]), report=True).collect()}
+    assert report[1]["n_deleted"] == 0 and (report[2]["n_deleted"], report[2]["n_runs"], report[2]["text_left"]) == (30_000, 1, "end")
 
 
 # ---- suffixes

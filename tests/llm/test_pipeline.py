@@ -34,7 +34,7 @@ def shingles(text):
 def test_pipeline_equals_brute_force(spark, fixture):
     folder, rows, items = fixture
     kept = [r for r in rows if quality.measure((r[1] or "").encode(), quality.RepetitionRules())[-1]]
-    left = brute_lines([r[:2] for r in kept], 10, 4)
+    left = brute_lines([r[:2] for r in kept], 10)
     lined = [(r[0], t, *r[2:]) for r, t in zip(kept, left, strict=True) if words_of(t)]
     first = {d for d, _, c in brute_components([r[:2] for r in lined]) if d == c}
     single = [r for r in lined if r[0] in first]
