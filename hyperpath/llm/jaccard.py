@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SHINGLE_WORDS, components, drop_materialized, materialize, mix64, shingle_set
+from .common import SHINGLE_WORDS, components, drop_materialized, free_name, materialize, mix64, shingle_set
 
 _U = np.uint64
 #: Two sets link when 100 * intersection >= PERCENT * union.
@@ -476,8 +476,9 @@ def similarity_components(docs: DataFrame, *, id_col: str = "doc_id", text_col:
 def keep_first(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with one document of each component: the one with the smallest id. Rows of equal id stay or go together."""
     parts = similarity_components(docs, id_col=id_col, text_col=text_col)
-    gone = materialize(parts.where("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct(), "gone")
-    return docs.join(gone, F.col(id_col).cast("long") == F.col("_gone"), "left_anti")
+    key = free_name(docs, "_gone")
+    gone = materialize(parts.where("component_id <> doc_id").select(F.col("doc_id").alias(key)).distinct(), "gone")
+    return docs.join(gone, docs[id_col].cast("long") == gone[key], "left_anti")
 
 
 __all__ = ["SHINGLE_WORDS", "candidates", "frequent_shingles", "index_keys", "keep_first", "similar", "similarity_components", "verify"]

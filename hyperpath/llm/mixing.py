@@ -140,12 +140,13 @@ def mix(docs: DataFrame, plan: MixPlan | None = None, *, id_col: str = "doc_id",
     bounds = materialize(leaf_bounds(narrow, plan).select(*LEVELS, "epochs", "bound"), "bounds")
     keep = list(docs.columns) if keep is None else keep
     own = {k: free_name(docs, f"_leaf_{k}") for k in LEVELS}
-    n, epoch = free_name(docs.select(*keep) if keep else docs, "n_tokens"), free_name(docs.select(*keep) if keep else docs, "epoch")
-    rows = docs.select(*(F.col(f"`{c}`") for c in keep), F.col(id_col).alias("_mix_id"), *(levels[k].alias(own[k]) for k in LEVELS), tokens.alias("_mix_n"))
-    table = bounds.select(*(F.col(k).alias(own[k]) for k in LEVELS), F.col("epochs").alias("_mix_e"), F.col("bound").alias("_mix_b"))
+    key, size, whole, bound, times = (free_name(docs, f"_mix_{x}") for x in ("id", "tokens", "epochs", "bound", "times"))
+    n, epoch = (free_name(docs.select(*(F.col(f"`{c}`") for c in keep)) if keep else docs, x) for x in ("n_tokens", "epoch"))
+    rows = docs.select(*(F.col(f"`{c}`") for c in keep), F.col(f"`{id_col}`").alias(key), *(levels[k].alias(own[k]) for k in LEVELS), tokens.alias(size))
+    table = bounds.select(*(F.col(k).alias(own[k]) for k in LEVELS), F.col("epochs").alias(whole), F.col("bound").alias(bound))
     small = bounds.limit(BROADCAST_LEAVES + 1).count() <= BROADCAST_LEAVES
     rows = rows.join(F.broadcast(table) if small else table, list(own.values()))
-    times = F.col("_mix_e") + F.when(order_hash(plan.seed, F.col("_mix_e"), F.col("_mix_id")) <= F.col("_mix_b"), 1).otherwise(0)
-    rows = rows.withColumn("_mix_t", times.cast("long")).where("_mix_t > 0")
+    taken = F.col(whole) + F.when(order_hash(plan.seed, F.col(whole), F.col(key)) <= F.col(bound), 1).otherwise(0)
+    rows = rows.withColumn(times, taken.cast("long")).where(F.col(times) > 0)
     domain = [] if "domain" in {c.lower() for c in keep} else [F.col(own["domain"]).alias("domain")]
-    return rows.select(*(F.col(f"`{c}`") for c in keep), *domain, F.col("_mix_n").alias(n), F.explode(F.sequence(F.lit(1).cast("long"), F.col("_mix_t"))).alias(epoch))
+    return rows.select(*(F.col(f"`{c}`") for c in keep), *domain, F.col(size).alias(n), F.explode(F.sequence(F.lit(1).cast("long"), F.col(times))).alias(epoch))

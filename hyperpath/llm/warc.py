@@ -3,14 +3,16 @@
 ARC: a file starts with a version block whose second line names the version. Version 1 gives each record one header
 line of five fields (URL, IP address, date, type, length), version 2 of ten (URL, IP address, date, type, result code,
 checksum, location, offset, file name, length); the declared length says how many bytes follow. The converter reads
-by declared lengths only and synthesises what WARC needs besides: a record id (a UUID from URL, date and digest, so
-that a retried task writes the same id), an ISO timestamp, the record type, and SHA-1 digests.
+by declared lengths only and synthesises what WARC needs besides: a record id (a UUID from URL, date and digest, or from the row's key
+and digest, so that a retried task writes the same id and a revisit can name the response's), an ISO timestamp, the record type, and
+SHA-1 digests.
 
 Archives are written by Spark's text writer from byte strings, so they commit like any Spark output and go to any
-store that Spark reaches; they are read as whole files, whose size the writer bounds by records per file.
+store that Spark reaches. Records are joined to chunks of bounded bytes and files have a bounded number of chunks; files are read whole.
 
 Defined results: null payloads are empty payloads; a null URL is written as urn:none and read back as null; payloads
-may hold any bytes, line breaks and archive headers too; tables without rows give no record.
+may hold any bytes, line breaks and archive headers too; tables without rows give no record; rows of equal id and payload are one
+record twice. A payload larger than a chunk is a chunk of its own.
 """
 
 from __future__ import annotations
@@ -31,6 +33,8 @@ CRLF = b"\r\n"
 NO_URL = "urn:none"
 #: Equal payloads of at least so many bytes are revisits of one response.
 REVISIT_BYTES = 1000
+#: Unpacked bytes of a file of archives, about, and the chunks that it has.
+FILE_BYTES, FILE_CHUNKS = 64 << 20, 16
 #: Field names of an ARC header line, by version.
 ARC_FIELDS = {
     1: ("url", "ip", "date", "type", "length"),
@@ -52,6 +56,12 @@ class WarcRecord:
     headers: dict[str, str] = field(default_factory=dict)
     content: bytes = b""
 
+    @property
+    def payload(self) -> bytes:
+        """The content, or the body of an HTTP message."""
+        http = self.headers.get("Content-Type", "").startswith("application/http") and CRLF * 2 in self.content
+        return self.content.split(CRLF * 2, 1)[1] if http else self.content
+
     def to_bytes(self) -> bytes:
         head = [b"WARC/1.1", b"WARC-Type: " + self.kind.encode()]
         head += [f"{k}: {v}".encode() for k, v in self.headers.items()]
@@ -121,16 +131,16 @@ def warc_date(date: str) -> str:
     return f"{d[:4]}-{d[4:6]}-{d[6:8]}T{d[8:10]}:{d[10:12]}:{d[12:14]}Z"
 
 
-def arc_to_warc(record: ArcRecord, *, refers_to: str | None = None, extra: dict[str, str] | None = None) -> WarcRecord:
-    """The equivalent WARC record: warcinfo for a version block, revisit if refers_to is given, else response
-    (HTTP messages) or resource; ids, timestamps and digests are synthesised."""
+def arc_to_warc(record: ArcRecord, *, own_id: str | None = None, refers_to: str | None = None, extra: dict[str, str] | None = None, http: bool | None = None) -> WarcRecord:
+    """The equivalent WARC record: warcinfo for a version block, revisit if refers_to is given, else response;
+    ids (unless own_id is given), timestamps and digests are synthesised. http: whether the content is an HTTP message (None: if it begins like one)."""
     f, url = record.fields, record.fields["url"]
     if url.startswith("filedesc://"):
         return WarcRecord("warcinfo", {"WARC-Record-ID": record_id(url, f["date"], record.content), "WARC-Date": warc_date(f["date"]), "WARC-Filename": url[11:], "Content-Type": "text/plain"}, record.content)
-    http = record.content.startswith(b"HTTP/")
+    http = record.content.startswith(b"HTTP/") if http is None else http
     payload = record.content.split(CRLF * 2, 1)[1] if http and CRLF * 2 in record.content else record.content
     headers = {
-        "WARC-Record-ID": record_id(url, f["date"], record.content), "WARC-Target-URI": url, "WARC-Date": warc_date(f["date"]),
+        "WARC-Record-ID": own_id or record_id(url, f["date"], record.content), "WARC-Target-URI": url, "WARC-Date": warc_date(f["date"]),
         "WARC-IP-Address": f["ip"], "WARC-Payload-Digest": f"sha1:{digest(payload)}", "WARC-Block-Digest": f"sha1:{digest(record.content)}",
         "Content-Type": "application/http; msgtype=response" if http else f["type"],
     }
@@ -145,6 +155,11 @@ def record_id(url: str, date: str, content: bytes) -> str:
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'{url} {date} {digest(content)}')}>"
 
 
+def keyed_id(key: object, payload_digest: str) -> str:
+    """The record id of a row with a key of its own."""
+    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_OID, f'{key} {payload_digest}')}>"
+
+
 # ---------------------------------------------------------------- WARC
 
 
@@ -188,28 +203,47 @@ def revisit_plan(pages: DataFrame, payload: Column, *, id_col: str = "page_id",
 
 def write_warc(
     pages: DataFrame, path: str, *, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", date: str = "20240101000000",
-    arc_version: int = 1, records_per_file: int = 5000,
+    arc_version: int = 1, file_bytes: int = FILE_BYTES,
 ) -> None:
-    """Each row as an ARC record, converted to WARC, in files of at most records_per_file records under path.
+    """Each row as an ARC record, converted to WARC, in files of about file_bytes at most under path.
 
     revisit records carry no payload; their WARC-Payload-Length says how long it is.
     """
     rows = revisit_plan(pages.select(id_col, url_col, payload_col), F.col(payload_col), id_col=id_col)
     rows = rows.select(id_col, url_col, F.col(payload_col).cast("binary").alias("_payload"), "_first")
 
-    def convert(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            out = []
-            for key, url, payload, first in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                payload = payload or b""
-                legacy = arc_record(NO_URL if url is None else quote(url, safe=_URL_SAFE), payload, date=date, version=arc_version)
-                for record in parse_arc(legacy, version=arc_version):
-                    extra = {"Record-Key": "" if key is None else str(key), "WARC-Payload-Length": str(len(payload))}
-                    target = None if first is None else f"<urn:record:{first}>"
-                    out.append(arc_to_warc(record, refers_to=target, extra=extra).to_bytes()[:-1])  # the writer adds the last line feed
-            yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["value"])
+    def convert(rows: Iterator[tuple]) -> Iterator[bytes]:
+        for key, url, payload, first in rows:
+            payload = payload or b""
+            legacy = arc_record(NO_URL if url is None else quote(url, safe=_URL_SAFE), payload, date=date, version=arc_version)
+            for record in parse_arc(legacy, version=arc_version):
+                extra = {"Record-Key": "" if key is None else str(key), "WARC-Payload-Length": str(len(payload))}
+                own = digest(payload)
+                if first is not None:
+                    extra["Refers-To-Key"] = str(first)
+                yield arc_to_warc(record, own_id=keyed_id(key, own), refers_to=None if first is None else keyed_id(first, own), extra=extra, http=False).to_bytes()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from _chunks(convert(row for batch in batches for row in zip(*(c.to_pylist() for c in batch.columns), strict=True)), file_bytes)
+
+    _save(rows.mapInArrow(run, "value binary"), path)
 
-    _save(rows.mapInArrow(convert, "value binary"), path, records_per_file)
+
+def _chunks(records: Iterator[bytes], file_bytes: int) -> Iterator[pa.RecordBatch]:
+    """Records joined to rows of a part of a file each."""
+    held, size = [], 0
+    for record in records:
+        if held and size + len(record) > file_bytes // FILE_CHUNKS:
+            yield _row(held)
+            held, size = [], 0
+        held.append(record)
+        size += len(record)
+    if held:
+        yield _row(held)
+
+
+def _row(records: list[bytes]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([b"".join(records)[:-1]], pa.binary())], names=["value"])  # the writer adds the last line feed
 
 
 #: Characters of a URL that stay as they are; all others, blanks, % and non-ASCII too, are escaped and restored.
@@ -217,7 +251,7 @@ _URL_SAFE = "!#$&'()*+,/:;=?@[]~"
 
 
 def read_warc(spark: SparkSession, path: str) -> DataFrame:
-    """All records under path: record_key, url, record_type, payload_bytes, payload_digest, refers_to, warc_date, content."""
+    """All records under path: record_key, url, record_type, payload_bytes, payload_digest, refers_to (a key), warc_date, content, record_id, refers_to_id."""
     files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select("content")
 
     def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -227,10 +261,15 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
                 for r in parse_warc(_plain(data.as_py())):
                     h = r.headers
                     url = unquote(h.get("WARC-Target-URI", ""))
+                    # Length and digest are those of the bytes read; only a revisit, which has none, is taken at its word.
+                    length, own = len(r.payload), digest(r.payload)
+                    if r.kind == "revisit":
+                        length, own = int(h.get("WARC-Payload-Length", 0)), h.get("WARC-Payload-Digest", "").removeprefix("sha1:")
+                    elif h.get("WARC-Payload-Digest", f"sha1:{own}") != f"sha1:{own}":
+                        raise ValueError(f"payload of {h.get('WARC-Record-ID')} doesn't have its digest")
                     rows.append((
-                        h.get("Record-Key") or None, None if url == NO_URL else url, r.kind, int(h.get("WARC-Payload-Length", len(r.content))),
-                        h.get("WARC-Payload-Digest", "").removeprefix("sha1:"), h.get("WARC-Refers-To", "").removeprefix("<urn:record:").rstrip(">") or None,
-                        h.get("WARC-Date"), r.content,
+                        h.get("Record-Key") or None, None if url == NO_URL else url, r.kind, length, own, h.get("Refers-To-Key"),
+                        h.get("WARC-Date"), r.content, h.get("WARC-Record-ID"), h.get("WARC-Refers-To"),
                     ))
                     size += len(r.content)
                     if size > 8 << 20:
@@ -239,31 +278,28 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
                 if rows:
                     yield _batch(rows)
 
-    return files.mapInArrow(parse, "record_key string, url string, record_type string, payload_bytes long, payload_digest string, refers_to string, warc_date string, content binary")
+    return files.mapInArrow(parse, "record_key string, url string, record_type string, payload_bytes long, payload_digest string, refers_to string, warc_date string, content binary, record_id string, refers_to_id string")
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:
-    kinds = [pa.string()] * 3 + [pa.int64()] + [pa.string()] * 3 + [pa.binary()]
-    names = ["record_key", "url", "record_type", "payload_bytes", "payload_digest", "refers_to", "warc_date", "content"]
+    kinds = [pa.string()] * 3 + [pa.int64()] + [pa.string()] * 3 + [pa.binary()] + [pa.string()] * 2
+    names = ["record_key", "url", "record_type", "payload_bytes", "payload_digest", "refers_to", "warc_date", "content", "record_id", "refers_to_id"]
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
 
 
-def convert_arc_files(spark: SparkSession, source: str, path: str, *, records_per_file: int = 5000) -> None:
-    """Convert whole ARC files under source to WARC files under path."""
+def convert_arc_files(spark: SparkSession, source: str, path: str, *, file_bytes: int = FILE_BYTES) -> None:
+    """Convert whole ARC files under source to WARC files under path. A file is read by one task."""
 
-    def convert(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for data in batch.column(0):
-                out = [arc_to_warc(r).to_bytes()[:-1] for r in parse_arc(_plain(data.as_py()))]
-                yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["value"])
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from _chunks((arc_to_warc(r).to_bytes() for batch in batches for data in batch.column(0) for r in parse_arc(_plain(data.as_py()))), file_bytes)
 
     files = spark.read.format("binaryFile").load(source).select("content")
-    _save(files.mapInArrow(convert, "value binary"), path, records_per_file)
+    _save(files.mapInArrow(run, "value binary"), path)
 
 
-def _save(records: DataFrame, path: str, records_per_file: int) -> None:
-    writer = records.select(F.col("value").cast("string")).write.option("lineSep", "\n").option("compression", "gzip")
-    writer.option("maxRecordsPerFile", records_per_file).text(path)
+def _save(chunks: DataFrame, path: str) -> None:
+    writer = chunks.select(F.col("value").cast("string")).write.option("lineSep", "\n").option("compression", "gzip")
+    writer.option("maxRecordsPerFile", FILE_CHUNKS).text(path)
 
 
 def _plain(data: bytes) -> bytes:

@@ -475,3 +475,18 @@ def test_mix_takes_prefixes_of_seeded_epochs(spark):
     assert 0.9 * total * 5 / 4 < sum(r["n_tokens"] for r in got) <= total * 5 / 4
     assert max(r["_epoch"] for r in got) <= 3 and sorted(r["doc_id"] for r in got) == sorted(r["doc_id"] for r in mixing.mix(docs, mixing.MixPlan(budget_parts=(5, 4), max_epochs=3)).collect())
     assert mixing.mix(docs.where("false")).count() == 0
+
+
+# ---- clashing names
+
+
+def test_helper_names_clash_with_no_column(spark):
+    text = " ".join(f"w{i}" for i in range(40))
+    names = ["_mix_id", "_MIX_tokens", "_mix_epochs", "_mix_bound", "_mix_times", "_leaf_lang", "_gone", "_leak", "_doc", "n_tokens", "epoch"]
+    docs = spark.createDataFrame([(1, text, "en", "s1"), (2, text, "en", "s1"), (3, "a b c", None, None)], "doc_id long, text string, lang string, source string")
+    docs = docs.select("*", *(F.lit(i).alias(n) for i, n in enumerate(names)))
+    assert mixing.mix(docs).count() > 0
+    left = jaccard.keep_first(docs)
+    assert left.columns == docs.columns and sorted(r["doc_id"] for r in left.collect()) == [1, 3]
+    assert jaccard.similarity_components(docs.withColumn("node", F.lit(1)).withColumn("n_links", F.lit(2))).count() == 3
+    assert suffix.repeated_passages(docs.withColumn("doc", F.lit(1)).withColumn("own", F.lit(2))).count() == 0

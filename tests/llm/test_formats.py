@@ -33,17 +33,39 @@ def test_broken_arc_files_are_refused(bad):
         list(warc.parse_arc(bad, version=1))
 
 
-def test_pages_to_archives_and_back(spark, tmp_path):
+def test_pages_to_archives_and_back(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(warc, "FILE_CHUNKS", 2)
     long = "é" * 600
     rows = [(1, "http://a/ b?c=%20", long), (2, None, long), (5, "u", long), (3, "x", "short"), (4, "y", "short"), (6, "z", None), (7, "n", "a\r\n\r\nWARC/1.1\r\n\n")]
+    rows += [(8, "u", "q" * 300_000), (9, "u", "q" * 300_000), (10, "h", "HTTP/1.1 200 OK\r\n\r\nbody"), (11, "h", "HTTP/1.1 200 OK\r\n\r\nbody")]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "1 AS _digest")
-    warc.write_warc(pages, str(tmp_path / "w"), records_per_file=2)
+    warc.write_warc(pages, str(tmp_path / "w"), file_bytes=16_000)
     got = {int(r["record_key"]): r for r in warc.read_warc(spark, str(tmp_path / "w")).collect()}
-    assert {k: (r["record_type"], r["refers_to"]) for k, r in got.items()} == {1: ("revisit", "5"), 2: ("revisit", "5"), 5: ("response", None), **{k: ("response", None) for k in (3, 4, 6, 7)}}
+    revisits = {1: ("revisit", "5"), 2: ("revisit", "5"), 8: ("revisit", "9")}
+    assert {k: (r["record_type"], r["refers_to"]) for k, r in got.items()} == {**{k: ("response", None) for k in (3, 4, 5, 6, 7, 9, 10, 11)}, **revisits}
     for key, url, text in rows:
         payload = (text or "").encode()
         assert got[key]["payload_bytes"] == len(payload) and got[key]["payload_digest"] == hashlib.sha1(payload).hexdigest() and got[key]["url"] == url
         assert bytes(got[key]["content"]) == (b"" if got[key]["record_type"] == "revisit" else payload)
+    assert len({r["record_id"] for r in got.values()}) == len(rows)
+    assert all(got[k]["refers_to_id"] == got[int(to)]["record_id"] for k, (_, to) in revisits.items())
+    assert len(list((tmp_path / "w").glob("part-*"))) > 1
+
+
+def test_archives_of_no_rows_and_repeated_rows(spark, tmp_path):
+    pages = spark.createDataFrame([(1, "u", "x" * 2000), (1, "u", "x" * 2000), (None, None, "y")], "page_id long, url string, html string")
+    warc.write_warc(pages, str(tmp_path / "w"))
+    got = warc.read_warc(spark, str(tmp_path / "w")).collect()
+    assert sorted((str(r["record_key"]), r["record_type"], r["payload_bytes"]) for r in got) == [("1", "response", 2000), ("1", "response", 2000), ("None", "response", 1)]
+    warc.write_warc(pages.where("false"), str(tmp_path / "e"))
+    assert warc.read_warc(spark, str(tmp_path / "e")).count() == 0
+
+
+def test_changed_payloads_are_noticed(spark, tmp_path):
+    record = warc.arc_to_warc(warc.ArcRecord({"url": "u", "ip": "-", "date": "2001", "type": "text/html"}, b"abc"))
+    (tmp_path / "part-0").write_bytes(record.to_bytes().replace(b"abc", b"abd"))
+    with pytest.raises(Exception, match="digest"):
+        warc.read_warc(spark, str(tmp_path)).collect()
 
 
 def test_arc_files_through_spark(spark, tmp_path):
