@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .store import stored
+
 
 def cold_edges(train: DataFrame, test: DataFrame) -> DataFrame:
     """Edges of test paths that no training path takes."""
@@ -88,15 +90,34 @@ def region_rollup(visits: DataFrame) -> DataFrame:
     return visits.rollup("region", "nation", "supplier").agg(F.count_distinct("path_id").alias("paths"), F.grouping_id().alias("gid"))
 
 
+def global_rows(df: DataFrame, order: list) -> DataFrame:
+    """df with row, its number from 1 in this order: ranges are sorted on their own, then the counts of the ranges before are added."""
+    own = stored(df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_at", F.monotonically_increasing_id()), "ranges")
+    part, place = F.shiftright("_at", 33), F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))
+    sizes = own.groupBy(part.alias("_part")).agg((F.max(place) + 1).alias("_n"))  # a row per range
+    before = sizes.select("_part", F.coalesce(F.sum("_n").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    return own.withColumn("_part", part).join(F.broadcast(before), "_part").withColumn("row", F.col("_before") + place + 1).drop("_at", "_part", "_before")
+
+
 def degree_bands(degrees: DataFrame, *, bands: int = 4) -> DataFrame:
-    """Ranks of nodes by degree. The ranking windows are over hash groups of nodes, as one global window would be one task."""
-    group = F.pmod("node_id", F.lit(16)).alias("grp")
-    rows = degrees.select("node_id", (F.col("in_degree") + F.col("out_degree")).alias("degree"), group)
-    w = Window.partitionBy("grp").orderBy(F.desc("degree"), "node_id")
-    d = Window.partitionBy("grp").orderBy(F.desc("degree"))
-    return rows.select(
-        "node_id", "degree", F.ntile(bands).over(w).alias("band"), F.rank().over(d).alias("rank"), F.dense_rank().over(d).alias("dense"),
-        F.round(F.percent_rank().over(d), 6).alias("percent"), F.round(F.cume_dist().over(d), 6).alias("cume"),
+    """Ranks of all nodes by degree, without a window over all of them.
+
+    Everything but the place among equals follows from the histogram of degrees, which has 2 * sqrt(edges) rows at most: k different
+    degrees sum up to k * k / 2 or more, and all degrees to twice the edges. So its window may be one task.
+    """
+    rows = degrees.select("node_id", (F.col("in_degree") + F.col("out_degree")).alias("degree"))
+    above = Window.orderBy(F.desc("degree"))
+    hist = rows.groupBy("degree").agg(F.count("*").alias("_n"))
+    upto = F.sum("_n").over(above.rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    hist = hist.select("degree", "_n", upto.alias("_upto"), F.row_number().over(above).alias("dense"), F.sum("_n").over(Window.partitionBy()).alias("_all"))
+    placed = global_rows(rows, [F.desc("degree"), F.col("node_id")]).join(F.broadcast(hist), "degree")
+    size, more = F.floor(F.col("_all") / bands), F.col("_all") % bands
+    head = more * (size + 1)
+    band = F.when(F.col("row") <= head, F.floor((F.col("row") - 1) / (size + 1)) + 1).otherwise(more + F.floor((F.col("row") - 1 - head) / F.greatest(size, F.lit(1))) + 1)
+    rank = F.col("_upto") - F.col("_n") + 1
+    return placed.select(
+        "node_id", "degree", band.cast("int").alias("band"), rank.cast("int").alias("rank"), F.col("dense").cast("int").alias("dense"),
+        F.round(F.when(F.col("_all") > 1, (rank - 1) / (F.col("_all") - 1)).otherwise(F.lit(0.0)), 6).alias("percent"), F.round(F.col("_upto") / F.col("_all"), 6).alias("cume"),
     )
 
 
@@ -124,17 +145,47 @@ def two_hop(edges: DataFrame) -> DataFrame:
 
 
 def reach(edges: DataFrame, start: int, *, h: int) -> DataFrame:
-    """(node_id, hops): nodes within h steps of start and the least number of steps, by rounds of semi-naive joins."""
+    """(node_id, hops): nodes within h steps of start and the least number of steps, by rounds of semi-naive joins, each stored."""
     spark = edges.sparkSession
-    seen = spark.createDataFrame([(start, 0)], "node_id long, hops int")
-    frontier = seen
+    seen = frontier = spark.createDataFrame([(start, 0)], "node_id long, hops int")
     links = edges.select(F.col("src").alias("node_id"), "dst")
     for i in range(1, h + 1):
         fresh = frontier.join(links, "node_id").select(F.col("dst").alias("node_id")).distinct().join(seen, "node_id", "left_anti").withColumn("hops", F.lit(i))
-        seen, frontier = seen.unionByName(fresh), fresh
+        frontier = stored(fresh, "frontier")
+        seen = stored(seen.unionByName(frontier), "seen")
     return seen
 
 
+def reach_sql(edges: DataFrame, start: int, *, h: int) -> DataFrame:
+    """The same as a recursive common table expression."""
+    return edges.sparkSession.sql(
+        """WITH RECURSIVE r(node_id, hops) AS (
+               SELECT CAST(:start AS BIGINT), 0 UNION ALL SELECT DISTINCT e.dst, r.hops + 1 FROM r JOIN {edges} e ON e.src = r.node_id WHERE r.hops < :h
+           ) SELECT node_id, min(hops) AS hops FROM r GROUP BY node_id""",
+        args={"start": start, "h": h}, edges=edges,
+    )
+
+
+def stratified_sample(rows: DataFrame, key: str, stratum: str, percent: dict[str, int]) -> DataFrame:
+    """Rows of each stratum by the hash of their key; strata that percent doesn't name are left out."""
+    from ..functions.columns import hash8
+
+    share = F.lit(0)
+    for value, p in percent.items():
+        share = F.when(F.col(stratum) == value, F.lit(p)).otherwise(share)
+    return rows.where(hash8(F.lit("stratum"), F.col(key)) % 100 < share)
+
+
+def page_of(rows: DataFrame, order: list, *, size: int, page: int) -> DataFrame:
+    """One page of an ordered list."""
+    return rows.orderBy(*order).offset(size * page).limit(size)
+
+
+def approximate(rows: DataFrame, key: str, value: str, *, deviation: float = 0.02, accuracy: int = 10_000) -> DataFrame:
+    """(distinct_values, quartiles): sketches of bounded size, merged across tasks."""
+    return rows.agg(F.approx_count_distinct(key, deviation).alias("distinct_values"), F.percentile_approx(value, [0.25, 0.5, 0.75], accuracy).alias("quartiles"))
+
+
 def hash_sample(paths: DataFrame, *, percent: int) -> DataFrame:
     from ..functions.columns import hash8
 

@@ -55,7 +55,7 @@ def propagate(mass: DataFrame, latent: DataFrame, *, h: int, orientation: str =
         if prune is not None:
             mass = mass.where(F.col("p") >= prune)
         if topk is not None:
-            order = Window.partitionBy("start").orderBy(F.desc("p"), "src", "dst")
+            order = Window.partitionBy("start").orderBy(F.desc(F.round("p", 9)), "src", "dst")
             mass = mass.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= topk).drop("_r")
     return mass
 

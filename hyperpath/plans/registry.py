@@ -120,16 +120,6 @@ def q08(spark, d):
     return experiments.graph_stats(spark, d, ("dense", "sparse")).withColumn("density", F.round("density", 9))
 
 
-@query("q08b_page_walk_stats")
-def q08b(spark, d):
-    parts = []
-    for k in (2, 5, None):
-        paths = workloads.page_walks(spark, d, k)
-        steps = trajectories.explode_paths(paths)
-        parts.append(graph.density(graph.build_nodes(steps), graph.build_edges(steps)).select(F.lit(k or 0).alias("first_k"), "n", "m", "density"))
-    return reduce(DataFrame.unionByName, parts)
-
-
 @query("q09_order_paths_part", "SELECT path_id, step, node_id FROM steps_part")
 def q09(spark, d):
     return workloads.order_steps(spark, d)
@@ -318,28 +308,6 @@ def q28b(spark, d):
     return a.join(b, ["src", "dst"])
 
 
-@query("q28c_dual_adjacency", "SELECT a.src, a.dst AS through, b.dst FROM edges_part a JOIN edges_part b ON b.src = a.dst WHERE a.dst < 20")
-def q28c(spark, d):
-    return dual.dual_adjacency(part_edges(spark, d), nodes=spark.range(20).withColumnRenamed("id", "node_id"))
-
-
-def _feature_sets(kind: str):
-    columns = features.DUAL_COLUMNS[kind]
-    sql = f"SELECT d.src, d.dst, n.nof{''.join(f', round({c}, 6) AS {c}' for c in columns)}, {2 + len(columns)} AS width FROM dual_dense d JOIN nof_dense n ON n.src = d.src AND n.dst = d.dst"
-
-    @query(f"q28_set_{kind}", sql)
-    def q(spark, d):
-        c = Crawl(spark, d)
-        rows = features.assemble_edge_features(c.edges, c.text, c.nof, c.dual, features=kind)
-        return rows.select("src", "dst", F.col("f")[1].cast("long").alias("nof"), *(F.round(F.col("f")[2 + i], 6).alias(x) for i, x in enumerate(columns)), F.size("f").alias("width"))
-
-    return q
-
-
-for _k in features.DUAL_COLUMNS:
-    _feature_sets(_k)
-
-
 # ---------------------------------------------------------------- splits, windows, observations
 
 
@@ -425,16 +393,6 @@ def q38b(spark, d):
     return walk.target_distribution(c.starts, c.latent("empirical"), h=H, nb=False).select("start", "node_id", r9("p"))
 
 
-@query("q38c_dead_ends_and_orientation")
-def q38c(spark, d):
-    c = Crawl(spark, d)
-    latent, parts = c.latent("empirical"), []
-    for name, options in (("drop", {}), ("allow_backtrack", {"dead_end": "allow_backtrack"}), ("printed", {"orientation": "printed"})):
-        dist = walk.target_distribution(c.starts, latent, h=H, **options)
-        parts.append(walk.lost_mass(dist).agg(F.lit(name).alias("variant"), F.avg("lost").alias("mean_lost"), F.count("*").alias("starts")))
-    return reduce(DataFrame.unionByName, parts)
-
-
 @query(
     "q39_suffix_probability",
     """SELECT t.window_id, round(coalesce(a.w, 0) * coalesce(b.w / (1 - coalesce(k.w, 0)), 0), 6) AS p_node,
@@ -460,12 +418,6 @@ def q40(spark, d):
     return walk.top_suffixes(c.starts, c.latent("empirical"), h=H, k=2).select("start", "suffix", r9("p"), "rank")
 
 
-@query("q40b_beam_suffixes")
-def q40b(spark, d):
-    c = Crawl(spark, d)
-    return walk.top_suffixes(c.starts, c.latent("empirical"), h=3, k=2, beam=8).select("start", "suffix", r9("p"), "rank")
-
-
 @query("q40c_sampled_suffixes")
 def q40c(spark, d):
     c = Crawl(spark, d)
@@ -501,16 +453,6 @@ def q41b(spark, d):
     return metrics.target_probability(_dist(c), c.windows(), mode="nonzero").withColumn("value", F.round("value", 6))
 
 
-@query("q42b_choice_variants")
-def q42b(spark, d):
-    c = Crawl(spark, d)
-    parts = []
-    for options in ({"degree": "out"}, {"average": "macro"}, {"anchor": "edge"}, {"min_degree": 5}):
-        found = metrics.choice_accuracy(c.windows(), c.latent("empirical"), c.degrees, **options)
-        parts.append(found.select(F.lit(str(options)).alias("variant"), "metric", "value", "support"))
-    return reduce(DataFrame.unionByName, parts)
-
-
 @query(
     "q43b_precision_next",
     """SELECT 'precision_top' || k AS metric, round(avg(CASE WHEN rank <= k THEN 1.0 ELSE 0.0 END), 6) AS value, count(*) AS support FROM
@@ -524,7 +466,7 @@ def q43b(spark, d):
 
 @query(
     "q44_extra_metrics",
-    """SELECT 'nll' AS metric, round(avg(CASE WHEN p > 1e-12 THEN -ln(p) END), 6) AS value, count(*) AS support FROM w_empirical_judged
+    """SELECT 'nll' AS metric, round(avg(-ln(greatest(p, 1e-12))), 6) AS value, count(*) AS support FROM w_empirical_judged
        UNION ALL SELECT 'mrr', round(avg(coalesce(1.0 / rank, 0)), 6), count(*) FROM w_empirical_judged
        UNION ALL SELECT 'coverage', round(avg(CASE WHEN rank IS NULL THEN 0.0 ELSE 1.0 END), 6), count(*) FROM w_empirical_judged
        UNION ALL SELECT 'lost_mass', round(avg(1 - coalesce(k.kept, 0)), 6), count(*) FROM tests t LEFT JOIN (SELECT start, sum(p) AS kept FROM w_empirical_tail GROUP BY start) k ON k.start = t.cur""",
@@ -553,17 +495,6 @@ def q45b(spark, d):
     return metrics.lift(_fixed_runs(spark, d), base="uniform", key="weights").select("weights", "metric", r6("value"), F.round("points", 4).alias("points"))
 
 
-@query("q45c_density_trend")
-def q45c(spark, d):
-    parts = []
-    for name in experiments.GRAPHS:
-        c = Crawl(spark, d, name)
-        stats = graph.density(graph.build_nodes(c.steps), c.edges).select("density")
-        found = metrics.all_metrics(walk.target_distribution(c.starts, c.latent("empirical"), h=1, how="head"), c.windows(horizons=(1,)), c.latent("empirical"), c.degrees)
-        parts.append(found.crossJoin(F.broadcast(stats)).select(F.lit(name).alias("graph"), "density", "metric", "value"))
-    return metrics.density_trend(reduce(DataFrame.unionByName, parts))
-
-
 # ---------------------------------------------------------------- communities and views
 
 
@@ -579,15 +510,6 @@ def q46(spark, d):
     return community.modularity(edges, members).select(r6("modularity"), "communities")
 
 
-def _members(spark: SparkSession, d: str) -> DataFrame:
-    return once(spark, d, "dense_members", lambda: community.communities(Crawl(spark, d).edges))
-
-
-@query("q47_communities")
-def q47(spark, d):
-    return community.modularity(Crawl(spark, d).edges, _members(spark, d))
-
-
 @query(
     "q48_node_view",
     """SELECT node_id, community, degree, round(degree / CAST(max(degree) OVER (PARTITION BY community) AS DOUBLE), 6) AS size, row_number() OVER (PARTITION BY community ORDER BY degree DESC, node_id) <= 3 AS labelled
@@ -598,12 +520,6 @@ def q48(spark, d):
     return community.node_view(edges, graph.edge_nodes(edges).withColumn("community", F.col("node_id") % 7)).withColumn("size", F.round("size", 6))
 
 
-@query("q48b_cluster_profile")
-def q48b(spark, d):
-    labels = load(spark, d, "embeddings").select(F.col("vec_id").cast("long").alias("node_id"), F.col("label").cast("string").alias("category"))
-    return community.cluster_profile(Crawl(spark, d).edges, _members(spark, d), labels)
-
-
 # ---------------------------------------------------------------- trained models (few epochs: the experiments run more)
 
 
@@ -678,36 +594,9 @@ def q50c(spark, d):
     return workloads.game_paths(spark, d).groupBy("outcome").agg(F.count("*").alias("paths"), F.round(F.avg("length"), 6).alias("mean_length"))
 
 
-@query("q50d_diffused_coordinates")
-def q50d(spark, d):
-    c = Crawl(spark, d)
-    return walk.diffuse(walk.one_hot(c.starts), c.edges, layers=2)
-
-
 # ---------------------------------------------------------------- files
 
 
-@query("q51_graphml", "SELECT (SELECT count(*) FROM titles) AS nodes, (SELECT count(*) FROM edges_dense) AS edges", {"titles": _TITLES})
-def q51(spark, d):
-    path = f"{shared_dir(spark)}/graphml-{abs(hash(d))}"
-    files.write_graphml(crawl.page_titles(load(spark, d, "pages")), Crawl(spark, d).edges, path)
-    nodes, edges = files.read_graphml(spark, path)
-    return nodes.agg(F.count_distinct("node_id").alias("nodes")).crossJoin(edges.agg(F.count("*").alias("edges")))
-
-
-@query("q51b_bundle")
-def q51b(spark, d):
-    c, path = Crawl(spark, d), f"{shared_dir(spark)}/bundle-{abs(hash(d))}"
-    edges = c.nof.select(F.xxhash64("src", "dst").alias("edge_id"), "src", "dst", "nof")
-    labels = load(spark, d, "embeddings").select(F.col("vec_id").cast("long").alias("node_id"), F.col("label").cast("string").alias("type"))
-    nodes = graph.build_nodes(c.steps)
-    files.write_bundle({
-        "paths": c.paths, "nodes": nodes, "steps": c.steps, "categories": graph.categorize(nodes, labels), "edges": edges, "hyperedges": dual.hyperedges(edges),
-        "observations": trajectories.observe(c.steps), "path_lengths": trajectories.path_lengths(c.steps),
-    }, path)
-    return reduce(DataFrame.unionByName, [t.agg(F.lit(n).alias("name"), F.count("*").alias("n_rows")) for n, t in files.read_bundle(spark, path).items()])
-
-
 @query("q52_crawl_cost", "SELECT CAST(count(DISTINCT node_id) AS BIGINT) AS requests, (count(DISTINCT node_id) - 1)::DOUBLE AS seconds FROM steps_dense")
 def q52(spark, d):
     return crawl.crawl_cost(Crawl(spark, d).steps)
@@ -811,15 +700,6 @@ def q65(spark, d):
     return spark.sql(_SETS.format("{visits}"), visits=relational.with_attributes(workloads.order_steps(spark, d), load(spark, d, "part")))
 
 
-@query(
-    "q66_degree_bands",
-    """SELECT node_id, degree, CAST(ntile(4) OVER w AS INTEGER) AS band, CAST(rank() OVER g AS INTEGER) AS rank, CAST(dense_rank() OVER g AS INTEGER) AS dense, round(percent_rank() OVER g, 6) AS percent, round(cume_dist() OVER g, 6) AS cume
-       FROM (SELECT node_id, in_degree + out_degree AS degree, node_id % 16 AS grp FROM degrees_part) x WINDOW w AS (PARTITION BY grp ORDER BY degree DESC, node_id), g AS (PARTITION BY grp ORDER BY degree DESC)""",
-)
-def q66(spark, d):
-    return relational.degree_bands(graph.node_degrees(part_edges(spark, d)))
-
-
 @query(
     "q67_running_clicks",
     """SELECT event_id, count(*) OVER (w ROWS UNBOUNDED PRECEDING) AS so_far, count(*) OVER (PARTITION BY agent ORDER BY us RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS recent,
@@ -899,18 +779,6 @@ def q73(spark, d):
     return stream.replay(stream.visit_windows(stream.stream_events(spark, d))).select("node_id", _text("start"), "n")
 
 
-@query("q73b_stream_sliding")
-def q73b(spark, d):
-    return stream.replay(stream.visit_windows(stream.stream_events(spark, d), size="1 day", slide="6 hours")).select("node_id", _text("start"), "n")
-
-
-@query("q74_stream_late", "SELECT event_type, count(*) AS n FROM clicks GROUP BY event_type")
-def q74(spark, d):
-    """One replay has one batch, in which nothing is late yet; the update stream's last state is the whole count."""
-    counted = stream.stream_events(spark, d).groupBy("event_type").agg(F.count("*").alias("n"))
-    return stream.latest(stream.replay(counted, mode="update"), ["event_type"])
-
-
 @query("q75_stream_predict", "SELECT c.event_id, x.dst, CAST(x.r AS INTEGER) AS rank FROM clicks c JOIN (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY round(w, 12) DESC, dst) AS r FROM (SELECT src, dst, 1.0 / count(*) OVER (PARTITION BY src) AS w FROM edges_sess) y) x ON x.src = c.node_id AND x.r <= 3")
 def q75(spark, d):
     ranked = stored(weights.rank_exits(weights.weights_uniform(session_edges(spark, d))), "ranked")
@@ -927,4 +795,6 @@ def q77(spark, d):
     return stream.replay(stream.first_visits(stream.stream_events(spark, d, watermark="60 days"))).select("agent", "node_id")
 
 
-__all__ = ["ORACLE_SQL", "QUERIES", "train"]
+from . import registry_graphs, registry_relational  # noqa: E402, F401  (they add their queries)
+
+__all__ = ["ORACLE_SQL", "QUERIES", "query"]

@@ -24,7 +24,7 @@ def with_parts(sql: str, extra: dict[str, str] | None = None) -> str:
                     order.append(name)
 
     need(sql)
-    return ("WITH " + ",\n".join(f"{n} AS ({known[n]})" for n in order) + "\n" if order else "") + sql
+    return ("WITH " + ",\n".join(f"{n} AS MATERIALIZED ({known[n]})" for n in order) + "\n" if order else "") + sql
 
 
 def hash8(text: str) -> str:
@@ -155,3 +155,40 @@ for _w in ("w_uniform", "w_empirical", "w_linear"):
             UNION ALL SELECT 'precision_top1', avg(CASE WHEN rank <= 1 THEN 1.0 ELSE 0.0 END), count(*) FROM {_w}_judged
             UNION ALL SELECT 'precision_top5', avg(CASE WHEN rank <= 5 THEN 1.0 ELSE 0.0 END), count(*) FROM {_w}_judged""",
     )
+
+
+def _experiment_graph(g: str) -> None:
+    """Parts of an experiment graph other than the dense one: its clicks, fixed weights and the windows of one step."""
+    part(f"train_clicks_{g}", f"SELECT src, dst, count(*) AS n FROM (SELECT node_id AS src, lead(node_id) OVER (PARTITION BY path_id ORDER BY step) AS dst FROM steps_{g} WHERE bucket < 8) x WHERE dst IS NOT NULL AND src <> dst GROUP BY src, dst")
+    part(f"nof_{g}", f"SELECT e.src, e.dst, CAST(coalesce(c.n, 0) AS BIGINT) AS nof FROM edges_{g} e LEFT JOIN train_clicks_{g} c ON e.src = c.src AND e.dst = c.dst")
+    part(f"we_{g}", f"SELECT src, dst, (nof + 1.0::DOUBLE) / sum(nof + 1.0::DOUBLE) OVER (PARTITION BY src) AS w FROM nof_{g}")
+
+
+part("paths_game", f"SELECT path_id, nodes, {hash8('CAST(path_id AS VARCHAR)')} % 10 AS bucket FROM (SELECT path_id, list(node_id ORDER BY step) AS nodes FROM session_steps GROUP BY path_id) x WHERE len(nodes) BETWEEN 4 AND 7")
+part("steps_game", "SELECT path_id, bucket, CAST(unnest(range(len(nodes))) AS INTEGER) AS step, unnest(nodes) AS node_id FROM paths_game")
+part("edges_game", edges_of("steps_game"))
+for _g in ("sparse", "game"):
+    _experiment_graph(_g)
+    part(f"degrees_{_g}", degrees_of(f"edges_{_g}"))
+part("we_dense", "SELECT src, dst, w FROM w_empirical")
+for _g in ("dense", "sparse", "game"):
+    part(f"tests1_{_g}", f"SELECT path_id || '-' || t || '-1' AS window_id, path_id, nodes[t] AS cur, nodes[t + 1] AS target FROM (SELECT *, unnest(range(1, len(nodes))) AS t FROM paths_{_g}) x WHERE bucket = 9")
+    part(f"exits_{_g}", f"SELECT src, dst, w, row_number() OVER (PARTITION BY src ORDER BY round(w, 12) DESC, dst) AS best, row_number() OVER (PARTITION BY src ORDER BY round(w, 9) DESC, dst) AS rank FROM we_{_g}")
+    part(
+        f"measures1_{_g}",
+        f"""SELECT 'target_probability' AS metric, avg(coalesce(x.w, 0)) AS value FROM tests1_{_g} t LEFT JOIN exits_{_g} x ON x.src = t.cur AND x.dst = t.target
+            UNION ALL SELECT 'choice_accuracy', avg(CASE WHEN x.best = 1 THEN 1.0 ELSE 0.0 END) FROM tests1_{_g} t JOIN degrees_{_g} d ON d.node_id = t.cur AND d.in_degree + d.out_degree >= 3 LEFT JOIN exits_{_g} x ON x.src = t.cur AND x.dst = t.target
+            UNION ALL SELECT 'precision_top' || k, avg(CASE WHEN x.rank <= k THEN 1.0 ELSE 0.0 END) FROM (VALUES (1), (5)) v(k), tests1_{_g} t LEFT JOIN exits_{_g} x ON x.src = t.cur AND x.dst = t.target GROUP BY k""",
+    )
+    part(f"shape_{_g}", f"SELECT n, m, CAST(m AS DOUBLE) / (CAST(n AS DOUBLE) * (n - 1)) AS density FROM (SELECT (SELECT count(DISTINCT node_id) FROM steps_{_g}) AS n, (SELECT count(*) FROM edges_{_g}) AS m) x")
+
+#: Anchors of the pages, and the walks over them with the first two, the first five and all valid links.
+part("page_titles", r"SELECT page_id AS node_id, regexp_extract(html, '(?s)<title>(.*?)</title>', 1) AS title FROM pages")
+part("valid_pages", r"SELECT node_id FROM page_titles WHERE coalesce(NOT regexp_matches(title, 'Talk|User|File|ISO|[%#:]') AND NOT regexp_matches(title, '^[0-9]*$'), FALSE)")
+part("page_slugs", "SELECT page_id AS src, regexp_extract_all(html, '<a\\s[^>]*href=\"/([^\"]*)\"', 1) AS s FROM pages")
+part("page_anchors", "SELECT src, slug, min(pos) AS pos FROM (SELECT src, unnest(s) AS slug, unnest(range(len(s))) AS pos FROM page_slugs) x GROUP BY src, slug")
+part("page_edges", f"SELECT src, dst, min(pos) AS pos FROM (SELECT src, {hash8('chr(47) || slug')} % (SELECT count(*) FROM pages) AS dst, pos FROM page_anchors) x WHERE src <> dst GROUP BY src, dst")
+part("page_ranked", "SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY pos, dst) AS r FROM page_edges WHERE dst IN (SELECT node_id FROM valid_pages)")
+for _k in (2, 5, 0):
+    part(f"page_links{_k}", f"SELECT src, dst FROM page_ranked WHERE r <= {_k or 1 << 30}")
+    _walks(f"pages{_k}x", f"page_links{_k}")

@@ -23,6 +23,24 @@ def stream_events(spark: SparkSession, sf_dir: str, *, watermark: str = "1 hour"
     return shaped(rows).withWatermark("ts", watermark)
 
 
+def shuffled_files(events: DataFrame, n: int) -> str:
+    """Write events to n files by the hash of their id, one after the other; the folder they are in."""
+    import uuid
+
+    from ..functions.columns import hash8
+
+    path = f"{shared_dir(events.sparkSession)}/files-{uuid.uuid4().hex}"
+    for i in range(n):
+        events.where(hash8(F.lit("batch"), F.col("event_id")) % n == i).coalesce(1).write.parquet(f"{path}/b={i}")
+    return path
+
+
+def file_batches(spark: SparkSession, folder: str, *, watermark: str = "1 hour") -> DataFrame:
+    """The events of a folder, a file a batch, oldest file first."""
+    rows = spark.readStream.schema(EVENT_SCHEMA).option("maxFilesPerTrigger", 1).parquet(f"{folder}/*")
+    return shaped(rows).withWatermark("ts", watermark)
+
+
 def shaped(events: DataFrame) -> DataFrame:
     """event_id, ts (with zone), agent, event_type, value, node_id; the same for batch and stream."""
     return events.select("event_id", F.col("ts").cast("timestamp").alias("ts"), F.col("user_id").alias("agent"), "event_type", "value", F.get_json_object("props", "$.k").cast("long").alias("node_id"))
