@@ -142,8 +142,15 @@ class Ball:
             free = self.dst[two] != self.src[one]
             self.steps.append((one[free], two[free]))
             live = np.unique(two[free])
-        flat = [(w, place[n], s, x) for w, m in enumerate(marks) for n, s, x in m if n in place]
+        # Windows of equal marks are neighbours and share their weights: a group.
+        groups: dict[tuple, int] = {}
+        shown = [tuple(sorted((place[n], s, x) for n, s, x in m if n in place)) for m in marks]
+        group = np.array([groups.setdefault(g, len(groups)) for g in shown], dtype=np.int64)
+        self.order = np.argsort(group, kind="stable")
+        self.group = group[self.order]
+        flat = [(g, n, s, x) for m, g in groups.items() for n, s, x in m]
         self.marks = tuple(np.array(c) for c in zip(*flat, strict=True)) if flat else (np.empty(0, dtype=np.int64),) * 4
+        suffixes, counts = [suffixes[i] for i in self.order], [counts[i] for i in self.order]
         self.suffixes = np.array([[place.get(n, -1) for n in s] for s in suffixes], dtype=np.int32).reshape(len(suffixes), -1)
         self.path = np.full(self.suffixes.shape, -1, dtype=np.int32)
         for w, row in enumerate(self.suffixes.tolist()):
@@ -156,6 +163,10 @@ class Ball:
         n, m = len(self.nodes), len(self.src)
         self.tails, self.segment = _runs(self.src), np.cumsum(np.concatenate(([0], self.src[1:] != self.src[:-1]))) if m else np.empty(0, dtype=np.int64)
         self.by_src, self.by_dst = Sums(self.src, n), Sums(self.dst, n)
+        self.ends = np.unique(np.concatenate((self.src, self.dst)))
+        self.end_src, self.end_dst = np.searchsorted(self.ends, self.src), np.searchsorted(self.ends, self.dst)
+        self.sum_src, self.sum_dst = Sums(self.end_src, len(self.ends)), Sums(self.end_dst, len(self.ends))
+        self.known: dict[tuple, tuple] = {}
         self.into = [(one, two, Sums(one, m), Sums(two, m)) for one, two in self.steps]
         self.in_degree = np.maximum(np.bincount(self.near[:, 1], minlength=n), 1)[:, None]
         self.out_degree = np.maximum(np.bincount(self.near[:, 0], minlength=n), 1)[:, None]
@@ -181,6 +192,18 @@ class Ball:
             out = out if turned else out / degree
         return out.reshape(x.shape)
 
+    def seen(self, groups: np.ndarray, layers: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """What the first layer sees, its means over in- and out-neighbours: the same for all models. For one layer, of the edges' ends only."""
+        key = int(groups[0]), int(groups[-1]), layers == 1
+        if key not in self.known:
+            group, node, slot, weight = self.marks
+            own = (group >= groups[0]) & (group <= groups[-1])
+            c = np.zeros((len(self.nodes), len(groups), MEMORY))
+            np.add.at(c, (node[own].astype(np.int64), (group[own] - groups[0]).astype(np.int64), slot[own].astype(np.int64)), weight[own])
+            found = c, self.average(c, True), self.average(c, False)
+            self.known = {key: tuple(x[self.ends] for x in found) if layers == 1 else found}
+        return self.known[key]
+
     def parts(self, hidden: int) -> Iterator[np.ndarray]:
         """Windows in parts of bounded size."""
         step = max(1, BATCH_NUMBERS // max(1, max(len(self.src), len(self.nodes)) * hidden))
@@ -195,27 +218,29 @@ def _features(ball: Ball, config: ModelConfig) -> np.ndarray:
 
 
 def forward(ball: Ball, p: dict[str, np.ndarray], config: ModelConfig, windows: np.ndarray) -> dict:
-    """Latent weights w (edges, windows; one column if they don't depend on the window), with what the backward pass needs."""
+    """Latent weights w (edges, groups of windows; one column if they don't depend on the window), the column of each window, and
+    what the backward pass needs. The last layer is that of the edges' ends only."""
     x = _features(ball, config)
     tape: dict = {"layers": [], "x": x}
     score = x @ p["w1"][-x.shape[1] :] + p["b1"]
     if config.coords == "gnn":
-        place = np.full(len(ball.counts), -1)
-        place[windows] = np.arange(len(windows))
-        window, node, slot, weight = ball.marks
-        own = place[window.astype(np.int64)] >= 0 if len(window) else np.empty(0, dtype=bool)
-        c = np.zeros((len(ball.nodes), len(windows), MEMORY))
-        np.add.at(c, (node[own].astype(np.int64), place[window[own].astype(np.int64)], slot[own].astype(np.int64)), weight[own])
+        groups = np.arange(ball.group[windows[0]], ball.group[windows[-1]] + 1)
+        c, a, b = ball.seen(groups, config.layers)
         for layer in range(config.layers):
-            a, b = ball.average(c, True), ball.average(c, False)
+            if layer:
+                a, b = ball.average(c, True), ball.average(c, False)
+                if layer == config.layers - 1:
+                    c, a, b = c[ball.ends], a[ball.ends], b[ball.ends]
             new = np.tanh(c @ p[f"own{layer}"] + a @ p[f"in{layer}"] + b @ p[f"out{layer}"] + p[f"bias{layer}"])
             tape["layers"].append((c, a, b, new))
             c = new
+        if not config.layers:
+            c = c[ball.ends]
         k = c.shape[2]
-        hidden = np.maximum((c @ p["w1"][:k])[ball.src] + (c @ p["w1"][k : 2 * k])[ball.dst] + score[:, None, :], 0)
-        tape["c"] = c
+        hidden = np.maximum((c @ p["w1"][:k])[ball.end_src] + (c @ p["w1"][k : 2 * k])[ball.end_dst] + score[:, None, :], 0)
+        tape["c"], tape["column"] = c, ball.group[windows] - groups[0]
     else:
-        hidden = np.maximum(score, 0)[:, None, :]
+        hidden, tape["column"] = np.maximum(score, 0)[:, None, :], np.zeros(len(windows), dtype=np.int64)
     z = hidden @ p["w2"] + p["b2"][0]
     if not len(z):
         return tape | {"hidden": hidden, "w": z}
@@ -237,7 +262,7 @@ def backward(ball: Ball, p: dict[str, np.ndarray], config: ModelConfig, tape: di
     if config.coords == "gnn":
         c = tape["c"]
         k = c.shape[2]
-        du, dv = ball.by_src(dh), ball.by_dst(dh)
+        du, dv = ball.sum_src(dh), ball.sum_dst(dh)
         grads["w1"][:k], grads["w1"][k : 2 * k] = np.tensordot(c, du, ([0, 1], [0, 1])), np.tensordot(c, dv, ([0, 1], [0, 1]))
         dc = du @ p["w1"][:k].T + dv @ p["w1"][k : 2 * k].T
         for layer in range(config.layers - 1, -1, -1):
@@ -246,7 +271,12 @@ def backward(ball: Ball, p: dict[str, np.ndarray], config: ModelConfig, tape: di
             for name, value in (("own", c), ("in", a), ("out", b)):
                 grads[f"{name}{layer}"] = np.tensordot(value, da, ([0, 1], [0, 1]))
             grads[f"bias{layer}"] = da.sum(axis=(0, 1))
-            dc = da @ p[f"own{layer}"].T + ball.average(da @ p[f"in{layer}"].T, True, True) + ball.average(da @ p[f"out{layer}"].T, False, True)
+            if layer:
+                if layer == config.layers - 1:  # back from the edges' ends to all nodes
+                    full = np.zeros((len(ball.nodes), *da.shape[1:]))
+                    full[ball.ends] = da
+                    da = full
+                dc = da @ p[f"own{layer}"].T + ball.average(da @ p[f"in{layer}"].T, True, True) + ball.average(da @ p[f"out{layer}"].T, False, True)
     return grads
 
 
@@ -262,9 +292,9 @@ def transitions_of(config: ModelConfig) -> int:
     return config.h - 1 if config.readout == "head" else config.h
 
 
-def walk_mass(ball: Ball, w: np.ndarray, transitions: int, windows: int) -> list[np.ndarray]:
-    """Edge mass after 0.. transitions from the start; mass at dead ends is dropped."""
-    mass = [np.zeros((len(w), windows))]
+def walk_mass(ball: Ball, w: np.ndarray, transitions: int) -> list[np.ndarray]:
+    """Edge mass after 0.. transitions from the start, for each column of weights; mass at dead ends is dropped."""
+    mass = [np.zeros(w.shape)]
     mass[0][ball.first] = w[ball.first]
     room = _rooms(ball, w)
     for one, two, _, into in ball.into[:transitions]:
@@ -281,23 +311,23 @@ def _pairs(key: np.ndarray, targets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return edges, np.repeat(np.arange(len(targets)), high - low)
 
 
-def _target_loss(ball: Ball, w: np.ndarray, config: ModelConfig, windows: np.ndarray, dw: np.ndarray, droom: np.ndarray) -> float:
-    n, counts, steps = len(windows), ball.counts[windows], transitions_of(config)
-    mass = walk_mass(ball, w, steps, n)
+def _target_loss(ball: Ball, tape: dict, config: ModelConfig, windows: np.ndarray, dw: np.ndarray, droom: np.ndarray) -> float:
+    w, n, counts, steps = tape["w"], len(windows), ball.counts[windows], transitions_of(config)
+    mass = walk_mass(ball, w, steps)
     edge, window = _pairs(ball.dst if config.readout == "head" else ball.src, ball.suffixes[windows, -1])
-    m, full = mass[-1][edge, window], np.broadcast_to(w, mass[-1].shape)
-    dm = np.zeros_like(mass[-1])
+    at = edge, tape["column"][window]
+    m, dm = mass[-1][at], np.zeros_like(w)
     if config.readout == "pinv":
-        own = full[edge, window]
-        squares, parts = np.bincount(window, own * own, n), np.bincount(window, m * own, n)
-        q = parts / np.maximum(squares, EPSILON)
+        own = w[at]
+        squares = np.bincount(window, own * own, n)
+        q = np.bincount(window, m * own, n) / np.maximum(squares, EPSILON)
         dq = -counts / (q + EPSILON)
-        dm[edge, window] = dq[window] * own / squares[window]
-        dw[edge, window] += dq[window] * (m - 2 * own * q[window]) / squares[window]
+        np.add.at(dm, at, dq[window] * own / squares[window])
+        np.add.at(dw, at, dq[window] * (m - 2 * own * q[window]) / squares[window])
     else:
         q = np.bincount(window, m, n)
         dq = -counts / (q + EPSILON)
-        dm[edge, window] = dq[window]
+        np.add.at(dm, at, dq[window])
     room = _rooms(ball, w)
     for (one, two, from_one, into), before in zip(ball.into[:steps][::-1], mass[-2::-1], strict=True):
         flow = dm[two] * (room[one] > EPSILON)
@@ -309,23 +339,23 @@ def _target_loss(ball: Ball, w: np.ndarray, config: ModelConfig, windows: np.nda
     return float((counts * -np.log(q + EPSILON)).sum())
 
 
-def _path_loss(ball: Ball, w: np.ndarray, windows: np.ndarray, dw: np.ndarray, droom: np.ndarray) -> float:
-    n, loss = len(windows), 0.0
-    counts, room = ball.counts[windows], np.broadcast_to(_rooms(ball, w), (len(w), n))
-    full, going = np.broadcast_to(w, (len(w), n)), np.ones(n, dtype=bool)
+def _path_loss(ball: Ball, tape: dict, windows: np.ndarray, dw: np.ndarray, droom: np.ndarray) -> float:
+    w, loss = tape["w"], 0.0
+    counts, room, column, going = ball.counts[windows], _rooms(ball, tape["w"]), tape["column"], np.ones(len(windows), dtype=bool)
     for i in range(ball.path.shape[1]):
         e = ball.path[windows, i]
         loss += float(counts[going & (e < 0)].sum()) * -np.log(EPSILON)
         going = going & (e >= 0)
         at = np.flatnonzero(going)
-        p = np.maximum(full[e[at], at], EPSILON)
+        where = e[at], column[at]
+        p = np.maximum(w[where], EPSILON)
         loss -= float((counts[at] * np.log(p)).sum())
-        dw[e[at], at] -= counts[at] / p
+        np.add.at(dw, where, -counts[at] / p)
         if i:
-            last = ball.path[windows[at], i - 1]
-            r = np.maximum(room[last, at], EPSILON)
+            last = ball.path[windows[at], i - 1], column[at]
+            r = np.maximum(room[last], EPSILON)
             loss += float((counts[at] * np.log(r)).sum())
-            droom[last, at] += counts[at] / r
+            np.add.at(droom, last, counts[at] / r)
     return loss
 
 
@@ -338,12 +368,11 @@ def loss_and_gradient(ball: Ball, vector: np.ndarray, config: ModelConfig) -> tu
     loss = 0.0
     for windows in ball.parts(config.hidden):
         tape = forward(ball, p, config, windows)
-        w = tape["w"]
-        dw, droom = np.zeros((len(w), len(windows))), np.zeros((len(w), len(windows)))
-        loss += _path_loss(ball, w, windows, dw, droom) if config.objective == "path" else _target_loss(ball, w, config, windows, dw, droom)
+        dw, droom = np.zeros_like(tape["w"]), np.zeros_like(tape["w"])
+        loss += _path_loss(ball, tape, windows, dw, droom) if config.objective == "path" else _target_loss(ball, tape, config, windows, dw, droom)
         has = ball.back >= 0
         dw[ball.back[has]] -= droom[has]  # an edge is the way back of one other at most
-        for name, g in backward(ball, p, config, tape, dw if w.shape[1] > 1 or len(windows) == 1 else dw.sum(axis=1, keepdims=True)).items():
+        for name, g in backward(ball, p, config, tape, dw).items():
             total[name] += g
     return loss, np.concatenate([total[k].ravel() for k in shapes(config)])
 
@@ -402,7 +431,7 @@ def ego_graphs(
                     pairs(row["near"], "at", "to"), pairs(row["edges"], "src", "dst"), np.array([x["f"] for x in row["edges"] or ()], dtype=float).reshape(len(row["edges"] or ()), -1),
                     row["cur"], h, [[(m["seen"], m["slot"], m["weight"]) for m in x["marks"] or ()] for x in found], [x["suffix"] for x in found], [x["count"] for x in found],
                 )
-                ball.prefixes, ball.raw_suffixes = [x["prefix"] for x in found], [x["suffix"] for x in found]
+                ball.prefixes, ball.raw_suffixes = [found[i]["prefix"] for i in ball.order], [found[i]["suffix"] for i in ball.order]
                 out.append((row["cur"], len(found), pickle.dumps(ball, protocol=5)))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [()] * 3, (pa.int64(), pa.int32(), pa.binary()), strict=True)], names=["cur", "n_windows", "ball"])
 
@@ -496,11 +525,11 @@ def _lbfgs(f, x: np.ndarray, config: ModelConfig, memory: int = 8) -> tuple[np.n
 # ---------------------------------------------------------------- prediction
 
 
-def node_mass(ball: Ball, w: np.ndarray, config: ModelConfig, windows: int) -> np.ndarray:
-    """(nodes, windows): where the walk is after h steps, by the model's readout."""
-    mass = walk_mass(ball, w, transitions_of(config), windows)[-1]
+def node_mass(ball: Ball, w: np.ndarray, config: ModelConfig) -> np.ndarray:
+    """(nodes, columns of w): where the walk is after h steps, by the model's readout."""
+    mass = walk_mass(ball, w, transitions_of(config))[-1]
     if config.readout == "pinv":
-        return ball.by_src(mass * w) / np.maximum(ball.by_src(np.broadcast_to(w * w, mass.shape)), EPSILON)
+        return ball.by_src(mass * w) / np.maximum(ball.by_src(w * w), EPSILON)
     return (ball.by_dst if config.readout == "head" else ball.by_src)(mass)
 
 
@@ -535,11 +564,11 @@ def predict_many(rows: DataFrame, models: list[Model], *, k: int = 5, suffixes:
         p = unpack(vector, config)
         for windows in ball.parts(config.hidden):
             dead = not len(ball.first)
-            w = None if dead else forward(ball, p, config, windows)["w"]
-            at = None if dead else node_mass(ball, w, config, len(windows))
-            for j, window in enumerate(windows.tolist()):
+            tape = None if dead else forward(ball, p, config, windows)
+            at = None if dead else node_mass(ball, tape["w"], config)
+            for j, window in zip([0] * len(windows) if dead else tape["column"].tolist(), windows.tolist(), strict=True):
                 suffix, pt, rank, pp, top, choices, rivals = ball.suffixes[window], 0.0, None, 0.0, [], [], []
-                own = None if dead else w[:, j if w.shape[1] > 1 else 0]
+                own = None if dead else tape["w"][:, j]
                 if not dead:
                     order = np.lexsort((ball.nodes, -np.round(at[:, j], 9)))
                     order = order[at[order, j] > 0]
