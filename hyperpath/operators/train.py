@@ -28,6 +28,8 @@ EPSILON = 1e-12
 MEMORY = 4
 #: Up to so many nodes a ball averages by matrix products, beyond by sums over sorted edges.
 DENSE_NODES = 1024
+#: Numbers of a pass over a ball; sums over balls, and the parameters, are in double.
+PRECISION = np.float32
 #: Numbers in one array of edges by windows by hidden units; more windows go in parts.
 BATCH_NUMBERS = 3_000_000
 
@@ -108,7 +110,7 @@ class Sums:
         self.at = ranked[self.starts]
 
     def __call__(self, rows: np.ndarray) -> np.ndarray:
-        out = np.zeros((self.size, *rows.shape[1:]))
+        out = np.zeros((self.size, *rows.shape[1:]), dtype=rows.dtype)
         if len(self.order):
             out[self.at] = np.add.reduceat(rows[self.order], self.starts, axis=0)
         return out
@@ -192,7 +194,7 @@ class Ball:
             out = out if turned else out / degree
         return out.reshape(x.shape)
 
-    def seen(self, groups: np.ndarray, layers: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def seen(self, groups: np.ndarray, layers: int, kind: np.dtype) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """What the first layer sees, its means over in- and out-neighbours: the same for all models. For one layer, of the edges' ends only."""
         key = int(groups[0]), int(groups[-1]), layers == 1
         if key not in self.known:
@@ -201,7 +203,7 @@ class Ball:
             c = np.zeros((len(self.nodes), len(groups), MEMORY))
             np.add.at(c, (node[own].astype(np.int64), (group[own] - groups[0]).astype(np.int64), slot[own].astype(np.int64)), weight[own])
             found = c, self.average(c, True), self.average(c, False)
-            self.known = {key: tuple(x[self.ends] for x in found) if layers == 1 else found}
+            self.known = {key: tuple((x[self.ends] if layers == 1 else x).astype(kind) for x in found)}
         return self.known[key]
 
     def parts(self, hidden: int) -> Iterator[np.ndarray]:
@@ -220,12 +222,12 @@ def _features(ball: Ball, config: ModelConfig) -> np.ndarray:
 def forward(ball: Ball, p: dict[str, np.ndarray], config: ModelConfig, windows: np.ndarray) -> dict:
     """Latent weights w (edges, groups of windows; one column if they don't depend on the window), the column of each window, and
     what the backward pass needs. The last layer is that of the edges' ends only."""
-    x = _features(ball, config)
+    x = _features(ball, config).astype(p["w1"].dtype)
     tape: dict = {"layers": [], "x": x}
     score = x @ p["w1"][-x.shape[1] :] + p["b1"]
     if config.coords == "gnn":
         groups = np.arange(ball.group[windows[0]], ball.group[windows[-1]] + 1)
-        c, a, b = ball.seen(groups, config.layers)
+        c, a, b = (v.astype(x.dtype, copy=False) for v in ball.seen(groups, config.layers, x.dtype))
         for layer in range(config.layers):
             if layer:
                 a, b = ball.average(c, True), ball.average(c, False)
@@ -273,7 +275,7 @@ def backward(ball: Ball, p: dict[str, np.ndarray], config: ModelConfig, tape: di
             grads[f"bias{layer}"] = da.sum(axis=(0, 1))
             if layer:
                 if layer == config.layers - 1:  # back from the edges' ends to all nodes
-                    full = np.zeros((len(ball.nodes), *da.shape[1:]))
+                    full = np.zeros((len(ball.nodes), *da.shape[1:]), dtype=da.dtype)
                     full[ball.ends] = da
                     da = full
                 dc = da @ p[f"own{layer}"].T + ball.average(da @ p[f"in{layer}"].T, True, True) + ball.average(da @ p[f"out{layer}"].T, False, True)
@@ -294,7 +296,7 @@ def transitions_of(config: ModelConfig) -> int:
 
 def walk_mass(ball: Ball, w: np.ndarray, transitions: int) -> list[np.ndarray]:
     """Edge mass after 0.. transitions from the start, for each column of weights; mass at dead ends is dropped."""
-    mass = [np.zeros(w.shape)]
+    mass = [np.zeros_like(w)]
     mass[0][ball.first] = w[ball.first]
     room = _rooms(ball, w)
     for one, two, _, into in ball.into[:transitions]:
@@ -455,7 +457,7 @@ def evaluate(rows: DataFrame, vectors: list[np.ndarray], configs: list[ModelConf
             for ball in _balls(batch):
                 n += float(ball.counts.sum())
                 for i, (vector, config) in enumerate(zip(vectors, configs, strict=True)):
-                    one, g = loss_and_gradient(ball, vector, config)
+                    one, g = loss_and_gradient(ball, vector.astype(PRECISION), config)
                     losses[i] += one
                     grads[i] += g
         yield pa.RecordBatch.from_arrays(

@@ -370,7 +370,7 @@ def test_one_epoch_and_balls_equal_the_whole_graph(spark, walked):
             a, b = train.loss_and_gradient(one, x, config)
             total, g = total + a, g + b
         count = windows.count()
-        assert np.isclose(loss, total / count + 0.5 * config.l2 * x @ x) and np.allclose(grad, g / count + config.l2 * x)
+        assert np.isclose(loss, total / count + 0.5 * config.l2 * x @ x, rtol=1e-4) and np.allclose(grad, g / count + config.l2 * x, rtol=1e-3, atol=1e-4)  # single precision
 
 
 def test_predictions_agree_with_the_walk_and_the_measures(spark, walked):
