@@ -85,6 +85,19 @@ def ranked(df: DataFrame, order: list[str], name: str) -> DataFrame:
     return own.withColumn("_part", part).join(F.broadcast(before), "_part").withColumn(name, F.col("_before") + place).drop("_at", "_part", "_before")
 
 
+#: Keys that hold a larger part of the rows than one in so many are joined by broadcast: there are no more of them than this.
+HOT_KEYS, HOT_LEAST = 2000, 500
+
+
+def hot_join(left: DataFrame, right: DataFrame, by: list[str], count: str) -> DataFrame:
+    """left joined with right, which has one row per key and, in count, the rows of left with that key. No task gets a hot key's rows:
+    those keys, whose number is bounded by their size, are broadcast, and only the others are shuffled. Both sides are read twice."""
+    total = right.agg(F.coalesce(F.sum(count), F.lit(0))).first()[0]
+    large = F.col(count) > max(HOT_LEAST, total // HOT_KEYS)
+    hot, others = F.broadcast(right.where(large).drop(count)), right.where(~large).drop(count)
+    return left.join(hot, by).unionByName(left.join(F.broadcast(right.where(large).select(*by)), by, "left_anti").join(others, by))
+
+
 def free_name(df: DataFrame, base: str) -> str:
     """base, or base with underscores before it, so that it clashes with no column of df (any case)."""
     taken = {c.lower() for c in df.columns}

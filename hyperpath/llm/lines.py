@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import IS_GAP, drop_materialized, free_name, materialize
+from .common import IS_GAP, drop_materialized, free_name, hot_join, materialize
 
 MIN_WORDS = 10
 _LAST = (1 << 63) - 1
@@ -108,8 +108,8 @@ def line_places(docs: DataFrame, *, id_col: str, text_col: str, min_words: int)
 
 def _ranked(places: DataFrame, by: list[str], tag: str) -> DataFrame:
     """places with the id of their key, where the key is found twice or more. Partial aggregation first, so a hot key is a row per task."""
-    many = places.groupBy(*by).agg(F.count("*").alias("_n")).where("_n > 1").select(*by, F.monotonically_increasing_id().alias("id"))
-    return materialize(places.join(materialize(many, "ranks"), by).drop(*by), tag)
+    many = places.groupBy(*by).agg(F.count("*").alias("_n")).where("_n > 1").select(*by, "_n", F.monotonically_increasing_id().alias("id"))
+    return materialize(hot_join(places, materialize(many, "ranks"), by, "_n").drop(*by), tag)
 
 
 def repeated_runs(docs: DataFrame, *, id_col: str, text_col: str, min_words: int) -> DataFrame:
@@ -154,8 +154,9 @@ def repeated_runs(docs: DataFrame, *, id_col: str, text_col: str, min_words: int
 
 def _later_copies(runs: DataFrame) -> DataFrame:
     """runs(doc, row, start, size, x, y) of which a document of smaller id has a copy."""
-    first = runs.groupBy("size", "x", "y").agg(F.min("doc").alias("first"), F.max("doc").alias("last")).where("first < last").drop("last")
-    return runs.join(first, ["size", "x", "y"]).where("doc > first").select("doc", "row", "start", "size")
+    by = ["size", "x", "y"]
+    first = runs.groupBy(*by).agg(F.min("doc").alias("first"), F.max("doc").alias("last"), F.count("*").alias("_n")).where("first < last").drop("last")
+    return hot_join(runs, materialize(first, "firsts"), by, "_n").where("doc > first").select("doc", "row", "start", "size")
 
 
 def dedup_lines(
