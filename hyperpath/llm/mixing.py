@@ -6,9 +6,9 @@ again by weight. As no node is dealt more than the capacity below it, a shortage
 the siblings of the parent, and so on up. Each leaf takes whole seeded epochs of its documents and, of the next epoch, the
 longest prefix of a seeded order that fits the rest of its budget.
 
-Only DataFrame functions. The prefix needs no sort of a leaf: tokens are summed by bucket of the order's hash, the bucket
-in which the budget ends is found from the sums, and only that bucket's rows are ordered. Every leaf is then described by
-one hash bound, and a map-only pass with the table of leaves picks the rows, so texts are not shuffled.
+Only DataFrame functions. The prefix needs no sort of a leaf: tokens are summed by the leading bits of the order's hash, the
+sum in which the budget ends is found, and the rows under it are summed by the next bits, until one hash is left. Every leaf is
+then described by that bound, and a map-only pass with the table of leaves picks the rows, so texts are not shuffled.
 
 Defined results: null texts and null levels count as 0 tokens and the value "" of the level; rows of equal id in one leaf have
 equal hashes and are taken together; documents without tokens are in every prefix that reaches them; an empty table gives
@@ -26,9 +26,8 @@ from pyspark.sql import functions as F
 from .common import WORD_PATTERN, free_name, materialize
 
 LEVELS = ("domain", "lang", "source")
-#: Hash buckets of a leaf; the order's hash has 60 bits.
-BUCKETS = 1 << 12
-_SHIFT = 60 - 12
+#: The order's hash, and the bits by which a bound is narrowed per round: a leaf has 2**STEP_BITS sums at most in a round.
+HASH_BITS, STEP_BITS = 60, 10
 #: More leaves than this are joined, not broadcast.
 BROADCAST_LEAVES = 200_000
 
@@ -109,19 +108,18 @@ def leaf_bounds(narrow: DataFrame, plan: MixPlan) -> DataFrame:
     plan_rows = leaf_budgets(leaves, plan).withColumn("epochs", F.when(F.col("tokens") > 0, F.floor(F.col("budget") / F.col("tokens"))).otherwise(F.lit(0)).cast("long"))
     plan_rows = plan_rows.withColumn("rest", F.col("budget") - F.col("epochs") * F.col("tokens"))
     plan_rows = materialize(plan_rows, "budgets")
-    # Of a leaf that a third of all rows share, each task sends one row per bucket.
-    hashed = with_leaves(narrow, plan_rows.where("rest > 0").select(*LEVELS, "epochs", "rest"), "inner").withColumn("h", order_hash(plan.seed, F.col("epochs"), F.col("id")))
-    hashed = hashed.withColumn("bucket", F.shiftright("h", _SHIFT))
-    sums = hashed.groupBy(*LEVELS, "bucket").agg(F.sum("tokens").alias("t"), F.first("rest").alias("rest"))
+    hashed = with_leaves(narrow, plan_rows.where("rest > 0").select(*LEVELS, "epochs"), "inner")
+    hashed = materialize(hashed.select(*LEVELS, order_hash(plan.seed, F.col("epochs"), F.col("id")).alias("h"), "tokens"), "hashed")
+    ends = plan_rows.where("rest > 0").select(*LEVELS, "rest", F.lit(0).cast("long").alias("before"), F.lit(0).cast("long").alias("prefix"))
     run = Window.partitionBy(*LEVELS).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    ends = sums.withColumn("before", F.coalesce(F.sum("t").over(run), F.lit(0))).where("before <= rest and before + t > rest")
-    ends = materialize(ends.select(*LEVELS, F.col("bucket").alias("end"), "before"), "ends")
-    last = with_leaves(hashed, ends, "inner").where("bucket = end").groupBy(*LEVELS, "h", "rest", "end", "before").agg(F.sum("tokens").alias("t"))
-    inside = Window.partitionBy(*LEVELS).orderBy("h").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    fits = last.withColumn("upto", F.col("before") + F.sum("t").over(inside))
-    bound = fits.groupBy(*LEVELS).agg(
-        F.coalesce(F.max(F.when(F.col("upto") <= F.col("rest"), F.col("h"))), F.shiftleft(F.first("end"), _SHIFT) - 1).alias("bound")
-    )
+    for left in range(HASH_BITS - STEP_BITS, -1, -STEP_BITS):
+        # Of a leaf that a third of all rows share, each task sends one row per bucket.
+        within = with_leaves(hashed, ends, "inner").where(F.shiftright("h", left + STEP_BITS) == F.col("prefix"))
+        sums = within.groupBy(*LEVELS, F.shiftright("h", left).alias("bucket")).agg(F.sum("tokens").alias("t"), F.first("rest").alias("rest"), F.first("before").alias("base"))
+        sums = sums.withColumn("before", F.col("base") + F.coalesce(F.sum("t").over(run), F.lit(0))).where("before <= rest and before + t > rest")
+        ends = materialize(sums.select(*LEVELS, "rest", "before", F.col("bucket").alias("prefix")), "ends")
+    # The rest is less than a whole epoch, so some hash goes beyond it; all smaller ones are taken.
+    bound = ends.select(*LEVELS, (F.col("prefix") - 1).alias("bound"))
     return plan_rows.join(bound, list(LEVELS), "left").withColumn("bound", F.coalesce("bound", F.lit(-1)))
 
 
