@@ -2,7 +2,8 @@
 
 Exact. Documents with equal sets are one node (the signature of the set), so exact copies never meet as pairs. Shingles have a
 global order, rare ones first; two similar sets share shingles in their prefixes. Shingles are counted in one pass; those
-found often (a table of bounded size, by count) form the frequent class. Prefixes are extended, and indexed by single
+found often form the frequent class, which is sent as a table of levels by cell. Its size follows the corpus: shingles of many documents
+in the rare class would tie unrelated texts into one group. Prefixes are extended, and indexed by single
 shingles of the rare class and by combinations of two of the frequent class, which are dealt to subclasses so that the
 combinations stay few: with g subclasses, prefixes longer by g share a rare shingle or two of one frequent subclass. The number of
 subclasses depends on the size level of the smaller set, and sets near a level's edge are indexed for both.
@@ -39,11 +40,14 @@ BUCKET_BITS = 8
 BUCKETS = 1 << BUCKET_BITS
 #: Hashes counted or indexed before a task sends blobs.
 FLUSH = 1_500_000
-#: The frequent class: shingles in so many documents at least, and so many shingles at most (the most frequent ones).
-#: The class only sets the order, so its size bounds no result.
-FREQUENT_DOCS, FREQUENT_LIMIT = 8, 1 << 18
-#: Cells of the histogram of counts, per factor of e.
+#: The frequent class: shingles in so many documents at least, and so many shingles at most (the most frequent ones), which is
+#: more than 50 GB of text have. The class only sets the order, so its size bounds no result.
+FREQUENT_DOCS, FREQUENT_LIMIT = 8, 1 << 24
+#: Levels of counts, per factor of e.
 HISTOGRAM_CELLS = 16
+#: The table of the class has 8 to 16 cells of a byte per shingle, within these bits. A rare shingle in a taken cell counts as
+#: frequent wherever it is, so no link is lost.
+CELL_BITS = 16, 27
 #: Buckets of more nodes give a linear number of pairs at first.
 SMALL_BUCKET, NEIGHBOURS = 16, 4
 #: Blocks of the exact rest: rows and shingles at most, about.
@@ -82,8 +86,13 @@ _MASK40 = _U((1 << 40) - 1)
 # ---------------------------------------------------------------- counting
 
 
-def frequent_shingles(docs: DataFrame, text_col: str, *, least: int = FREQUENT_DOCS, limit: int = FREQUENT_LIMIT) -> tuple[np.ndarray, np.ndarray]:
-    """(48-bit hashes, ascending; documents that have them) of the frequent class; all documents are counted."""
+def levels(tokens: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """The level of each shingle hash in the table of the frequent class: 0 if rare, else by the logarithm of its documents."""
+    return table[tokens >> _U(16) >> _U(48 - (len(table).bit_length() - 1))]
+
+
+def frequent_shingles(docs: DataFrame, text_col: str, *, least: int = FREQUENT_DOCS, limit: int = FREQUENT_LIMIT) -> np.ndarray:
+    """The table of the frequent class: levels by the top bits of the hash; all documents are counted."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
@@ -122,21 +131,27 @@ def frequent_shingles(docs: DataFrame, text_col: str, *, least: int = FREQUENT_D
     blobs = docs.select(text_col).mapInArrow(send, "bucket int, blob binary").repartition("bucket")
     counted = materialize(blobs.mapInArrow(count, "token long, docs long"), "counts")
     # The least count with which the class fits its limit, from a histogram of at most some hundred cells.
-    step = F.floor(F.log("docs") * HISTOGRAM_CELLS).cast("int")
+    step = F.least(F.floor(F.log("docs") * HISTOGRAM_CELLS) + 1, F.lit(255)).cast("int")
     cells = {r["cell"]: r["n"] for r in counted.groupBy(step.alias("cell")).agg(F.count("*").alias("n")).collect()}
     total, lowest = 0, None
     for cell in sorted(cells, reverse=True):
-        total += cells[cell]
-        if total > limit:
+        if total + cells[cell] > limit:
             break
-        lowest = cell
+        total, lowest = total + cells[cell], cell
     if lowest is None:
-        return np.empty(0, dtype=np.uint64), np.empty(0, dtype=np.int64)
-    top = counted.where(step >= lowest).toPandas()  # limit rows at most
+        return np.zeros(1, dtype=np.uint8)
+    bits = min(max(CELL_BITS[0], total.bit_length() + 3), CELL_BITS[1])
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = batch.column(0).to_numpy().astype(np.uint64) >> _U(48 - bits)
+            yield pa.RecordBatch.from_arrays([pa.array([at.astype("<u4").tobytes()], pa.binary()), pa.array([batch.column(1).to_numpy().astype(np.uint8).tobytes()], pa.binary())], names=["at", "level"])
+
+    table = np.zeros(1 << bits, dtype=np.uint8)
+    for r in counted.where(step >= lowest).select("token", step.alias("level")).mapInArrow(place, "at binary, level binary").collect():  # five bytes a shingle
+        np.maximum.at(table, np.frombuffer(r["at"], dtype="<u4"), np.frombuffer(r["level"], dtype=np.uint8))
     drop_materialized(counted)
-    token, n = top["token"].to_numpy(np.int64).astype(np.uint64), top["docs"].to_numpy(np.int64)
-    order = np.argsort(token)
-    return token[order], n[order]
+    return table
 
 
 # ---------------------------------------------------------------- signatures
@@ -150,7 +165,7 @@ def _level(n: int) -> int:
 
 
 def index_keys(tokens: np.ndarray, frequent: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    """Distinct 48-bit index keys of a sorted set of shingle hashes."""
+    """Distinct 48-bit index keys of a sorted set of shingle hashes. frequent: 48 bits of those in the frequent class (others may be there), ascending; counts: what orders them."""
     n = len(tokens)
     least = -(-PERCENT * n // 100)  # shingles shared with any similar set
     if len(frequent):
@@ -193,10 +208,10 @@ def signature(tokens: np.ndarray) -> int:
     return int(mix64(folded + np.array([len(tokens)], dtype=np.uint64)).view(np.int64)[0])
 
 
-def build_index(docs: DataFrame, id_col: str, text_col: str, frequent: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+def build_index(docs: DataFrame, id_col: str, text_col: str, frequent: np.ndarray) -> DataFrame:
     """Rows of two kinds: documents (doc, n, node) and blobs (bucket, keys, nodes, sizes)."""
     spark = docs.sparkSession
-    table = spark.sparkContext.broadcast(frequent)  # FREQUENT_LIMIT entries at most
+    table = spark.sparkContext.broadcast(frequent)  # 2**CELL_BITS[1] bytes at most
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary()]
     names = ["doc", "n", "node", "bucket", "keys", "nodes", "sizes"]
 
@@ -204,7 +219,7 @@ def build_index(docs: DataFrame, id_col: str, text_col: str, frequent: tuple[np.
         return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        often, counts = table.value
+        cells = table.value
         held: list[tuple[np.ndarray, int, int]] = []
         size = 0
 
@@ -233,7 +248,9 @@ def build_index(docs: DataFrame, id_col: str, text_col: str, frequent: tuple[np.
                 rows.append((doc, len(tokens), node, None, None, None, None))
                 if node not in seen:
                     seen.add(node)
-                    keys = index_keys(tokens, often, counts)
+                    level = levels(tokens, cells)
+                    often = level > 0
+                    keys = index_keys(tokens, tokens[often] >> _U(16), level[often])
                     held.append((keys, node, len(tokens)))
                     size += len(keys)
                     if size >= FLUSH:

@@ -359,6 +359,16 @@ def test_frequent_class_changes_no_link():
                 assert len(np.intersect1d(jaccard.index_keys(base, table, counts), jaccard.index_keys(other, table, counts)))
 
 
+def test_frequent_class_follows_the_corpus(spark):
+    """No shingle of many texts is left in the rare class because others are frequent, too; rare ones stay rare, most of them."""
+    often, rare = (" ".join(f"{x}{k}" for k in range(n)) for x, n in (("w", 300_000), ("r", 50_000)))
+    rows = [(k, often) for k in range(jaccard.FREQUENT_DOCS)] + [(100, rare)]
+    table = jaccard.frequent_shingles(docs_of(spark, rows).repartition(4), "text")
+    assert (jaccard.levels(shingle_set(often.encode()), table) > 0).all()
+    assert (jaccard.levels(shingle_set(rare.encode()), table) == 0).mean() > 0.8
+    assert not jaccard.levels(shingle_set(rare.encode()), jaccard.frequent_shingles(docs_of(spark, [(1, rare)]), "text")).any()
+
+
 def test_blobs_round_trip_and_shingles():
     x = np.sort(np.random.default_rng(1).integers(0, 1 << 40, 1000, dtype=np.uint64))
     assert (jaccard.unpack_sorted(jaccard.pack_sorted(x)) == x).all() and not len(jaccard.unpack_sorted(jaccard.pack_sorted(x[:0])))
