@@ -1,6 +1,7 @@
 """Hand-checked graphs, closed forms against matrices, degenerate inputs."""
 
 import math
+import pickle
 import random
 
 import numpy as np
@@ -399,6 +400,28 @@ def test_predictions_agree_with_the_walk_and_the_measures(spark, walked):
         assert not r["rivals"] or sum(x["p"] for x in r["rivals"]) < 1 + 1e-9
 
 
+def test_walk_over_a_dense_ball_holds_no_pairs_of_edges():
+    """The mass of each step equals the sum over pairs of edges, and a ball's size follows its edges, not those pairs."""
+    n = 40
+    rng = np.random.default_rng(4)
+    edges = np.array([(a, b) for a in range(n) for b in range(n) if a != b and rng.random() < 0.9] + [(n, 0), (0, n), (n + 1, n)])
+    nodes = np.arange(n + 2)
+    ball = train.Ball(nodes, np.ones((n + 2, 2)), edges, edges, np.ones((len(edges), 1)), n, 2, [[(n, 0, 1.0)]], [[0, 1]], [1])
+    assert len(pickle.dumps(ball, protocol=5)) < 100 * len(edges)
+    ball.prepare()
+    w = rng.random((len(edges), 3))
+    w /= np.stack([np.bincount(ball.src, x, n + 2) for x in w.T], 1)[ball.src]
+    room = train._rooms(ball, w)
+    want = np.where((ball.src == n)[:, None], w, 0)
+    for got in train.walk_mass(ball, w, 2):
+        assert np.allclose(got, want, rtol=1e-9, atol=0)
+        step = np.zeros_like(w)
+        for e in range(len(edges)):
+            for f in np.flatnonzero((ball.src == ball.dst[e]) & (ball.dst != ball.src[e])):
+                step[f] += np.where(room[e] > train.EPSILON, want[e] * w[f] / np.maximum(room[e], train.EPSILON), 0)
+        want = step
+
+
 def test_training_lowers_the_loss_and_models_survive_saving(spark, walked, tmp_path):
     frame, _, edges, f = walked
     rows = train.ego_graphs(trajectories.windows(frame, horizons=(2,)), f, features.node_features(edges), h=2).cache()
