@@ -3,12 +3,15 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import os
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -71,6 +74,24 @@ def drop_materialized(df: DataFrame) -> None:
             shutil.rmtree(folder, ignore_errors=True)
 
 
+def trimmed(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """run for mapInArrow; what it freed goes back to the system when it ends. Python workers wait for more tasks, and would hold it beside those that work."""
+
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            release_memory()
+
+    return whole
+
+
+def release_memory() -> None:
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):  # glibc only
+        trim(0)
+
+
 def with_row_key(df: DataFrame, name: str) -> DataFrame:
     """A unique key per row, the same in every evaluation of a scan: partition number and place in it."""
     return df.withColumn(name, F.monotonically_increasing_id())

@@ -10,7 +10,7 @@ subclasses depends on the size level of the smaller set, and sets near a level's
 
 Counts and index travel as blobs of sorted, delta-coded hashes, two to twelve bytes an entry. A bucket of the index gives all its pairs if
 it is small; a large one gives pairs with its first member and with the next four of a fixed order, a number linear in
-its size. The pairs are verified on whole texts, and linked nodes form components. All pairs within large buckets are then considered, block against block by matrix products in
+its size. Pairs whose sketches show that their sets can't be similar go first; the others are verified on whole texts, and linked nodes form components. All pairs within large buckets are then considered, block against block by matrix products in
 bounded tasks, which return the links that connect components and the number of links of each node; so no link is lost or
 left uncounted, and no pair becomes a row. The products of a group of many near texts grow with the square of the group.
 
@@ -23,6 +23,7 @@ from __future__ import annotations
 import gc
 from collections import OrderedDict
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -30,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SHINGLE_WORDS, components, drop_materialized, free_name, materialize, mix64, shingle_set
+from .common import SHINGLE_WORDS, components, drop_materialized, free_name, materialize, mix64, shingle_set, trimmed
 
 _U = np.uint64
 #: Two sets link when 100 * intersection >= PERCENT * union.
@@ -50,6 +51,10 @@ HISTOGRAM_CELLS = 16
 CELL_BITS = 16, 27
 #: Buckets of more nodes give a linear number of pairs at first.
 SMALL_BUCKET, NEIGHBOURS = 16, 4
+#: The index is dealt to its buckets in so many parts, one after the other: beside the index the disk holds the shuffle of one part.
+PARTS = 4
+#: Cells of a sketch per shingle, rounded up to a power of two.
+SKETCH_CELLS = 4
 #: Blocks of the exact rest: rows and shingles at most, about.
 BLOCK_ROWS, BLOCK_SHINGLES = 400, 200_000
 BROADCAST_CLASSES = 100_000
@@ -128,8 +133,8 @@ def frequent_shingles(docs: DataFrame, text_col: str, *, least: int = FREQUENT_D
             token = token[often] | (_U(bucket) << _U(40))
             yield pa.RecordBatch.from_arrays([pa.array(token.astype(np.int64)), pa.array(n[often].astype(np.int64))], names=["token", "docs"])
 
-    blobs = docs.select(text_col).mapInArrow(send, "bucket int, blob binary").repartition("bucket")
-    counted = materialize(blobs.mapInArrow(count, "token long, docs long"), "counts")
+    blobs = docs.select(text_col).mapInArrow(trimmed(send), "bucket int, blob binary").repartition("bucket")
+    counted = materialize(blobs.mapInArrow(trimmed(count), "token long, docs long"), "counts")
     # The least count with which the class fits its limit, from a histogram of at most some hundred cells.
     step = F.least(F.floor(F.log("docs") * HISTOGRAM_CELLS) + 1, F.lit(255)).cast("int")
     cells = {r["cell"]: r["n"] for r in counted.groupBy(step.alias("cell")).agg(F.count("*").alias("n")).collect()}
@@ -262,7 +267,7 @@ def build_index(docs: DataFrame, id_col: str, text_col: str, frequent: np.ndarra
         if held:
             yield flush()
 
-    return docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(run, "doc long, n long, node long, bucket int, keys binary, nodes binary, sizes binary")
+    return docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(trimmed(run), "doc long, n long, node long, bucket int, keys binary, nodes binary, sizes binary")
 
 
 def candidates(blobs: DataFrame) -> DataFrame:
@@ -320,7 +325,7 @@ def candidates(blobs: DataFrame) -> DataFrame:
                 k = pa.array(keys[large].astype(np.int64))
                 yield pa.RecordBatch.from_arrays([k, pa.array(nodes[large]), pa.nulls(len(k), pa.int64()), pa.array(sizes[large])], names=["key", "a", "b", "n"])
 
-    return blobs.repartition("bucket").mapInArrow(run, "key long, a long, b long, n long")
+    return blobs.repartition("bucket").mapInArrow(trimmed(run), "key long, a long, b long, n long")
 
 
 # ---------------------------------------------------------------- verification
@@ -331,6 +336,38 @@ def similar(x: np.ndarray, y: np.ndarray) -> bool:
     return 100 * both >= PERCENT * (len(x) + len(y) - both)
 
 
+def sketch(tokens: np.ndarray) -> bytes:
+    """A bit per cell of the hashes' top bits: set if a shingle falls there."""
+    bits = max(3, (SKETCH_CELLS * len(tokens) - 1).bit_length())
+    cells = np.zeros(1 << bits, dtype=np.uint8)
+    cells[tokens >> _U(64 - bits)] = 1
+    return np.packbits(cells).tobytes()
+
+
+def may_link(x: bytes, y: bytes, n: int, m: int) -> bool:
+    """False only if sets of n and m shingles with these sketches can't be similar: a cell that one of them has alone holds a shingle that it has alone."""
+    p, q = (np.unpackbits(np.frombuffer(b, dtype=np.uint8)) for b in (x, y))
+    while len(p) > len(q):
+        p = p[::2] | p[1::2]
+    while len(q) > len(p):
+        q = q[::2] | q[1::2]
+    both = min(n - np.count_nonzero(p > q), m - np.count_nonzero(q > p))
+    return 100 * both >= PERCENT * (n + m - both)
+
+
+def promising(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """The pairs (a, b) of nodes but for those that their sketches rule out, so that few texts travel; texts(node, n, sketch) has one row per node."""
+    sa, sb = (texts.select(F.col("node").alias(x), F.col("n").alias(f"n_{x}"), F.col("sketch").alias(f"sketch_{x}")) for x in "ab")
+    joined = pairs.join(sa, "a").join(sb, "b").select("a", "b", "sketch_a", "sketch_b", "n_a", "n_b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = [may_link(*row) for row in zip(*(c.to_pylist() for c in batch.columns[2:]), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    return joined.mapInArrow(trimmed(run), "a long, b long")
+
+
 def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     """The pairs (a, b) of nodes whose sets are similar; texts(node, text) has one row per node."""
     ta, tb = (texts.select(F.col("node").alias(x), F.col("text").alias(f"text_{x}")) for x in "ab")
@@ -355,7 +392,7 @@ def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
             links = [similar(of(a, x), of(b, y)) for a, b, x, y in zip(*(c.to_pylist() for c in batch.columns), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(links, pa.bool_()))
 
-    return joined.mapInArrow(run, "a long, b long")
+    return joined.mapInArrow(trimmed(run), "a long, b long")
 
 
 def _release(spark: SparkSession) -> None:
@@ -449,10 +486,15 @@ def similarity_components(docs: DataFrame, *, id_col: str = "doc_id", text_col:
     _release(spark)
     index = materialize(build_index(docs, id_col, text_col, frequent), "index")
     rows = index.where("bucket is null").select("doc", "n", "node")
-    found = materialize(candidates(index.where("bucket is not null").select("bucket", "keys", "nodes", "sizes")), "candidates")
+    parts = []
+    for i in range(PARTS):
+        blobs = index.where(F.col("bucket") % PARTS == i).select("bucket", "keys", "nodes", "sizes")
+        parts.append(materialize(candidates(blobs), "candidates"))
+        del blobs
+        _release(spark)
+    found = reduce(DataFrame.unionByName, parts)
     rows = materialize(rows, "nodes")
     drop_materialized(index)
-    _release(spark)
     pairs = found.where("key is null").select("a", "b").distinct()
     members = found.where("key is not null").select("key", F.col("a").alias("node"), "n")
     first = rows.where("node is not null").groupBy("node").agg(F.min("doc").alias("doc"))
@@ -461,28 +503,35 @@ def similarity_components(docs: DataFrame, *, id_col: str = "doc_id", text_col:
     texts = docs.select(F.col(id_col).cast("long").alias("_doc"), F.col(text_col).alias("text")).join(wanted, "_doc")
 
     def own(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:  # rows of equal id may have other texts
-            keep = [signature(t) == node if len(t := shingle_set((x or "").encode("utf-8", "surrogatepass"))) else False for node, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)]
-            yield batch.filter(pa.array(keep, pa.bool_()))
+        for batch in batches:
+            sets = [shingle_set((x or "").encode("utf-8", "surrogatepass")) for x in batch.column(1).to_pylist()]
+            keep = [len(t) > 0 and signature(t) == node for node, t in zip(batch.column(0).to_pylist(), sets, strict=True)]  # rows of equal id may have other texts
+            more = pa.array([len(t) for t in sets], pa.int64()), pa.array([sketch(t) if k else None for k, t in zip(keep, sets, strict=True)], pa.binary())
+            yield pa.RecordBatch.from_arrays([*batch.columns, *more], names=["node", "text", "n", "sketch"]).filter(pa.array(keep, pa.bool_()))
 
-    texts = materialize(texts.select("node", "text").mapInArrow(own, "node long, text string"), "texts")
+    texts = materialize(texts.select("node", "text").mapInArrow(trimmed(own), "node long, text string, n long, sketch binary"), "texts")
     if texts.count() != wanted.count():
-        texts = materialize(texts.groupBy("node").agg(F.first("text").alias("text")), "texts")
+        texts = materialize(texts.groupBy("node").agg(F.first("text").alias("text"), F.first("n").alias("n"), F.first("sketch").alias("sketch")), "texts")
+    _release(spark)
+    pairs = materialize(promising(pairs, texts), "pairs")
+    _release(spark)
+    whole = texts.select("node", "text")
+    links = materialize(verify(pairs, whole), "links")
     _release(spark)
-    pairs = materialize(pairs, "pairs")
-    links = materialize(verify(pairs, texts), "links")
     label = components(links)
     if members.isEmpty():
         degrees = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
     else:
         # Exact rest: whatever the members of large buckets have in common.
-        groups, more = _block_links(members, label, texts)
+        groups, more = _block_links(members, label, whole)
         more = materialize(more, "more")
         degrees = _degrees(links, groups, more.where("hits IS NOT NULL").select(F.col("a").alias("node"), "hits"))
         joining = more.where("b IS NOT NULL").select("a", "b").distinct()
         if not joining.isEmpty():
             label = components(links.unionByName(joining))
     label = materialize(label.join(degrees, "node"), "label")
+    for done in (texts, *parts):  # the large tables: no later plan reads them
+        drop_materialized(done)
     labelled = rows.join(label, "node", "left").select("doc", "n", F.coalesce("component", "node").alias("part"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
     labelled = materialize(labelled, "labelled")
     least = labelled.where("part is not null").groupBy("part").agg(F.min("doc").alias("least"))

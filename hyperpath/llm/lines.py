@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import IS_GAP, drop_materialized, free_name, hot_join, materialize
+from .common import IS_GAP, drop_materialized, free_name, hot_join, materialize, trimmed
 
 MIN_WORDS = 10
 _LAST = (1 << 63) - 1
@@ -103,7 +103,7 @@ def line_places(docs: DataFrame, *, id_col: str, text_col: str, min_words: int)
                 yield flush()
 
     doc, row = _keys(docs, id_col, text_col)
-    return docs.select(doc.alias("doc"), row.alias("row"), F.col(f"`{text_col}`").alias("text")).mapInArrow(run, "doc long, row long, place long, a long, b long")
+    return docs.select(doc.alias("doc"), row.alias("row"), F.col(f"`{text_col}`").alias("text")).mapInArrow(trimmed(run), "doc long, row long, place long, a long, b long")
 
 
 def _ranked(places: DataFrame, by: list[str], tag: str) -> DataFrame:
@@ -209,5 +209,5 @@ def dedup_lines(
             yield out
 
     if report:
-        return joined.mapInArrow(rebuild, f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, n_lines long, n_deleted long, n_runs long, text_left string")
-    return joined.mapInArrow(rebuild, docs.schema)
+        return joined.mapInArrow(trimmed(rebuild), f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, n_lines long, n_deleted long, n_runs long, text_left string")
+    return joined.mapInArrow(trimmed(rebuild), docs.schema)

@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import roll, word_bounds, word_hashes
+from .common import roll, trimmed, word_bounds, word_hashes
 
 #: Characters that count as symbols.
 SYMBOLS = b"#*$%&|<>"
@@ -135,7 +135,7 @@ def repetition_profile(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
             )
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, {_DDL}")
+    return docs.select(id_col, text_col).mapInArrow(trimmed(run), f"`{id_col}` {kind}, {_DDL}")
 
 
 def filter_repetitive(docs: DataFrame, *, text_col: str = "text", rules: RepetitionRules | None = None) -> DataFrame:
@@ -147,4 +147,4 @@ def filter_repetitive(docs: DataFrame, *, text_col: str = "text", rules: Repetit
         for batch in batches:
             yield batch.filter(pa.array([measure(x or b"", rules)[-1] for x in batch.column(at).cast(pa.binary()).to_pylist()], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(trimmed(run), docs.schema)

@@ -3,6 +3,7 @@
 import random
 import re
 from collections import defaultdict
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -11,7 +12,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from hyperpath.llm import decontam, jaccard, lines, mixing, quality, suffix
-from hyperpath.llm.common import components, shingle_set
+from hyperpath.llm.common import components, shingle_set, trimmed
 
 WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -372,6 +373,49 @@ def test_frequent_class_follows_the_corpus(spark):
 def test_blobs_round_trip_and_shingles():
     x = np.sort(np.random.default_rng(1).integers(0, 1 << 40, 1000, dtype=np.uint64))
     assert (jaccard.unpack_sorted(jaccard.pack_sorted(x)) == x).all() and not len(jaccard.unpack_sorted(jaccard.pack_sorted(x[:0])))
+
+
+def test_sketches_rule_out_no_similar_pair():
+    rng = np.random.default_rng(5)
+    ruled_out = 0
+    for n in (1, 3, 8, 60, 64, 65, 300, 1024, 5000):
+        base = np.unique(rng.integers(0, 2**64, n, dtype=np.uint64))
+        for changed in (0, n // 10, n // 7, n // 6, n // 4, n // 2, n):
+            for extra in (0, n // 5, n // 3):
+                other = np.unique(np.concatenate((base[changed:], rng.integers(0, 2**64, extra + changed // 2, dtype=np.uint64))))
+                if not len(other):
+                    continue
+                may = jaccard.may_link(jaccard.sketch(base), jaccard.sketch(other), len(base), len(other))
+                assert may == jaccard.may_link(jaccard.sketch(other), jaccard.sketch(base), len(other), len(base))
+                assert may or not jaccard.similar(base, other)
+                ruled_out += not may
+    assert ruled_out > 40
+
+
+def test_join_moves_only_promising_texts_and_leaves_no_large_tables(spark, tmp_path, monkeypatch):
+    """Of many pairs with a common passage the texts don't travel, and what the join wrote of texts and index is gone when it returns."""
+    rng = random.Random(3)
+    passage = " ".join(f"p{k}" for k in range(12))
+    rows = [(k, passage + " " + " ".join(f"w{rng.randrange(10**6)}" for _ in range(40))) for k in range(7)]
+    rows.append((10, rows[0][1] + " end"))
+    seen, made = [], []
+    verify, materialize = jaccard.verify, jaccard.materialize
+    monkeypatch.setattr(jaccard, "verify", lambda pairs, texts: seen.append(pairs.count()) or verify(pairs, texts))
+    monkeypatch.setattr(jaccard, "materialize", lambda df, tag="stage": made.append((tag, out := materialize(df, tag), out.inputFiles()[:1])) or out)
+    got = {r["doc_id"]: r["component_id"] for r in jaccard.similarity_components(docs_of(spark, rows)).collect()}
+    assert got == {k: 0 if k == 10 else k for k, _ in rows}
+    assert seen == [1]
+    large = [f for tag, _, files in made if tag in ("index", "candidates", "texts") for f in files]
+    assert large and not [f for f in large if Path(f.removeprefix("file:").replace("///", "/")).exists()]
+
+
+def test_trimmed_mappers_pass_all_rows(spark):
+    ended = []
+    def double(batches):
+        yield from (b for x in batches for b in (x, x))
+        ended.append(1)
+    assert list(trimmed(double)(iter([1, 2]))) == [1, 1, 2, 2] and ended
+    assert spark.range(1000).mapInArrow(trimmed(lambda batches: batches), "id long").count() == 1000
     assert (shingle_set(b"A b  c\nd e F") == shingle_set(b"a B c d e f")).all() and len(shingle_set(b"a b c d e f")) == 2
     assert len(shingle_set(b" \t")) == 0 and len(shingle_set(b"a b")) == 1
 
