@@ -3,6 +3,7 @@
 import math
 import pickle
 import random
+import tracemalloc
 
 import numpy as np
 import pytest
@@ -422,6 +423,56 @@ def test_walk_over_a_dense_ball_holds_no_pairs_of_edges():
         want = step
 
 
+def crowded(n=60, windows=40):
+    """A ball over a nearly complete graph whose windows all differ in their marks."""
+    rng = np.random.default_rng(8)
+    edges = np.array([(a, b) for a in range(n) for b in range(n) if a != b and rng.random() < 0.95])
+    marks = [[(0, 0, 1.0), (1 + k % (n - 1), 1, 1.0), (1 + k // 2 % (n - 1), 2, 1.0)] for k in range(windows)]
+    suffixes = [[int(x) for x in rng.integers(1, n, 2)] for _ in range(windows - 1)] + [[1, 0]]
+    one = train.Ball(np.arange(n), rng.random((n, 2)) * 9, edges, edges, rng.random((len(edges), 2)), 0, 2, marks, suffixes, rng.integers(1, 5, windows).tolist())
+    return one.prepare(), train.ModelConfig(layers=1, seed=2)
+
+
+def test_a_pass_holds_no_array_of_edges_by_windows_by_hidden_units():
+    one, config = crowded()
+    x = train.initial(config).astype(np.float32)
+    train.loss_and_gradient(one, x, config)
+    tracemalloc.start()
+    train.loss_and_gradient(one, x, config)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 2 * 4 * len(one.src) * len(one.counts) * config.hidden
+
+
+def test_blocks_change_no_result(monkeypatch):
+    one, config = crowded(20, 6)
+    x = train.initial(config)
+    want = train.loss_and_gradient(one, x, config)
+    kinds = set()
+    for numbers in (1, 16 * 6 * 3, 16 * 6 * 15, 16 * 6 * 50):
+        monkeypatch.setattr(train, "BLOCK_NUMBERS", numbers)
+        again = crowded(20, 6)[0]
+        got = train.loss_and_gradient(again, x, config)
+        assert np.isclose(got[0], want[0]) and np.allclose(got[1], want[1], atol=1e-9)
+        blocks = again.blocks(16 * 6)
+        assert [b.at.start for b in blocks] == [0, *(b.at.stop for b in blocks[:-1])] and blocks[-1].at.stop == len(again.src)
+        kinds |= {(b.tail is None, b.by_dst is None, b.stretches is None) for b in blocks}
+    assert len(kinds) > 2
+
+
+@pytest.mark.parametrize("readout", ["pinv", "tail"])
+def test_loss_from_the_edges_at_targets_equals_that_from_all_edges(readout):
+    one, config = crowded(20, 12)
+    config.readout = readout
+    windows = np.arange(12)
+    tape = train.forward(one, train.unpack(train.initial(config), config), config, windows)
+    near, far, room = (np.zeros_like(tape["w"]) for _ in range(3))
+    losses = train._near_target_loss(one, tape, config, windows, near), train._target_loss(one, tape, config, windows, far, room)
+    has = one.back >= 0
+    far[one.back[has]] -= room[has]
+    assert np.isclose(*losses) and np.allclose(near, far)
+
+
 def test_training_lowers_the_loss_and_models_survive_saving(spark, walked, tmp_path):
     frame, _, edges, f = walked
     rows = train.ego_graphs(trajectories.windows(frame, horizons=(2,)), f, features.node_features(edges), h=2).cache()
