@@ -460,6 +460,24 @@ def test_blocks_change_no_result(monkeypatch):
     assert len(kinds) > 2
 
 
+@pytest.mark.parametrize("layers", [1, 2])
+def test_hidden_units_of_one_sign_are_summed_by_products(layers, monkeypatch):
+    """On a dense ball few hidden units are computed one by one, and loss, gradient and weights are those of computing all."""
+    one, config = crowded()
+    config.layers = layers
+    x, windows = train.initial(config), np.arange(40)
+    tape = train.forward(one, train.unpack(x, config), config, windows)
+    singly = tape["units"].above.size + sum(a.size for _, a in tape["units"].changing)
+    assert 0 < singly < 0.25 * len(one.src) * tape["w"].shape[1] * config.hidden
+    got = train.loss_and_gradient(one, x, config)
+    monkeypatch.setattr(train, "RUN_GROUPS", 10**9)
+    again = crowded()[0]
+    want = train.loss_and_gradient(again, x, config)
+    assert np.isclose(got[0], want[0], rtol=1e-12) and np.allclose(got[1], want[1], rtol=1e-8, atol=1e-9)
+    other = train.forward(again, train.unpack(x, config), config, windows)
+    assert "units" not in other and np.allclose(tape["w"], other["w"], rtol=1e-9)
+
+
 @pytest.mark.parametrize("readout", ["pinv", "tail"])
 def test_loss_from_the_edges_at_targets_equals_that_from_all_edges(readout):
     one, config = crowded(20, 12)
