@@ -510,3 +510,23 @@ def test_observations_fall_with_distance(spark):
     near = spark.createDataFrame([(1, 5, 0, 0.5), (1, 6, 1, -0.2), (1, 7, 2, 0.1)], "src long, dst long, pos int, sim double")
     got = {(r["node_id"], r["seen"]): r["weight"] for r in trajectories.nearest_nodes(nodes, near, k_nearest=3).collect()}
     assert got == {(1, 1): 1 / 1.5, (1, 5): 0.5 / 1.5, (1, 6): 0.0, (2, 2): 1.0}
+
+
+def test_an_experiment_predicts_once(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from hyperpath.plans import experiments
+
+    passes = spark.sparkContext.accumulator(0)
+
+    def predicted(batches):
+        passes.add(1)
+        yield from batches
+
+    schema = "model int, features string, seed int, count long, p_target double, rank long, choices array<struct<degree:long,hit:boolean>>"
+    rows = spark.createDataFrame([(0, "original", 1, 2, 0.5, 1, [(3, True), (4, False)])], schema).coalesce(1)
+    monkeypatch.setattr(experiments, "trained", lambda *_, **__: [])
+    monkeypatch.setattr(experiments, "predictions", lambda *_: rows.mapInArrow(predicted, schema))
+    got = {r["metric"]: r["value"] for r in experiments.run_experiment(SimpleNamespace(spark=spark, sf_dir="none", which="once")).collect()}
+    assert len(got) == 4 and got["target_probability"] == 0.5 and got["precision_top1"] == 1.0
+    assert passes.value == 1
